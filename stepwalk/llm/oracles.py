@@ -59,3 +59,35 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
        f.host, round(shrunk, 9) AS shrunk
 FROM f JOIN s ON f.host IS NOT DISTINCT FROM s.host
 """
+
+CHAT = """
+WITH c AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -1, 1, 'assistant', '</s>[INST] ok [/INST]'
+), e AS (
+  SELECT *, replace(replace(replace(role || text, '&', '&amp;'), '<', '&lt;'), '[', '&lbr;') AS safe FROM c
+)
+SELECT conv_id, count(*) AS n_turns,
+       sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text)) AS turns_sha256,
+       CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+       CAST(sum(length(safe) + length('<|turn|>') + length('<|body|>') + length('<|end|>')) AS BIGINT) AS formatted_chars
+FROM e GROUP BY conv_id
+"""
+
+# The base columns of the license scan; labels and score of the rules have no SQL.
+LICENSE_WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+LICENSE_BASE = rf"""
+WITH w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{LICENSE_WORD}') AS ws FROM documents
+), i AS (
+  SELECT doc_id, ws, unnest(range(1, len(ws) + 1)) AS p FROM w WHERE len(ws) > 0
+), hit AS (
+  SELECT doc_id, p - 1 AS p, 'mit' AS label FROM i WHERE ws[p] = 'under' AND ws[p + 1] = 'the' AND ws[p + 2] = 'mit' AND ws[p + 3] = 'license'
+  UNION ALL SELECT doc_id, p - 1, 'apache-2' FROM i WHERE ws[p] = 'apache' AND ws[p + 1] = 'license' AND ws[p + 2] = 'version' AND ws[p + 3] = '2'
+  UNION ALL SELECT doc_id, p - 1, 'cc-by-nc' FROM i WHERE ws[p] = 'cc' AND ws[p + 1] = 'by' AND ws[p + 2] = 'nc'
+)
+SELECT w.doc_id, CAST(any_value(len(ws)) AS BIGINT) AS n_words, count(hit.p) AS n_base, CAST(min(p) AS BIGINT) AS first_word,
+       CAST(max(p) AS BIGINT) AS last_word, coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS base_labels
+FROM w LEFT JOIN hit USING (doc_id) GROUP BY w.doc_id
+"""

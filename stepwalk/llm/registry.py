@@ -8,14 +8,17 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import oracles
 from .op2_packing import op2_packing
+from .op3_chat import op3_chat
 from .op5_substring import op5_substring
+from .op7_language import op7_language
 from .op8_host_rules import op8_host_rules
+from .op10_licenses import op10_licenses
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op2_packing, op5_substring, op8_host_rules]
+    found = [op2_packing, op3_chat, op5_substring, op7_language, op8_host_rules, op10_licenses]
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_substring": oracles.SUBSTRING, "op8_host_rules": oracles.HOST_RULES}
+    return {"op3_chat": oracles.CHAT, "op5_substring": oracles.SUBSTRING, "op8_host_rules": oracles.HOST_RULES}
