@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .tables import table, written
-from .textbatch import Chunk, chunks, ragged
+from .textbatch import Chunk, KnownWords, chunks
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 NAMES = [x.split()[0] for x in PIECES.split(", ")]
@@ -26,8 +26,7 @@ NAMES = [x.split()[0] for x in PIECES.split(", ")]
 class WordTokens:
     """Token ids of whole texts by a tokenizer that never joins across ASCII white space.
 
-    Each distinct word is encoded once and kept in sorted arrays, at most ``limit`` words of them; later words are
-    still encoded, batch by batch.  Words are joined by a control mark of a single id that the word list never holds;
+    Each distinct word of a batch is encoded once, and up to ``limit`` words are remembered.  Words are joined by a control mark of a single id that the word list never holds;
     words that hold it are encoded alone.
     """
 
@@ -37,13 +36,9 @@ class WordTokens:
         from tokenizers import Tokenizer
 
         self.encoder = Tokenizer.from_file(path)
-        self.limit = limit
         mark = self.encoder.encode(self.MARK, add_special_tokens=False).ids
         self.mark = mark[0] if len(mark) == 1 else None
-        self.known = np.zeros(0, np.uint64)
-        self.at = np.zeros(0, np.int64)
-        self.len = np.zeros(0, np.int64)
-        self.ids = np.zeros(0, np.int32)
+        self.words = KnownWords(self.encode_words, limit)
 
     def encode_words(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """(ids one after the other, ids per word)."""
@@ -73,28 +68,9 @@ class WordTokens:
     def __call__(self, chunk: Chunk) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all rows one after the other, ids per row)."""
         words = chunk.words()
-        unique, first, back = np.unique(words.hashes(), return_index=True, return_inverse=True)
-        place = np.searchsorted(self.known, unique)
-        place[place == len(self.known)] = 0
-        found = self.known[place] == unique if len(self.known) else np.zeros(len(unique), bool)
-        new = np.flatnonzero(~found)
         data = chunk.bytes.tobytes()
-        ids, size = self.encode_words([data[s:e] for s, e in zip(words.start[first[new]], words.end[first[new]], strict=True)])
-        begin = np.cumsum(size) - size
-        at, length = np.empty(len(unique), np.int64), np.empty(len(unique), np.int64)
-        at[found], length[found] = self.at[place[found]], self.len[place[found]]
-        at[new], length[new] = begin + len(self.ids), size
-        pool = np.concatenate([self.ids, ids])
-        if len(self.known) + len(new) <= self.limit:
-            keys = np.concatenate([self.known, unique[new]])
-            order = np.argsort(keys, kind="stable")
-            self.at = np.concatenate([self.at, at[new]])[order]
-            self.len = np.concatenate([self.len, size])[order]
-            self.known, self.ids = keys[order], pool
-        per = length[back]
-        out = pool[ragged(at[back], per)]
-        total = np.concatenate([[0], np.cumsum(per)])
-        return out, np.diff(total[words.first])
+        ids, per = self.words(words.hashes(), lambda k: data[words.start[k] : words.end[k]])
+        return ids, np.diff(np.concatenate([[0], np.cumsum(per)])[words.first])
 
 
 _TOKENS: dict[str, WordTokens] = {}

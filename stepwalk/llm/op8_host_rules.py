@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .tables import table, written
-from .textbatch import U64, Chunk, chunks, mix
+from .textbatch import Chunk, chunks, repeated_cover
 
 # The characters that count as symbols.
 SYMBOLS = "#*$%&|<>"
@@ -34,20 +34,7 @@ def measures(chunk: Chunk) -> dict[str, np.ndarray]:
     np.add.at(solid, words.end, -1)
     inside = np.cumsum(solid)[: len(data)] > 0
     symbol = np.isin(np.arange(256), list(SYMBOLS.encode()))
-    hashes = words.hashes()
-    first, three = words.windows(hashes, 3)
-    repeat = np.zeros(len(hashes) + 3, np.int64)
-    if len(first):
-        own = mix(three ^ (words.doc[first].astype(U64) * U64(0x9E3779B97F4A7C15)))
-        order = np.argsort(own, kind="stable")
-        same = own[order][1:] == own[order][:-1]
-        twice = np.zeros(len(own), bool)
-        twice[order[1:][same]] = True
-        twice[order[:-1][same]] = True
-        hit = first[twice]
-        np.add.at(repeat, hit, 1)
-        np.add.at(repeat, hit + 3, -1)
-    covered = np.cumsum(repeat)[: len(hashes)] > 0
+    covered = repeated_cover(words, words.hashes())
     lines = np.zeros(chunk.n, np.int64)
     breaks = _row_sums(data == 10, at)
     for k in np.flatnonzero(breaks):

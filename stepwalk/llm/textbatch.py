@@ -51,6 +51,16 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h
 
 
+def span_sums(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """Polynomial of each span's bytes, its first byte the constant term."""
+    if not len(start):
+        return np.zeros(0, U64)
+    up, down = BYTES.upto(len(data))
+    sums = np.zeros(len(data) + 1, U64)
+    np.cumsum(up * (data.astype(U64) + U64(1)), out=sums[1:])
+    return (sums[end] - sums[start]) * down[start]
+
+
 class Chunk:
     """Some rows of a batch with the bytes of one text column (nulls count as empty)."""
 
@@ -103,14 +113,7 @@ class Words:
         self.doc = np.repeat(np.arange(chunk.n), self.count)
 
     def hashes(self) -> np.ndarray:
-        data = self.chunk.bytes
-        n = len(data)
-        if not len(self.start):
-            return np.zeros(0, U64)
-        up, down = BYTES.upto(n)
-        sums = np.zeros(n + 1, U64)
-        np.cumsum(up * (data.astype(U64) + U64(1)), out=sums[1:])
-        return mix((sums[self.end] - sums[self.start]) * down[self.start])
+        return mix(span_sums(self.chunk.bytes, self.start, self.end))
 
     def windows(self, hashes: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
         """(first word, hash) of every window of ``size`` consecutive words of one row."""
@@ -140,6 +143,55 @@ def chunks(batches, column: str = "text", limit: int = CHUNK_BYTES) -> Iterator[
             at = to
 
 
+class KnownWords:
+    """Ids of words seen before, in arrays sorted by word hash: at most ``limit`` words are kept, others are encoded each time."""
+
+    def __init__(self, encode, limit: int = 1_000_000):
+        self.encode, self.limit = encode, limit
+        self.known = np.zeros(0, U64)
+        self.at = np.zeros(0, np.int64)
+        self.len = np.zeros(0, np.int64)
+        self.ids = np.zeros(0, np.int32)
+
+    def __call__(self, hashes: np.ndarray, word) -> tuple[np.ndarray, np.ndarray]:
+        """(ids one after the other, ids per word) of words with these hashes; ``word(k)`` gives the bytes of word k."""
+        unique, first, back = np.unique(hashes, return_index=True, return_inverse=True)
+        place = np.searchsorted(self.known, unique)
+        place[place == len(self.known)] = 0
+        found = self.known[place] == unique if len(self.known) else np.zeros(len(unique), bool)
+        new = np.flatnonzero(~found)
+        ids, size = self.encode([word(k) for k in first[new].tolist()])
+        at, length = np.empty(len(unique), np.int64), np.empty(len(unique), np.int64)
+        at[found], length[found] = self.at[place[found]], self.len[place[found]]
+        at[new], length[new] = np.cumsum(size) - size + len(self.ids), size
+        pool = np.concatenate([self.ids, ids])
+        if len(new) and len(self.known) + len(new) <= self.limit:
+            keys = np.concatenate([self.known, unique[new]])
+            order = np.argsort(keys, kind="stable")
+            self.at = np.concatenate([self.at, at[new]])[order]
+            self.len = np.concatenate([self.len, size])[order]
+            self.known, self.ids = keys[order], pool
+        per = length[back]
+        return pool[ragged(at[back], per)], per
+
+
+def repeated_cover(words: Words, hashes: np.ndarray, size: int = 3) -> np.ndarray:
+    """Words inside a window of ``size`` words that their row holds at least twice."""
+    first, window = words.windows(hashes, size)
+    cover = np.zeros(len(hashes) + size, np.int64)
+    if len(first):
+        own = mix(window ^ (words.doc[first].astype(U64) * U64(0x9E3779B97F4A7C15)))
+        order = np.argsort(own, kind="stable")
+        same = own[order][1:] == own[order][:-1]
+        twice = np.zeros(len(own), bool)
+        twice[order[1:][same]] = True
+        twice[order[:-1][same]] = True
+        hit = first[twice]
+        np.add.at(cover, hit, 1)
+        np.add.at(cover, hit + size, -1)
+    return np.cumsum(cover)[: len(hashes)] > 0
+
+
 def runs(lengths: np.ndarray) -> np.ndarray:
     """0..n-1 for each length n, one after the other."""
     total = int(lengths.sum())
