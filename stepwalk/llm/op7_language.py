@@ -18,7 +18,7 @@ from .tables import hash_sample, held_back, table, with_measures
 from .textbatch import Chunk
 
 BLOCK = 512
-LANES = 1 << 15
+LANES = 1 << 14
 
 
 def symbols(data: np.ndarray) -> np.ndarray:
@@ -96,12 +96,12 @@ class Parser:
             at = np.repeat(np.arange(len(follow)), [len(f) for f in follow])
             by = np.fromiter((c for f in follow for c in f), np.int64, len(at))
             to = np.fromiter((s for f in follow for s in f.values()), np.int64, len(at))
-            grid = np.full((len(follow), width), -1, np.int64)
-            grid[at, by] = to
-            start = np.where(grid[0] >= 0, grid[0], 0)
-            absolute = np.where(grid >= 0, base + grid * width, ~(base + start * width)[None, :])
-            absolute[0] = ~(base + start * width)
-            rows.append(absolute.astype(np.int32))
+            start = np.full(width, base, np.int32)
+            start[by[at == 0]] += (to[at == 0] * width).astype(np.int32)
+            grid = np.repeat(~start[None, :], len(follow), axis=0)
+            later = at > 0
+            grid[at[later], by[later]] = (base + to[later] * width).astype(np.int32)
+            rows.append(grid)
             self.roots.append(base)
             base += len(follow) * width
         self.table = np.concatenate([r.ravel() for r in rows]) if rows else np.zeros(1, np.int32)
