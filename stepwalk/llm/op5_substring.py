@@ -18,9 +18,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from .tables import parts, row_key, table
-from .textbatch import U64, Chunk, Words, chunks, uint64_blob
+from .textbatch import U64, Words, chunks, mix, uint64_blob
 
 # Perfect difference sets (modulus, residues); every non-zero residue is a difference of two members.
 COVERS = {7: (0, 1, 3), 13: (0, 1, 3, 9), 21: (0, 1, 4, 14, 16), 31: (0, 1, 3, 8, 12, 18), 57: (0, 1, 3, 13, 32, 36, 43, 52)}
@@ -33,6 +35,7 @@ def cover_for(window: int) -> tuple[int, tuple[int, ...]]:
 
 
 BLOBS = "bucket long, hashes binary, keys binary"
+BLOB_SCHEMA = pa.schema([("bucket", pa.int64()), ("hashes", pa.binary()), ("keys", pa.binary())])
 
 
 def _dealt(bucket: np.ndarray, hashes: np.ndarray, keys: np.ndarray, kind: str) -> pa.RecordBatch:
@@ -67,12 +70,11 @@ def _packed(keys: np.ndarray, hashes: np.ndarray, buckets: int, kind: str) -> It
         yield _dealt(buckets + (keys % U64(buckets)).astype(np.int64), hashes, keys, kind)
 
 
-def _replies(buckets: int, kind: str):
-    """Of one bucket: to each row's key the hashes that another record has as well."""
+def _replies(buckets: int, dests: int, kind: str):
+    """Of one bucket: the hashes that another record has as well, with their rows' keys, dealt by the keys."""
 
     def run(group: pa.Table) -> pa.Table:
-        hashes = np.concatenate([np.frombuffer(x, kind) for x in group.column("hashes").to_pylist()])
-        keys = np.concatenate([np.frombuffer(x, "<u8") for x in group.column("keys").to_pylist()])
+        hashes, keys = _joined(group, kind)
         if group.column("bucket")[0].as_py() < buckets:
             order = np.argsort(hashes, kind="stable")
             hashes, keys = hashes[order], keys[order]
@@ -82,15 +84,39 @@ def _replies(buckets: int, kind: str):
             again[:-1] |= same
             again &= keys != 0
             hashes, keys = hashes[again], keys[again]
-        order = np.argsort(keys, kind="stable")
-        hashes, keys = hashes[order], keys[order]
-        at = np.concatenate([[0], np.flatnonzero(np.diff(keys)) + 1, [len(keys)]]) if len(keys) else np.zeros(1, np.int64)
-        body = [hashes[a:b].tobytes() for a, b in zip(at[:-1], at[1:], strict=True)]
-        return pa.table({"key": pa.array(keys[at[:-1]].view(np.int64), pa.int64()), "found": pa.array(body, pa.binary())})
+        if not len(hashes):
+            return pa.table({"bucket": pa.array([], pa.int64()), "hashes": pa.array([], pa.binary()), "keys": pa.array([], pa.binary())})
+        return pa.Table.from_batches([_dealt((keys % U64(dests)).astype(np.int64), hashes, keys, kind)])
 
     return run
 
 
+def _joined(rows: pa.Table, kind: str) -> tuple[np.ndarray, np.ndarray]:
+    hashes = np.concatenate([np.zeros(0, kind), *[np.frombuffer(x, kind) for x in rows.column("hashes").to_pylist()]])
+    keys = np.concatenate([np.zeros(0, "<u8"), *[np.frombuffer(x, "<u8") for x in rows.column("keys").to_pylist()]])
+    return hashes, keys
+
+
+class _Replied:
+    """Whether a row, by its key, got a hash back."""
+
+    def __init__(self, rows: pa.Table, kind: str):
+        hashes, keys = _joined(rows, kind)
+        self.kind, self.pairs = kind, np.sort(self._pair(keys, hashes))
+
+    @staticmethod
+    def _pair(keys: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+        return mix(keys.astype(U64) * U64(0x9E3779B97F4A7C15) ^ mix(hashes.astype(U64) + U64(1)))
+
+    def __call__(self, keys: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+        if not len(self.pairs):
+            return np.zeros(len(hashes), bool)
+        sought = self._pair(keys, hashes.astype(self.kind))
+        at = np.searchsorted(self.pairs, sought)
+        at[at == len(self.pairs)] = 0
+        return self.pairs[at] == sought
+
+
 def _anchors(words: Words, size: int, period: int, cover: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(first word, hash) of the windows at cover positions, counted within their row; and all word hashes."""
     word = words.hashes()
@@ -101,20 +127,6 @@ def _anchors(words: Words, size: int, period: int, cover: tuple[int, ...]) -> tu
     return at[take], hashes[take], word
 
 
-def _known(chunk: Chunk, rows: np.ndarray, hashes: np.ndarray, kind: str) -> np.ndarray:
-    """Whether each hash is among those that its row got back."""
-    found = chunk.rows.column(chunk.rows.schema.get_field_index("found")).to_pylist()
-    out = np.zeros(len(hashes), bool)
-    if not len(hashes):
-        return out
-    edge = np.searchsorted(rows, np.arange(len(found) + 1))
-    for k, blob in enumerate(found):
-        if blob:
-            a, b = edge[k], edge[k + 1]
-            out[a:b] = np.isin(hashes[a:b], np.frombuffer(b"".join(blob), kind))
-    return out
-
-
 def _spread(hit: np.ndarray, n: int, back: int, ahead: int) -> np.ndarray:
     """Positions p with some hit in [p - ahead, p + back]."""
     edge = np.zeros(n + back + ahead + 2, np.int64)
@@ -123,14 +135,42 @@ def _spread(hit: np.ndarray, n: int, back: int, ahead: int) -> np.ndarray:
     return np.cumsum(edge)[:n] > 0
 
 
-def repeated(docs: DataFrame, window: int = 35, buckets: int | None = None) -> DataFrame:
-    """``docs`` (key, text, anything else) with ``found``: arrays of 64-bit hashes of its windows that start anywhere else too.
+def _finish(words: Words, keys: np.ndarray, replied: _Replied, window: int, keep_text: bool) -> list[pa.Array]:
+    """n_words, n_removed and what is kept, for each row of a chunk."""
+    word = words.hashes()
+    first, full = words.windows(word, window)
+    gone = _spread(first[replied(keys[words.doc[first]], full)], len(word), 0, window - 1)
+    removed = np.diff(np.concatenate([[0], np.cumsum(gone)])[words.first])
+    out = []
+    for k in range(words.chunk.n):
+        kept = words.chunk.text(k).split()
+        if removed[k]:
+            kept = compress(kept, (~gone[words.first[k] : words.first[k + 1]]).tolist())
+        out.append(b" ".join(kept))
+    text = pa.array(out, pa.binary()).cast(pa.string()) if keep_text else pa.array([hashlib.sha256(x).hexdigest() for x in out], pa.string())
+    return [pa.array(words.count, pa.int64()), pa.array(removed, pa.int64()), text]
+
+
+def remove_repeats(docs: DataFrame, window: int = 35, keep_text: bool = True, text_column: str = "text", keep: list[str] | None = None, buckets: int | None = None) -> DataFrame:
+    """Columns of ``docs`` (or those of ``keep``) with n_words, n_removed and the kept words joined by spaces.
+
+    The last is ``kept_text``, or ``kept_sha256`` of its UTF-8.  Windows are judged on the input.  Null text has no words;
+    texts shorter than the window stay whole; repeated rows repeat each other's windows, so both lose them; null ids are
+    kept; an empty table gives no row; columns named as the new ones are replaced.  Rows meet their replies by a hash of
+    all kept columns and the text, which equal rows share; nothing depends on partition numbers or row order.
 
     Anchors travel as 32 bits beside their bucket number, as they only choose what is extended; windows with 64 bits.
+    Texts are shuffled once: both meetings with replies read the same exchange.
     """
-    buckets = buckets or 4 * parts(docs.sparkSession)
+    buckets = dests = buckets or parts(docs.sparkSession)
     period, cover = cover_for(window)
     size = window - period + 1
+    new = {"n_words": "long", "n_removed": "long", "kept_text" if keep_text else "kept_sha256": "string"}
+    kept = [c for c in (keep if keep is not None else docs.columns) if c not in new and c != text_column]
+    source = docs.select(*[F.col(f"`{c}`").alias(f"_{k}") for k, c in enumerate(kept)], F.col(text_column).alias("text"))
+    key = row_key(*source.columns)
+    source = source.withColumn("key", F.when(key == 0, 1).otherwise(key))
+    dealt = source.withColumn("dest", F.pmod("key", F.lit(dests)))
 
     def send(batches):
         for chunk in chunks(batches):
@@ -138,65 +178,35 @@ def repeated(docs: DataFrame, window: int = 35, buckets: int | None = None) -> D
             at, hashes, _ = _anchors(words, size, period, cover)
             yield from _packed(chunk.ints("key").view(U64)[words.doc[at]], hashes, buckets, "<u4")
 
-    def extend(batches):
-        for chunk in chunks(batches):
-            words = chunk.words()
+    def extend(rows: pa.Table, replies: pa.Table) -> pa.Table:
+        replied, out = _Replied(replies, "<u4"), []
+        for chunk in chunks(rows.to_batches()) if len(replied.pairs) else ():
+            words, keys = chunk.words(), chunk.ints("key").view(U64)
             at, hashes, word = _anchors(words, size, period, cover)
-            hit = at[_known(chunk, words.doc[at], hashes.astype("<u4"), "<u4")]
+            hit = at[replied(keys[words.doc[at]], hashes)]
             first, full = words.windows(word, window)
             near = _spread(hit, len(word), period - 1, 0)[first]
-            yield from _packed(chunk.ints("key").view(U64)[words.doc[first[near]]], full[near], buckets, "<u8")
-
-    def replied(sent: DataFrame, kind: str) -> DataFrame:
-        got = sent.groupBy("bucket").applyInArrow(_replies(buckets, kind), "key long, found binary")
-        return got.groupBy("key").agg(F.collect_list("found").alias("found"))
-
-    keyed = docs.select("key", "text")
-    near = keyed.join(replied(keyed.mapInArrow(send, BLOBS), "<u4"), "key")
-    return docs.join(replied(near.mapInArrow(extend, BLOBS), "<u8"), "key", "left")
+            out += _packed(keys[words.doc[first[near]]], full[near], buckets, "<u8")
+        return pa.Table.from_batches(out, BLOB_SCHEMA)
 
+    def finish(rows: pa.Table, replies: pa.Table) -> pa.Table:
+        replied, out = _Replied(replies, "<u8"), []
+        for chunk in chunks(rows.to_batches()):
+            columns = [chunk.rows.column(chunk.rows.schema.get_field_index(f"_{k}")) for k in range(len(kept))]
+            columns += _finish(chunk.words(), chunk.ints("key").view(U64), replied, window, keep_text)
+            out.append(pa.RecordBatch.from_arrays(columns, [*kept, *new]))
+        return pa.Table.from_batches(out) if out else empty.empty_table()
 
-def _cut(window: int, names: list[str], keep_text: bool):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for chunk in chunks(batches):
-            words = chunk.words()
-            word = words.hashes()
-            first, full = words.windows(word, window)
-            hit = first[_known(chunk, words.doc[first], full, "<u8")]
-            gone = _spread(hit, len(word), 0, window - 1)
-            total = np.concatenate([[0], np.cumsum(gone)])
-            removed = np.diff(total[words.first])
-            out = []
-            for k in range(chunk.n):
-                kept = chunk.text(k).split()
-                if removed[k]:
-                    kept = compress(kept, (~gone[words.first[k] : words.first[k + 1]]).tolist())
-                out.append(b" ".join(kept))
-            columns = [chunk.rows.column(chunk.rows.schema.get_field_index(n)) for n in names]
-            columns += [pa.array(words.count, pa.int64()), pa.array(removed, pa.int64())]
-            if keep_text:
-                columns.append(pa.array(out, pa.binary()).cast(pa.string()))
-            else:
-                columns.append(pa.array([hashlib.sha256(x).hexdigest() for x in out], pa.string()))
-            yield pa.RecordBatch.from_arrays(columns, [*names, "n_words", "n_removed", "kept_text" if keep_text else "kept_sha256"])
+    def replies_of(sent: DataFrame, kind: str) -> DataFrame:
+        return sent.groupBy("bucket").applyInArrow(_replies(buckets, dests, kind), BLOBS)
 
-    return run
-
-
-def remove_repeats(docs: DataFrame, window: int = 35, keep_text: bool = True, id_column: str = "doc_id", text_column: str = "text", buckets: int | None = None) -> DataFrame:
-    """doc_id, n_words, n_removed and the kept words joined by spaces (``kept_text``, or ``kept_sha256`` of its UTF-8).
-
-    Windows are judged on the input.  Null text has no words; texts shorter than the window stay whole; repeated rows
-    repeat each other's windows, so both lose them; a null id is kept; an empty table gives no row; extra columns are
-    ignored.  Replies are keyed by a hash of id and text, which equal rows share; nothing depends on partition numbers.
-    """
-    source = docs.select(F.col(id_column).alias("doc_id"), F.col(text_column).alias("text"))
-    source = source.withColumn("key", row_key("doc_id", "text"))
-    source = source.withColumn("key", F.when(F.col("key") == 0, 1).otherwise(F.col("key")))
-    kind = source.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, n_words long, n_removed long, {'kept_text' if keep_text else 'kept_sha256'} string"
-    return repeated(source, window, buckets).select("doc_id", "text", "found").mapInArrow(_cut(window, ["doc_id"], keep_text), schema)
+    schema = T.StructType([T.StructField(c, docs.schema[c].dataType) for c in kept] + [T.StructField(c, T._parse_datatype_string(t)) for c, t in new.items()])
+    empty = to_arrow_schema(schema)
+    anchors = replies_of(source.select("key", "text").mapInArrow(send, BLOBS), "<u4")
+    windows = dealt.groupBy("dest").cogroup(anchors.groupBy("bucket")).applyInArrow(extend, BLOBS)
+    full = replies_of(windows, "<u8")
+    return dealt.groupBy("dest").cogroup(full.groupBy("bucket")).applyInArrow(finish, schema)
 
 
 def op5_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return remove_repeats(table(spark, sf_dir, "documents"), keep_text=False)
+    return remove_repeats(table(spark, sf_dir, "documents"), keep_text=False, keep=["doc_id"])
