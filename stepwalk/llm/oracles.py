@@ -91,3 +91,21 @@ SELECT w.doc_id, CAST(any_value(len(ws)) AS BIGINT) AS n_words, count(hit.p) AS
        CAST(max(p) AS BIGINT) AS last_word, coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS base_labels
 FROM w LEFT JOIN hit USING (doc_id) GROUP BY w.doc_id
 """
+
+# All pairs within a label; exact on small tables.
+EMBEDDINGS = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, label, embedding::DOUBLE[] AS x, sqrt(list_sum(list_transform(embedding::DOUBLE[], lambda a: a * a))) AS n FROM embeddings
+), ok AS (
+  SELECT * FROM v WHERE label IS NOT NULL AND n > 0 AND isfinite(n) AND len(list_filter(x, lambda a: a IS NULL)) = 0
+), link AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM ok a JOIN ok b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.x) = len(b.x)
+  WHERE list_dot_product(a.x, b.x) / (a.n * b.n) >= 0.93
+), reach(a, b) AS (
+  SELECT a, b FROM link UNION SELECT r.a, l.b FROM reach r JOIN link l ON r.b = l.a
+)
+SELECT vec_id, (SELECT count(*) FROM link WHERE a = vec_id) AS n_links,
+       least(vec_id, coalesce((SELECT min(b) FROM reach WHERE a = vec_id), vec_id)) AS component_id,
+       vec_id = least(vec_id, coalesce((SELECT min(b) FROM reach WHERE a = vec_id), vec_id)) AS kept
+FROM v
+"""
