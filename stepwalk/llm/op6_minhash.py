@@ -7,9 +7,15 @@ a slot with a probability equal to their weighted Jaccard similarity.  Only firs
 further ones only while they can still be earlier than a text's latest slot.
 
 Bands of the signature give candidates, and every link is verified by multiset overlap.  Texts of equal multisets are one
-class before anything else.  Links of a bucket go through centres: a bucket's members are first compared with its smallest
-member; members in other components than the bucket's largest are then compared with all others of the bucket, so no link
-that could join two components is left unseen, while a bucket of one component costs as many comparisons as it has members.
+class before anything else.  Links of a bucket go through a centre, its member that meets most others in all its buckets:
+all members are first compared with it, which also gives their differences from it (units missing, units added).  If two members x and y share k differences,
+
+    overlap(x, y) = (n - a_x - a_y + k) / (n + b_x + b_y - k)
+
+where the centre has n units, x misses a_x of them and adds b_x.  So a member that does not link with the centre can link
+with another only if they share many differences, at least a_x + t*b_x - (1-t)*n of x's own for a threshold t.  Sorting
+differences by rarity, one of the rarest few of x must be shared: those few are joined, with members that hold enough
+differences which any other member holds at all, and only what they find is compared.  No link that could join two components is left unseen, and no pairs of a bucket are made.
 """
 
 from __future__ import annotations
@@ -22,8 +28,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .tables import table, written
-from .textbatch import U64, Chunk, Words, chunks, mix, uint64_blob
+from .tables import small_batches, table, written
+from .textbatch import U64, Words, chunks, mix, runs, uint64_blob
 
 SHINGLE = 5
 BANDS, ROWS = 32, 5
@@ -82,7 +88,7 @@ def signatures(rows: np.ndarray, hashes: np.ndarray, counts: np.ndarray, n: int,
         time, made = point[:, -1], made + take
         live = time < latest[row]
         row, seed, rate, share, time = row[live], seed[live], rate[live], share[live], time[live]
-        take = int(np.clip((1 << 20) // max(1, len(row)), 1, 32))
+        take = int(np.clip((1 << 18) // max(1, len(row)), 1, 32))
     return out.reshape(n, slots)
 
 
@@ -111,110 +117,148 @@ def _spread_bands(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     for b in batches:
         if b.num_rows:
             band = np.frombuffer(b"".join(b.column("bands").to_pylist()), "<i8")
-            node, weight = (np.repeat(np.asarray(b.column(c)), len(band) // b.num_rows) for c in ("node", "weight"))
-            yield pa.RecordBatch.from_arrays([pa.array(band), pa.array(node), pa.array(weight)], ["band", "node", "weight"])
+            node = np.repeat(np.asarray(b.column("node")), len(band) // b.num_rows)
+            yield pa.RecordBatch.from_arrays([pa.array(band), pa.array(node)], ["band", "node"])
+
+
+def units(rows: np.ndarray, hashes: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Bags as sets: (row, hash of shingle and 1..count), by row and hash."""
+    rows = np.repeat(rows, counts)
+    every = mix(np.repeat(hashes, counts) + runs(counts).astype(U64) * U64(0x8CB92BA72F3D8DD7))
+    order = np.lexsort((every, rows))
+    return rows[order], every[order]
 
 
 def _bag_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for chunk in chunks(batches):
-        rows, hashes, counts = bags(*shingles(chunk.words()))
+        rows, every = units(*bags(*shingles(chunk.words())))
         edge = np.searchsorted(rows, np.arange(chunk.n + 1))
-        body = [uint64_blob(hashes[a:b]) for a, b in zip(edge[:-1], edge[1:], strict=True)]
-        size = [None if counts[a:b].max(initial=1) == 1 else counts[a:b].astype("<i4").tobytes() for a, b in zip(edge[:-1], edge[1:], strict=True)]
-        yield pa.RecordBatch.from_arrays([chunk.rows.column(0), pa.array(body, pa.binary()), pa.array(size, pa.binary())], ["node", "bag", "counts"])
-
-
-def overlap(bag_a: bytes, counts_a: bytes | None, bag_b: bytes, counts_b: bytes | None) -> float:
-    """Weighted Jaccard similarity of two packed bags."""
-    a, b = np.frombuffer(bag_a, "<u8"), np.frombuffer(bag_b, "<u8")
-    m = np.ones(len(a), np.int64) if counts_a is None else np.frombuffer(counts_a, "<i4")
-    n = np.ones(len(b), np.int64) if counts_b is None else np.frombuffer(counts_b, "<i4")
-    if not len(a) or not len(b):
-        return 0.0
+        body = [uint64_blob(every[a:b]) for a, b in zip(edge[:-1], edge[1:], strict=True)]
+        yield pa.RecordBatch.from_arrays([chunk.rows.column(0), pa.array(body, pa.binary())], ["node", "bag"])
+
+
+def overlap(a: np.ndarray, b: np.ndarray) -> float:
+    """Similarity of two bags as sorted units."""
+    both = _held(a, b).sum()
+    return float(both / max(1, len(a) + len(b) - both))
+
+
+def _held(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Which of b are in a."""
+    if not len(a):
+        return np.zeros(len(b), bool)
     at = np.searchsorted(a, b)
     at[at == len(a)] = 0
-    hit = a[at] == b
-    both = np.minimum(m[at[hit]], n[hit]).sum()
-    return both / (m.sum() + n.sum() - both)
+    return a[at] == b
+
+
+COMPARED = "a long, b long, similarity double"
+DIFFERENT = COMPARED + ", n long, missing long, added long, differences binary"
 
 
-def _verify(threshold: float):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            names = ["bag_a", "counts_a", "bag_b", "counts_b"]
-            found = [overlap(*x) for x in zip(*[batch.column(n).to_pylist() for n in names], strict=True)]
-            keep = pa.array([x >= threshold for x in found], pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(found, pa.float64())], ["a", "b", "similarity"]).filter(keep)
+def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        pairs = zip(batch.column("bag_a").to_pylist(), batch.column("bag_b").to_pylist(), strict=True)
+        found = [overlap(np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")) for x, y in pairs]
+        yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(found, pa.float64())], ["a", "b", "similarity"])
 
-    return run
 
+def _differ(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        rows = []
+        for x, y in zip(batch.column("bag_a").to_pylist(), batch.column("bag_b").to_pylist(), strict=True):
+            x, y = np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")
+            missing, added = x[~_held(y, x)], y[~_held(x, y)]
+            both = len(x) - len(missing)
+            rows.append((both / max(1, len(x) + len(y) - both), len(x), len(missing), len(added), uint64_blob(np.concatenate([missing, ~added]))))
+        if rows:
+            kinds = (pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+            columns = [batch.column("a"), batch.column("b"), *(pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True))]
+            yield pa.RecordBatch.from_arrays(columns, ["a", "b", "similarity", "n", "missing", "added", "differences"])
 
-def verified(pairs: DataFrame, bag: DataFrame, threshold: float) -> DataFrame:
-    """Pairs (a, b) of at least this overlap."""
-    side = lambda x: bag.select(F.col("node").alias(x), F.col("bag").alias(f"bag_{x}"), F.col("counts").alias(f"counts_{x}"))
-    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "bag_a", "counts_a", "bag_b", "counts_b")
-    return both.mapInArrow(_verify(threshold), "a long, b long, similarity double")
 
+def compared(pairs: DataFrame, bag: DataFrame, differences: bool = False) -> DataFrame:
+    """Pairs (a, b) with their overlap, and how b differs from a."""
+    side = lambda x: bag.select(F.col("node").alias(x), F.col("bag").alias(f"bag_{x}"))
+    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "bag_a", "bag_b")
+    return both.mapInArrow(_differ, DIFFERENT) if differences else both.mapInArrow(_compare, COMPARED)
 
-def similar_sizes(a: str, b: str, threshold: float):
+
+def _each_difference(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    names = ["centre", "node", "root", "n", "missing", "added"]
+    for b in batches:
+        blobs = b.column("differences").to_pylist()
+        size = np.array([len(x) // 8 for x in blobs], np.int64)
+        at = pa.array(np.repeat(np.arange(b.num_rows), size))
+        if len(at):
+            yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in names), pa.array(np.frombuffer(b"".join(blobs), "<i8"))], [*names, "unit"])
+
+
+def sharing_differences(star: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (a, b) of a centre's members in other components that may link, from ``star`` (centre, centre_root, node, root, n, missing, added, differences)."""
+    mixed = star.groupBy("centre").agg(F.max(F.col("root") != F.col("centre_root")).alias("mixed"), F.count("*").alias("members")).where("mixed AND members > 1").select("centre")
+    inside = star.join(mixed, "centre")
+    names = ["centre", "node", "root", "n", "missing", "added"]
+    units_ = inside.select(*names, "differences").mapInArrow(_each_difference, ", ".join(f"{c} long" for c in [*names, "unit"]))
+    often = units_.groupBy("centre", "unit").agg(F.count("*").alias("often")).where("often > 1")
+    of = Window.partitionBy("centre", "node")
+    shared = written(units_.join(often, ["centre", "unit"]).withColumn("share", F.count("*").over(of)), "differences")
+    needed = F.ceil(F.col("missing") + threshold * F.col("added") - (1 - threshold) * F.col("n") - 1e-9)
+    few = F.col("missing") + F.col("added") - needed + 1 - (F.col("missing") + F.col("added") - F.col("share"))
+    rare = shared.join(star.where("root <> centre_root").select("centre", "node"), ["centre", "node"], "left_semi")
+    rare = rare.withColumn("rank", F.row_number().over(of.orderBy("often", "unit"))).withColumn("few", few).where((F.col("rank") <= F.col("few")) & (needed > 0))
+    other = shared.select("centre", "unit", *[F.col(c).alias(f"_{c}") for c in ("node", "root", "missing", "added", "share")])
+    both = (threshold * (F.col("n") + F.col("added") + F.col("_added")) - F.col("n") + F.col("missing") + F.col("_missing")) / (1 + threshold) - 1e-9
+    can = (both <= F.col("share")) & (both <= F.col("_share"))
+    sizes = similar_sizes(F.col("n") - F.col("missing") + F.col("added"), F.col("n") - F.col("_missing") + F.col("_added"), threshold)
+    pairs = rare.join(other, (rare.centre == other.centre) & (rare.unit == other.unit) & (F.col("root") != F.col("_root")) & can & sizes)
+    return pairs.select(F.least("node", "_node").alias("a"), F.greatest("node", "_node").alias("b")).distinct()
+
+
+def similar_sizes(a, b, threshold: float):
     """Overlap is at most the ratio of the sizes, so other pairs cannot link."""
     return F.least(a, b) >= F.lit(threshold) * F.greatest(a, b)
 
 
-def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "doc_id", text_column: str = "text", pairs_per_row: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """One row per document: doc_id, class_id (smallest id with the same shingles), component_id (smallest id reachable by links), kept.
 
     Links join texts whose weighted Jaccard similarity of five-word shingles is at least ``threshold``.  A text of one to
     four words is one shingle.  Texts without a word (null included) link with nothing.  Rows that repeat an id share its
     verdict; a null id belongs to its class and is kept only if that class has no id; an empty table gives no row; extra
     columns are ignored.
-
-    ``pairs_per_row`` is no cap: while the pairs still to be seen exceed that many per class, rounds of single centres
-    shrink them; then all the rest are compared.
     """
+    small_batches(docs.sparkSession)
     source = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).alias("text"))
     sketch = written(source.mapInArrow(_sketch, "doc_id long, c1 long, c2 long, weight long, bands binary"), "sketch")
     worded = sketch.where("weight > 0")
     lonely = -1 - F.pmod("c1", F.lit(1 << 61))
-    classes = worded.groupBy("c1", "c2").agg(F.coalesce(F.min("doc_id"), F.first(lonely)).alias("node"), F.first("weight").alias("weight"), F.first("bands").alias("bands"))
+    classes = worded.groupBy("c1", "c2").agg(F.coalesce(F.min("doc_id"), F.first(lonely)).alias("node"), F.first("bands").alias("bands"))
     classes = written(classes, "classes")
-    n_classes = classes.count()
-    banded = classes.select("node", "weight", "bands").mapInArrow(_spread_bands, "band long, node long, weight long")
-    centres = banded.groupBy("band").agg(F.min("node").alias("centre"), F.min(F.struct("node", "weight")).getField("weight").alias("centre_weight"), F.count("*").alias("n")).where("n > 1")
-    members = written(banded.join(centres.drop("n"), "band"), "members")
-
-    texts = source.join(members.select(F.col("node").alias("doc_id")).distinct(), "doc_id").dropDuplicates(["doc_id"])
-    bag = written(texts.mapInArrow(_bag_rows, "node long, bag binary, counts binary"), "bags")
-    star = members.where((F.col("node") != F.col("centre")) & similar_sizes("weight", "centre_weight", threshold))
-    star = star.select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct()
-    links = written(verified(star, bag, threshold).select("a", "b"), "verified")
+    banded = classes.select("node", "bands").mapInArrow(_spread_bands, "band long, node long")
+    buckets = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1")
+    members = written(banded.join(buckets, "band"), "members")
+    known = members.groupBy("node").agg(F.sum("n").alias("met"))
+    scored = members.select("band", "node").join(known, "node")
+    centres = scored.groupBy("band").agg(F.max(F.struct(F.col("met"), (-F.col("node")).alias("minus"))).alias("x")).select("band", (-F.col("x.minus")).alias("centre"))
+    star = members.join(centres, "band").where("node <> centre").select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct()
+    star = written(star, "star")
+
+    involved = star.select(F.col("a").alias("doc_id")).union(star.select("b")).distinct()
+    texts = source.join(involved.hint("merge"), "doc_id").dropDuplicates(["doc_id"])
+    bag = written(texts.mapInArrow(_bag_rows, "node long, bag binary"), "bags")
+    checked = written(compared(star, bag, differences=True), "compared")
+    links = checked.where(F.col("similarity") >= threshold).select("a", "b")
     roots = written(components(links), "roots")
-    seen = star
-    while True:
-        placed = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        in_bucket = placed.groupBy("band", "root").agg(F.count("*").alias("n"))
-        ranked = Window.partitionBy("band").orderBy(F.desc("n"), "root")
-        mixed = in_bucket.withColumn("main", F.first("root").over(ranked)).groupBy("band", "main").agg(F.sum("n").alias("n"), F.max("n").alias("most")).where("most < n")
-        mixed = written(mixed, "mixed")
-        rest = mixed.agg(F.sum(F.col("n") * (F.col("n") - F.col("most")))).first()[0] or 0
-        if not rest:
-            break
-        inside = placed.join(mixed.select("band", "main"), "band")
-        outside = inside.where("root <> main")
-        last = rest <= pairs_per_row * max(n_classes, 1000)
-        if not last:
-            first = outside.groupBy("band").agg(F.min(F.struct("node", "weight", "root", "main")).alias("x"))
-            outside = first.select("band", "x.*")
-        others = inside.select("band", F.col("node").alias("other"), F.col("weight").alias("other_weight"), F.col("root").alias("other_root"))
-        pairs = outside.join(others, "band").where((F.col("root") != F.col("other_root")) & similar_sizes("weight", "other_weight", threshold))
-        pairs = pairs.select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
-        pairs = written(pairs.join(seen, ["a", "b"], "left_anti"), "pairs")
-        fresh = written(verified(pairs, bag, threshold).select("a", "b"), "verified")
-        links = links.unionByName(fresh)
-        roots = written(components(links), "roots")
-        if last:
-            break
-        seen = seen.unionByName(pairs)
+    root_of = lambda name: roots.select(F.col("node").alias(f"_{name}"), F.col("root").alias(f"_root_{name}"))
+    known = checked.withColumnsRenamed({"a": "centre", "b": "node"})
+    for name in ("centre", "node"):
+        known = known.join(root_of(name), F.col(name) == F.col(f"_{name}"), "left").withColumn(f"_root_{name}", F.coalesce(f"_root_{name}", name)).drop(f"_{name}")
+    known = known.withColumnsRenamed({"_root_centre": "centre_root", "_root_node": "root"})
+    pairs = written(sharing_differences(known, threshold), "pairs")
+    more = written(compared(pairs, bag).where(F.col("similarity") >= threshold).select("a", "b"), "verified")
+    if not more.isEmpty():
+        roots = written(components(links.unionByName(more)), "roots")
 
     of = worded.join(classes.select("c1", "c2", "node"), ["c1", "c2"]).select("doc_id", "node")
     out = of.join(roots, "node", "left").select("doc_id", F.col("node").alias("class_id"), F.coalesce("root", "node").alias("component_id"))
