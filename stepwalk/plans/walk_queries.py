@@ -91,6 +91,12 @@ def walk_resident(spark, sf_dir):
     return engine.walk_resident(graph(spark, sf_dir), P_LOCAL)
 
 
+@registry(oracle.walk_sql("user", P_LOCAL, approx=2e-2))
+def walk_resident_approx(spark, sf_dir):
+    edges = graph(spark, sf_dir)
+    return engine.walk_resident(edges, P_LOCAL, popular=stats.popular(edges, share=0.05), eps=2e-2)
+
+
 @registry(oracle.walk_sql("copart", P_FAR))
 def walk_resident_copart(spark, sf_dir):
     return engine.walk_resident(graph(spark, sf_dir, "copart"), P_FAR)
@@ -240,12 +246,12 @@ def acc_walk_distance(spark, sf_dir):
 _low, _high = oracle.bounds_sql("du.deg", "dv.deg", "dv.wmin", "dv.wmax", 0.5, 2.0)
 
 
-@registry(f"""WITH {oracle.edges_cte('user')}, {oracle.DEG}, {oracle.popular_cte()}, {_EXACT}, p AS (
+@registry(f"""WITH {oracle.edges_cte('user', f"SELECT src, dst, 1::BIGINT AS w FROM ({SQL['user']})")}, {oracle.DEG}, {oracle.popular_cte()}, {_EXACT}, p AS (
 SELECT src AS u, dst AS v, {_low} AS low, {_high} AS high FROM edges JOIN deg du ON du.vid = src JOIN deg dv ON dv.vid = dst JOIN pop pv ON pv.vid = dst LEFT JOIN pop pu ON pu.vid = src WHERE pu.vid IS NULL)
 SELECT u, v, round(max(abs(static - prob)) FILTER (x <> u), 9) AS max_error, round(max(greatest(high - static, static - low)) FILTER (x <> u), 9) AS max_allowed, round(max(abs(static - prob)) FILTER (x = u), 9) AS return_error, round(0.5 * sum(abs(static - prob)), 9) AS tv
 FROM t JOIN p USING (u, v) WHERE high - low < 0.05 GROUP BY u, v""")
 def acc_approx_error(spark, sf_dir):
-    edges = graph(spark, sf_dir)
+    edges = graph(spark, sf_dir).withColumn("w", F.lit(1).cast("long"))
     out = evaluate.approx_error(edges, stats.popular(edges, share=0.05), P_LOCAL, 0.05)
     return out.select("u", "v", *[F.round(c, 9).alias(c) for c in ("max_error", "max_allowed", "return_error", "tv")])
 
@@ -302,10 +308,9 @@ def link_features_auc(spark, sf_dir):
 @registry()
 def synth_planted_accuracy(spark, sf_dir):
     """Micro-F1 of exact, approximate and trimmed walks on planted communities: trimming loses."""
-    edges, labels = synth.planted(spark)
+    edges, labels = synth.planted(spark, n=500, groups=5)
     edges, params = written(edges, "planted"), P_LOCAL.but(length=30, walks_per_vertex=2)
     popular = stats.popular(edges, share=0.05)
-    approx = engine.Engine.of_edges(edges).walk(params.but(length=10), APPROX, popular=popular, eps=1e-3).steps()
-    walks = {"exact": engine.walk_resident(edges, params), "approx": approx, "trimmed": engine.walk_resident(stats.trim(edges), params)}
+    walks = {"exact": engine.walk_resident(edges, params), "approx": engine.walk_resident(edges, params, popular=popular, eps=1e-3), "trimmed": engine.walk_resident(stats.trim(edges), params)}
     rows = [(n, float(evaluate.f1(*evaluate.classify(embed.embed(w, dim=32), labels, 0.5)).first()[0])) for n, w in walks.items()]
     return spark.createDataFrame(rows, "variant string, f1 double")

@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 
+from .bounds import gap
 from .kernel import ragged, runs
 from .rng import SPAN
 
@@ -28,6 +29,23 @@ class Resident:
         offsets = np.concatenate([[0], np.cumsum(np.bincount(a, minlength=len(vids)))])
         return cls(vids, offsets, b[order], ws[order])
 
+    def mark(self, popular: np.ndarray) -> None:
+        """Marks popular vertices and notes the weight ranges that bounds need."""
+        self.hot = np.isin(self.vids, popular)
+        some = np.flatnonzero(self.deg > 0)
+        self.wmin, self.wmax = np.ones(len(self.vids), self.ws.dtype), np.ones(len(self.vids), self.ws.dtype)
+        if len(some):
+            self.wmin[some] = np.minimum.reduceat(self.ws, self.offsets[some])
+            self.wmax[some] = np.maximum.reduceat(self.ws, self.offsets[some])
+
+    def remembered(self, prev: np.ndarray, cur: np.ndarray, params, eps: float) -> np.ndarray:
+        """``prev``, or -1 where the bounds are tight enough for a static draw."""
+        able = np.flatnonzero((prev >= 0) & ~self.hot[np.maximum(prev, 0)] & self.hot[cur])
+        tight = gap(self.deg[prev[able]], self.deg[cur[able]], self.wmin[cur[able]], self.wmax[cur[able]], params.p, params.q) < eps
+        out = prev.copy()
+        out[able[tight]] = -1
+        return out
+
     def nbytes(self) -> int:
         return sum(x.nbytes for x in (self.vids, self.offsets, self.dst, self.ws, self.prefix, self.keys))
 

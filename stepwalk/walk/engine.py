@@ -312,16 +312,19 @@ def resident_graph(edges: DataFrame, most_bytes: int = 1 << 29) -> Resident | No
     return Resident.of(*(np.asarray(rows.column(c)) for c in ("src", "dst", "w")))
 
 
-def walk_resident(edges: DataFrame, params: WalkParams, starts: DataFrame | None = None, most_bytes: int = 1 << 29, tasks: int | None = None) -> DataFrame:
+def walk_resident(edges: DataFrame, params: WalkParams, starts: DataFrame | None = None, most_bytes: int = 1 << 29, tasks: int | None = None, popular: DataFrame | None = None, eps: float = 0.0) -> DataFrame:
     """(start, round, step, vertex) with no shuffle between moves: the graph, checked to be small, is broadcast to workers.
 
-    Larger graphs take the superstep engine.  Both give the same walks.
+    Larger graphs take the superstep engine.  Both give the same walks.  With ``popular`` (vid) and ``eps`` a popular vertex
+    that is reached from another kind is sampled statically where its bounds lie closer than ``eps``.
     """
     spark = edges.sparkSession
     graph = resident_graph(edges, most_bytes)
     if graph is None:
         engine = Engine.of_edges(edges)
-        return engine.walk(params, starts=starts).steps()
+        return engine.walk(params, APPROX if popular is not None else BASE, popular=popular, starts=starts, eps=eps).steps()
+    if popular is not None:
+        graph.mark(np.asarray(popular.select("vid").distinct().toArrow().column("vid")))
     shared = spark.sparkContext.broadcast(graph)
     factors = params.scaled() or params.factors()
     vids = starts.select("vid").distinct() if starts is not None else edges.select(F.col("src").alias("vid")).distinct()
@@ -343,7 +346,8 @@ def walk_resident(edges: DataFrame, params: WalkParams, starts: DataFrame | None
             for move in range(1, params.length + 1):
                 if not len(live):
                     break
-                to = g.step(cur, prev if not params.first_order() else np.full(len(cur), -1), draw[live, move - 1], factors)
+                known = np.full(len(cur), -1) if params.first_order() else g.remembered(prev, cur, params, eps) if eps > 0 else prev
+                to = g.step(cur, known, draw[live, move - 1], factors)
                 prev, cur = cur, to
                 yield _log(start[live], round_[live], move, g.vids[cur])
                 on = g.deg[cur] > 0
