@@ -14,8 +14,8 @@ all members are first compared with it, which also gives their differences from
 
 where the centre has n units, x misses a_x of them and adds b_x.  So a member that does not link with the centre can link
 with another only if they share many differences, at least a_x + t*b_x - (1-t)*n of x's own for a threshold t.  Sorting
-differences by rarity, one of the rarest few of x must be shared: those few are joined, with members that hold enough
-differences which any other member holds at all, and only what they find is compared.  No link that could join two components is left unseen, and no pairs of a bucket are made.
+differences that several members hold by rarity, one of the rarest few of both must be shared (all but k - 1 of each): those
+few are joined, and only what they find is compared.  No link that could join two components is left unseen, and no pairs of a bucket are made.
 """
 
 from __future__ import annotations
@@ -79,7 +79,7 @@ def signatures(rows: np.ndarray, hashes: np.ndarray, counts: np.ndarray, n: int,
     time, made, take = np.zeros(len(row)), 0, 1
     while len(row):
         draw = mix(seed[:, None] + np.arange(made + 1, made + take + 1).astype(U64)[None, :] * U64(0x9E3779B97F4A7C15))
-        point = time[:, None] + np.cumsum(-np.log(_unit(draw)), axis=1) / rate[:, None]
+        point = np.cumsum(np.concatenate([time[:, None], -np.log(_unit(draw)) / rate[:, None]], axis=1), axis=1)[:, 1:]  # one by one: the same bits however many
         place = mix(draw + U64(0xA0761D6478BD642F))
         good = (point < latest[row][:, None]) & (_unit(mix(place + U64(0xE7037ED1A0B428DB))) < share[:, None])
         slot = (place % U64(slots)).astype(np.int64)
@@ -202,14 +202,15 @@ def sharing_differences(star: DataFrame, threshold: float) -> DataFrame:
     units_ = inside.select(*names, "differences").mapInArrow(_each_difference, ", ".join(f"{c} long" for c in [*names, "unit"]))
     often = units_.groupBy("centre", "unit").agg(F.count("*").alias("often")).where("often > 1")
     of = Window.partitionBy("centre", "node")
-    shared = written(units_.join(often, ["centre", "unit"]).withColumn("share", F.count("*").over(of)), "differences")
+    ranked = {"share": F.count("*").over(of), "rank": F.row_number().over(of.orderBy("often", "unit"))}
+    shared = written(units_.join(often, ["centre", "unit"]).withColumns(ranked), "differences")
     needed = F.ceil(F.col("missing") + threshold * F.col("added") - (1 - threshold) * F.col("n") - 1e-9)
     few = F.col("missing") + F.col("added") - needed + 1 - (F.col("missing") + F.col("added") - F.col("share"))
     rare = shared.join(star.where("root <> centre_root").select("centre", "node"), ["centre", "node"], "left_semi")
-    rare = rare.withColumn("rank", F.row_number().over(of.orderBy("often", "unit"))).withColumn("few", few).where((F.col("rank") <= F.col("few")) & (needed > 0))
-    other = shared.select("centre", "unit", *[F.col(c).alias(f"_{c}") for c in ("node", "root", "missing", "added", "share")])
+    rare = rare.where((F.col("rank") <= few) & (needed > 0))
+    other = shared.select("centre", "unit", *[F.col(c).alias(f"_{c}") for c in ("node", "root", "missing", "added", "share", "rank")])
     both = (threshold * (F.col("n") + F.col("added") + F.col("_added")) - F.col("n") + F.col("missing") + F.col("_missing")) / (1 + threshold) - 1e-9
-    can = (both <= F.col("share")) & (both <= F.col("_share"))
+    can = (F.col("rank") + both <= F.col("share") + 1) & (F.col("_rank") + both <= F.col("_share") + 1)
     sizes = similar_sizes(F.col("n") - F.col("missing") + F.col("added"), F.col("n") - F.col("_missing") + F.col("_added"), threshold)
     pairs = rare.join(other, (rare.centre == other.centre) & (rare.unit == other.unit) & (F.col("root") != F.col("_root")) & can & sizes)
     return pairs.select(F.least("node", "_node").alias("a"), F.greatest("node", "_node").alias("b")).distinct()
