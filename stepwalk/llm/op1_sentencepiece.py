@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 from .tables import table, with_measures
-from .textbatch import BYTES, U64, Chunk, KnownWords, mix, ragged, span_sums
+from .textbatch import BYTES, U64, Chunk, KnownWords, kept_in_worker, mix, ragged, span_sums
 
 MARK = "▁"
 UNKNOWN_PENALTY = 10.0
@@ -278,14 +278,9 @@ class Unigram:
         return text.decode("utf-8", "replace")
 
 
-_MODELS: dict[str, Unigram] = {}
-
-
 def model(path: str) -> Unigram:
     """Read once per Python worker."""
-    if path not in _MODELS:
-        _MODELS[path] = Unigram.from_model(path)
-    return _MODELS[path]
+    return kept_in_worker(("unigram", path), lambda: Unigram.from_model(path))
 
 
 def encode(docs: DataFrame, path: str, text_column: str = "text") -> DataFrame:

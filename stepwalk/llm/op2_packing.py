@@ -16,8 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import table, written
-from .textbatch import Chunk, KnownWords, chunks
+from .tables import small_batches, table, written
+from .textbatch import Chunk, KnownWords, chunks, kept_in_worker
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 NAMES = [x.split()[0] for x in PIECES.split(", ")]
@@ -32,7 +32,7 @@ class WordTokens:
 
     MARK = "\x01"
 
-    def __init__(self, path: str, limit: int = 1_000_000):
+    def __init__(self, path: str, limit: int = 200_000):
         from tokenizers import Tokenizer
 
         self.encoder = Tokenizer.from_file(path)
@@ -73,14 +73,9 @@ class WordTokens:
         return ids, np.diff(np.concatenate([[0], np.cumsum(per)])[words.first])
 
 
-_TOKENS: dict[str, WordTokens] = {}
-
-
 def word_tokens(path: str) -> WordTokens:
     """One encoder per Python worker: its word list outlives a task."""
-    if path not in _TOKENS:
-        _TOKENS[path] = WordTokens(path)
-    return _TOKENS[path]
+    return kept_in_worker(("tokens", path), lambda: WordTokens(path))
 
 
 class Windows:
@@ -197,6 +192,7 @@ def pack(docs: DataFrame, tokenizer: str, size: int = 2048, open_windows: int =
     shared folder.  Windows still open at the end of partitions (at most ``open_windows`` each, with their ids) meet in
     groups of ``fan_in`` partitions; the tail of a group gives sequences whose lengths are powers of two, hence unpadded.
     """
+    small_batches(docs.sparkSession)
     source = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).alias("text"))
     found = source.mapInArrow(_pack_partition(lambda chunk: word_tokens(tokenizer)(chunk), size, open_windows, end_id), PIECES + ", ids binary")
     pieces = written(found, "pieces")

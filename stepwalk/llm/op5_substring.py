@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .tables import parts, row_key, table
+from .tables import parts, row_key, small_batches, table
 from .textbatch import U64, Words, chunks, mix, uint64_blob
 
 # Perfect difference sets (modulus, residues); every non-zero residue is a difference of two members.
@@ -162,6 +162,7 @@ def remove_repeats(docs: DataFrame, window: int = 35, keep_text: bool = True, te
     Anchors travel as 32 bits beside their bucket number, as they only choose what is extended; windows with 64 bits.
     Texts are shuffled once: both meetings with replies read the same exchange.
     """
+    small_batches(docs.sparkSession)
     buckets = dests = buckets or parts(docs.sparkSession)
     period, cover = cover_for(window)
     size = window - period + 1

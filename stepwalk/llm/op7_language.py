@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .tables import hash_sample, held_back, table, with_measures
-from .textbatch import Chunk
+from .textbatch import Chunk, kept_in_worker
 
 BLOCK = 512
 LANES = 1 << 14
@@ -153,16 +153,10 @@ class Parser:
             return (total * self.log_size[:, None] / size[None, :]).T
 
 
-_PARSERS: dict[str, Parser] = {}
-
-
 def parser(samples: dict[str, bytes]) -> Parser:
     """Built once per Python worker from the samples, which are small enough to travel with the task."""
     digest = hashlib.sha256(b"\0".join(k.encode() + b"\1" + v for k, v in sorted(samples.items()))).hexdigest()
-    if digest not in _PARSERS:
-        _PARSERS.clear()
-        _PARSERS[digest] = Parser(samples)
-    return _PARSERS[digest]
+    return kept_in_worker(("parser", digest), lambda: Parser(samples))
 
 
 def _has_letter(chunk: Chunk) -> np.ndarray:

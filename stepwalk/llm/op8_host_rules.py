@@ -7,15 +7,12 @@ is at least ``reject_rate`` loses all its documents.  The host table joins back
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import table, written
-from .textbatch import Chunk, chunks, repeated_cover
+from .tables import table, with_measures, written
+from .textbatch import Chunk, repeated_cover
 
 # The characters that count as symbols.
 SYMBOLS = "#*$%&|<>"
@@ -51,16 +48,8 @@ def measures(chunk: Chunk) -> dict[str, np.ndarray]:
 
 def measured(docs: DataFrame, text_column: str = "text") -> DataFrame:
     """``docs`` with its text replaced by the five measures."""
-    keep = [c for c in docs.columns if c != text_column and c not in MEASURES]
-    types = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in keep]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for chunk in chunks(batches, text_column):
-            found = measures(chunk)
-            columns = [chunk.rows.column(chunk.rows.schema.get_field_index(c)) for c in keep]
-            yield pa.RecordBatch.from_arrays(columns + [pa.array(found[m], pa.int64()) for m in MEASURES], [*keep, *MEASURES])
-
-    return docs.select(*keep, text_column).mapInArrow(run, ", ".join(types + [f"{m} long" for m in MEASURES]))
+    keep = [c for c in docs.columns if c != text_column]
+    return with_measures(docs, measures, {m: "long" for m in MEASURES}, text_column, keep)
 
 
 def base_failed(min_words: int = 50, max_repeat: int = 50) -> Column:

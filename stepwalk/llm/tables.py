@@ -40,6 +40,13 @@ def parts(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def small_batches(spark: SparkSession, rows: int = 2000) -> None:
+    """Arrow batches of at most ``rows`` texts for the Arrow stages of this session: buffers then take some megabytes a task."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= rows:
+        spark.conf.set(key, str(rows))
+
+
 def row_key(*columns: str):
     """A 64-bit key of a row; equal rows share it, which is harmless where replies depend on the row's values alone."""
     return F.xxhash64(*columns)
@@ -56,6 +63,7 @@ def with_measures(docs: DataFrame, compute, fields: dict[str, str], text_column:
 
     from .textbatch import chunks
 
+    small_batches(docs.sparkSession)
     kept = [c for c in (keep if keep is not None else docs.columns) if c not in fields]
     schema = T.StructType([docs.schema[c] for c in kept] + [T.StructField(n, T._parse_datatype_string(t)) for n, t in fields.items()])
     arrow = [to_arrow_type(schema[n].dataType) for n in fields]

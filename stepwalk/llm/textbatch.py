@@ -7,13 +7,14 @@ a bit mix.  Every function takes whole texts; nothing is cut to a prefix.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 20
 U64 = np.uint64
 
 _SPACE = np.zeros(256, dtype=bool)
@@ -127,6 +128,14 @@ class Words:
         return first, mix((sums[first + size] - sums[first]) * down[first] + U64(size))
 
 
+def give_back() -> None:
+    """Hands freed memory back to the system, where the C library can: an idle worker then keeps little."""
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 def chunks(batches, column: str = "text", limit: int = CHUNK_BYTES) -> Iterator[Chunk]:
     """Batches cut between rows so that a chunk has at most ``limit`` text bytes (one longer text stands alone)."""
     for batch in batches:
@@ -141,12 +150,26 @@ def chunks(batches, column: str = "text", limit: int = CHUNK_BYTES) -> Iterator[
             to = min(max(to, at + 1), batch.num_rows)
             yield Chunk(batch.slice(at, to - at), column)
             at = to
+        del batch, texts
+        pa.default_memory_pool().release_unused()
+    give_back()
+
+
+_KEPT: dict = {}
+
+
+def kept_in_worker(key, make):
+    """An object that outlives a task in its Python worker.  One is kept: the next operator's replaces it."""
+    if key not in _KEPT:
+        _KEPT.clear()
+        _KEPT[key] = make()
+    return _KEPT[key]
 
 
 class KnownWords:
     """Ids of words seen before, in arrays sorted by word hash: at most ``limit`` words are kept, others are encoded each time."""
 
-    def __init__(self, encode, limit: int = 1_000_000):
+    def __init__(self, encode, limit: int = 200_000):
         self.encode, self.limit = encode, limit
         self.known = np.zeros(0, U64)
         self.at = np.zeros(0, np.int64)
