@@ -107,6 +107,11 @@ def walk_chunked(spark, sf_dir):
     return engine.walk_chunked(model.adjacency(graph(spark, sf_dir), chunk=16), P_LOCAL.but(length=4)).steps()
 
 
+@registry()
+def walk_reject(spark, sf_dir):
+    return engine.walk_resident(graph(spark, sf_dir), P_LOCAL, reject=True)
+
+
 _DAG = f"SELECT src, dst, w FROM ({SQL['user']}) WHERE src < dst"
 
 

@@ -109,3 +109,28 @@ class Resident:
             high[live] = np.where(over, mid, high[live])
             low[live] = np.where(over, low[live], mid + 1)
         return self.dst[low]
+
+    def step_reject(self, cur: np.ndarray, prev: np.ndarray, draw: np.ndarray, factors: tuple) -> np.ndarray:
+        """Next positions by rejection: propose by plain weights, accept by factor over the largest factor.
+
+        One probe of an edge a trial instead of a list; each trial's numbers come from the walker's draw.
+        """
+        back, near, other = (float(f) for f in factors)
+        out, live, trial = np.zeros(len(cur), np.int64), np.arange(len(cur)), 0
+        while len(live):
+            trial += 1
+            seed = (draw[live].astype(np.uint64) + np.uint64(trial)) * np.uint64(0x9E3779B97F4A7C15)
+            seed = (seed ^ (seed >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+            seed ^= seed >> np.uint64(27)
+            r1 = (seed >> np.uint64(32)).astype(float) / 2**32
+            r2 = (((seed * np.uint64(0x94D049BB133111EB)) >> np.uint64(32)).astype(float)) / 2**32
+            v, u = cur[live], prev[live]
+            low, high = self.prefix[self.offsets[v]], self.prefix[self.offsets[v + 1]]
+            at = np.searchsorted(self.prefix, low + r1 * (high - low), side="right") - 1
+            at = np.clip(at, self.offsets[v], self.offsets[v + 1] - 1)
+            x = self.dst[at]
+            factor = np.where(u < 0, max(back, near, other), np.where(x == u, back, np.where(self.find(np.maximum(u, 0), x) >= 0, near, other)))
+            ok = r2 * max(back, near, other) < factor
+            out[live[ok]] = x[ok]
+            live = live[~ok]
+        return out

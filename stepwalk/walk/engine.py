@@ -129,15 +129,22 @@ def collect_hot(adj: DataFrame, popular: DataFrame, with_lists: bool, most_bytes
 
 
 @contextmanager
-def batch_rows(spark: SparkSession, bytes_per_row: float, budget: int = 32 << 20):
-    """Arrow batches bounded by bytes: fewer rows where rows carry long lists."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(key)
-    spark.conf.set(key, str(int(min(10_000, max(16, budget // max(1.0, bytes_per_row))))))
+def setting(spark: SparkSession, key: str, value: str):
+    """A runtime setting for the length of a block."""
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, value)
     try:
         yield
     finally:
-        spark.conf.set(key, before)
+        if before is None:
+            spark.conf.unset(key)
+        else:
+            spark.conf.set(key, before)
+
+
+def batch_rows(spark: SparkSession, bytes_per_row: float, budget: int = 32 << 20):
+    """Arrow batches bounded by bytes: fewer rows where rows carry long lists."""
+    return setting(spark, "spark.sql.execution.arrow.maxRecordsPerBatch", str(int(min(10_000, max(16, budget // max(1.0, bytes_per_row))))))
 
 
 def _lists(column: pa.ListArray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -209,6 +216,13 @@ class Engine:
         self.spark = adj.sparkSession
         self.parts = parts or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
         self.adj = place(adj, self.parts, keep)
+        self._by_part: DataFrame | None = None
+
+    def by_part(self) -> DataFrame:
+        """The adjacency laid out by vertex partition: both lookups of the local route then happen in one task."""
+        if self._by_part is None:
+            self._by_part = self.adj.select("part", "vid", "ids", "ws").repartition(self.parts, "part").persist()
+        return self._by_part
 
     @classmethod
     def of_edges(cls, edges: DataFrame, **options) -> Engine:
@@ -216,6 +230,8 @@ class Engine:
 
     def close(self) -> None:
         self.adj.unpersist()
+        if self._by_part is not None:
+            self._by_part.unpersist()
 
     def size_biased_degree(self) -> float:
         """Mean length of the list that a walker meets."""
@@ -235,7 +251,7 @@ class Engine:
         state = begin.withColumns({k: F.lit(None).cast(t) for k, t in empty.items()} | {"n_ids": F.lit(0).cast("long"), "hops": F.lit(0)})
         state.write.parquet(f"{path}/step=0")
         sent = _Sent(self, popular) if variant.cache == "lazy" else None
-        with batch_rows(spark, 24 * self.size_biased_degree()):
+        with batch_rows(spark, 24 * self.size_biased_degree()), setting(spark, "spark.sql.requireAllClusterKeysForCoPartition", "false"):
             for move in range(1, params.length + 1):
                 now = spark.read.schema(STATE).parquet(f"{path}/step={move - 1}")
                 now = now.withColumn("draw", draw48(params.seed, "round", "start", move, params.rng))
@@ -248,16 +264,29 @@ class Engine:
 
     def _attach(self, now: DataFrame, variant: Variant, sent: _Sent | None, plain: bool) -> DataFrame:
         """Walkers with the neighbours of their vertex (ids, ws) and, where it was not shipped, the last vertex's list."""
+        if variant.local and not plain:
+            return self._attach_in_part(now, sent)
         lists = self.adj.select("vid", "ids", "ws")
-        joined = now.join(lists, now.vertex == lists.vid).drop("vid")
-        if plain:
-            return joined
-        beside = {"local": variant.local, "ask": variant.switch}
-        for route in (r for r, used in beside.items() if used):
+        if variant.switch and not plain:
             other = self.adj.select(F.col("vid").alias("_vid"), F.col("ids").alias("_ids"))
-            wanted = F.when(F.col("route") == route, F.col("prev"))
-            joined = joined.withColumn("_want", wanted).join(other, F.col("_want") == F.col("_vid"), "left")
-            joined = joined.withColumn("prev_ids", F.coalesce("prev_ids", "_ids")).drop("_want", "_vid", "_ids")
+            asked = now.withColumn("_want", F.when(F.col("route") == "ask", F.col("prev")))
+            asked = asked.join(other, F.col("_want") == F.col("_vid"), "left")
+            now = asked.withColumn("prev_ids", F.coalesce("prev_ids", "_ids")).drop("_want", "_vid", "_ids")
+        return now.join(lists, F.col("vertex") == F.col("vid")).drop("vid")
+
+    def _attach_in_part(self, now: DataFrame, sent: _Sent | None) -> DataFrame:
+        """Walkers go to the partition of their vertex once; the list of a last vertex that lives there is read in place.
+
+        Needs spark.sql.requireAllClusterKeysForCoPartition off, which ``walk`` sees to: the joins' keys hold the partition.
+        """
+        lists = self.by_part()
+        now = now.withColumn("_at", part_of("vertex", self.parts)).repartition(self.parts, "_at")
+        own = lists.select(F.col("part").alias("_p"), "vid", "ids", "ws")
+        joined = now.join(own, (F.col("_at") == F.col("_p")) & (F.col("vertex") == F.col("vid"))).drop("_p", "vid")
+        beside = lists.select(F.col("part").alias("_p"), F.col("vid").alias("_vid"), F.col("ids").alias("_ids"))
+        joined = joined.withColumn("_want", F.when(F.col("route") == "local", F.col("prev")))
+        joined = joined.join(beside, (F.col("_at") == F.col("_p")) & (F.col("_want") == F.col("_vid")), "left")
+        joined = joined.withColumn("prev_ids", F.coalesce("prev_ids", "_ids")).drop("_want", "_vid", "_ids", "_p", "_at")
         return sent.attach(joined) if sent is not None else joined
 
 
@@ -312,11 +341,12 @@ def resident_graph(edges: DataFrame, most_bytes: int = 1 << 29) -> Resident | No
     return Resident.of(*(np.asarray(rows.column(c)) for c in ("src", "dst", "w")))
 
 
-def walk_resident(edges: DataFrame, params: WalkParams, starts: DataFrame | None = None, most_bytes: int = 1 << 29, tasks: int | None = None, popular: DataFrame | None = None, eps: float = 0.0) -> DataFrame:
+def walk_resident(edges: DataFrame, params: WalkParams, starts: DataFrame | None = None, most_bytes: int = 1 << 29, tasks: int | None = None, popular: DataFrame | None = None, eps: float = 0.0, reject: bool = False) -> DataFrame:
     """(start, round, step, vertex) with no shuffle between moves: the graph, checked to be small, is broadcast to workers.
 
     Larger graphs take the superstep engine.  Both give the same walks.  With ``popular`` (vid) and ``eps`` a popular vertex
-    that is reached from another kind is sampled statically where its bounds lie closer than ``eps``.
+    that is reached from another kind is sampled statically where its bounds lie closer than ``eps``.  ``reject`` draws by
+    rejection, with the same probabilities but other walks (larger graphs do not know it).
     """
     spark = edges.sparkSession
     graph = resident_graph(edges, most_bytes)
@@ -347,7 +377,7 @@ def walk_resident(edges: DataFrame, params: WalkParams, starts: DataFrame | None
                 if not len(live):
                     break
                 known = np.full(len(cur), -1) if params.first_order() else g.remembered(prev, cur, params, eps) if eps > 0 else prev
-                to = g.step(cur, known, draw[live, move - 1], factors)
+                to = (g.step_reject if reject else g.step)(cur, known, draw[live, move - 1], factors)
                 prev, cur = cur, to
                 yield _log(start[live], round_[live], move, g.vids[cur])
                 on = g.deg[cur] > 0

@@ -157,6 +157,30 @@ def test_no_exchange_above_the_placed_adjacency(spark, sf):
     assert not any("Exchange" in x for x in lines[at - 2 : at])
 
 
+def test_local_reads_shuffle_walkers_only(spark, sf):
+    edges = written(build.supply_edges(spark, sf), "supply")
+    run = Engine.of_edges(edges, parts=4)
+    now = spark.read.parquet(run.walk(LOW.but(length=1), LOCAL).path + "/step=1").withColumn("draw", F.lit(5))
+    kept = {k: spark.conf.get(k) for k in ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.enabled")}
+    try:
+        for k, v in (("spark.sql.autoBroadcastJoinThreshold", "-1"), ("spark.sql.adaptive.enabled", "false")):
+            spark.conf.set(k, v)
+        with engine.setting(spark, "spark.sql.requireAllClusterKeysForCoPartition", "false"):
+            plan = run._attach(now, LOCAL, None, False)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        for k, v in kept.items():
+            spark.conf.set(k, v)
+    above = [x for x in plan.splitlines() if "Exchange hashpartitioning" in x and "REPARTITION_BY_NUM" in x and "_at" in x]
+    assert len(above) == 1 and "ENSURE_REQUIREMENTS" not in plan.split("InMemoryRelation")[0]
+
+
+def test_rejection_draws_the_same_distribution(user):
+    params = LOW.but(length=40, walks_per_vertex=30)
+    found = evaluate.walk_distance(engine.walk_resident(user, params, reject=True), user, LOW).where("n >= 80").agg(F.avg("tv"), F.count("*")).first()
+    exact = evaluate.walk_distance(engine.walk_resident(user, params), user, LOW).where("n >= 80").agg(F.avg("tv")).first()
+    assert found[1] > 10 and abs(found[0] - exact[0]) < 0.02
+
+
 def test_sentences_pairs_and_scores(spark, user):
     steps = engine.walk_resident(user, LOW)
     assert embed.walk_sentences(steps).first().path[0]
