@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -23,6 +25,7 @@ def shared_dir(spark: SparkSession) -> str:
         if not spark.sparkContext.master.startswith("local"):
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         named = tempfile.mkdtemp(prefix="stepwalk-checkpoint-")
+        atexit.register(shutil.rmtree, named, True)
         spark.sparkContext.setCheckpointDir(named)
         return spark.sparkContext.getCheckpointDir()
     return named
