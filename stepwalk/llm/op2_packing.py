@@ -32,7 +32,7 @@ class WordTokens:
 
     MARK = "\x01"
 
-    def __init__(self, path: str, limit: int = 200_000):
+    def __init__(self, path: str, limit: int = 600_000):
         from tokenizers import Tokenizer
 
         self.encoder = Tokenizer.from_file(path)
@@ -135,7 +135,7 @@ def _pack_partition(encode: Callable[[Chunk], tuple[np.ndarray, np.ndarray]], si
             columns = zip(*rows, strict=True)
             return pa.RecordBatch.from_arrays([pa.array(c, pa.binary() if n == "ids" else pa.int64()) for n, c in zip([*NAMES, "ids"], columns, strict=True)], [*NAMES, "ids"])
 
-        for chunk in chunks(batches):
+        for chunk in chunks(batches, limit=2 << 20):
             ids, per_doc = encode(chunk)
             begin = np.cumsum(per_doc) - per_doc
             keys = chunk.rows.column(0).to_pylist()
