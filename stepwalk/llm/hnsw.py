@@ -11,6 +11,7 @@ import numpy as np
 
 LINKS, SHARE = 32, 16
 BATCH = 256
+FRONTIER = 1 << 14  # pairs whose links are looked at together, so that dense shards stay within memory
 
 
 def _level(keys: np.ndarray) -> np.ndarray:
@@ -166,19 +167,21 @@ class Graph:
         hits: list[tuple[np.ndarray, np.ndarray]] = []
         self.search(q, width, seen, least, hits)
         row, node = np.concatenate([h[0] for h in hits]), np.concatenate([h[1] for h in hits])
-        found_row, found_node = [row], [node]
-        while len(row):
-            near = self.links[node]
+        found, waiting = [(row, node)], [(row, node)]
+        while waiting:
+            row, node = waiting.pop()
+            if len(row) > FRONTIER:
+                waiting.append((row[FRONTIER:], node[FRONTIER:]))
+                row, node = row[:FRONTIER], node[:FRONTIER]
+            near = self.links[node].ravel()
             r = np.repeat(row, LINKS)
-            near = near.ravel()
             ok = near >= 0
-            r, near = r[ok], near[ok]
-            ok = ~seen[r, near]
+            ok[ok] = ~seen[r[ok], near[ok]]
             both = np.unique(r[ok].astype(np.int64) * len(self.x) + near[ok])
             r, near = both // len(self.x), both % len(self.x)
             seen[r, near] = True
             hit = np.einsum("nd,nd->n", q[r], self.x[near]) >= least
-            row, node = r[hit], near[hit]
-            found_row.append(row)
-            found_node.append(node)
-        return np.concatenate(found_row), np.concatenate(found_node)
+            if hit.any():
+                found.append((r[hit], near[hit]))
+                waiting.append(found[-1])
+        return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])

@@ -75,17 +75,15 @@ def _local_roots(match: np.ndarray, left: np.ndarray, right: np.ndarray) -> tupl
     """Smallest node reachable over the matrix's links, of its rows and of its columns."""
     a, b = left.copy(), right.copy()
     top = np.iinfo(np.int64).max
-    rows, cols = np.nonzero(match)
+    some = [k for k in range(0, len(match), BATCH) if match[k : k + BATCH].any()]
     while True:
-        low = np.full(len(b), top)
-        np.minimum.at(low, cols, a[rows])
-        b2 = np.minimum(b, low)
-        low = np.full(len(a), top)
-        np.minimum.at(low, rows, b2[cols])
-        a2 = np.minimum(a, low)
-        if (a2 == a).all() and (b2 == b).all():
+        before = (a.copy(), b.copy())
+        for k in some:
+            part = match[k : k + BATCH]
+            b = np.minimum(b, np.where(part, a[k : k + BATCH, None], top).min(0))
+            a[k : k + BATCH] = np.minimum(a[k : k + BATCH], np.where(part, b[None, :], top).min(1))
+        if (a == before[0]).all() and (b == before[1]).all():
             return a, b
-        a, b = a2, b2
 
 
 def _meet(least: float, recall: float):
