@@ -59,11 +59,14 @@ NAMES = (
     ("cc-by-nc-nd", "cc", r"cc by nc nd"),
 )
 
+# Words that, before "under", offer a text on terms.
+OFFERS = ("released", "distributed", "available", "provided", "published", "dual licensed", "free to use")
+
 # How a name may be used: words before, words after, priority (4 wins over 1), confidence.
 USES = (
     (r"spdx license identifier ", r"(?: only| or later)?", 4, 1.0),
     (r"licensed under (?:the )?(?:terms of (?:the )?)?", r"(?: license| licence)?(?: [0-9] [0-9])?", 4, 0.98),
-    (r"(?:released|distributed|available|provided|published|dual licensed|free to use) under (?:the )?(?:terms of (?:the )?)?", r"(?: license| licence)?(?: [0-9] [0-9])?", 3, 0.95),
+    (rf"(?:{'|'.join(OFFERS)}) under (?:the )?(?:terms of (?:the )?)?", r"(?: license| licence)?(?: [0-9] [0-9])?", 3, 0.95),
     (r"(?:subject to|governed by|covered by|see) (?:the )?(?:terms of (?:the )?)?", r"(?: license| licence)", 3, 0.9),
     (r"license ", r"(?: license| licence)?", 2, 0.85),
     (r"(?:the )?", r" (?:license|licence)", 2, 0.8),
@@ -95,4 +98,5 @@ def rules() -> list[tuple[int, str, str, str, int, float, bool]]:
 
 def gate() -> str:
     """Case-blind pattern that any text with a detection matches: a word of each keyword, where a license can be meant."""
-    return r"(?i)licen[sc]e|copyright|rights\P{Alnum}+reserved|public\P{Alnum}+domain|proprietary|permission|redistribution|warranty|cc\P{Alnum}+by"
+    offers = "|".join(words.split()[-1] for words in OFFERS)
+    return rf"(?i)licen[sc]e|copyright|rights\P{{Alnum}}+reserved|public\P{{Alnum}}+domain|proprietary|permission|redistribution|warranty|cc\P{{Alnum}}+by|(?:{offers})\P{{Alnum}}+under"

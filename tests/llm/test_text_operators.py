@@ -6,6 +6,8 @@ import hashlib
 import re
 import zlib
 from collections import Counter
+from re import _constants as sre_constants
+from re import _parser as sre_parser
 
 import numpy as np
 import public_tokenizers
@@ -13,7 +15,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from stepwalk.llm import oracles
-from stepwalk.llm.license_rules import rules
+from stepwalk.llm.license_rules import gate, rules
 from stepwalk.llm.op1_sentencepiece import DoubleArray, Unigram, decode, digests, encode
 from stepwalk.llm.op2_packing import Windows, pack, padding
 from stepwalk.llm.op3_chat import PART, format_chat, loss_text, op3_chat, read_turns
@@ -270,3 +272,37 @@ def test_kept_digest_is_of_kept_text(spark, hard):
     a = {(r.doc_id, r.kept_text) for r in remove_repeats(hard).collect()}
     b = {(r.doc_id, r.kept_sha256) for r in remove_repeats(hard, keep_text=False).collect()}
     assert {(i, hashlib.sha256(t.encode()).hexdigest()) for i, t in a} == b
+
+
+def phrases(pattern):
+    """Texts that a rule's pattern matches: between them they hold every alternative, and every optional part once and not at all."""
+
+    def held(tree):
+        columns = []
+        for kind, what in tree:
+            if kind is sre_constants.LITERAL:
+                columns.append([chr(what)])
+            elif kind is sre_constants.IN:
+                columns.append([chr(x[1] if x[0] is sre_constants.LITERAL else x[1][0]) for x in what[:1]])
+            elif kind is sre_constants.BRANCH:
+                columns.append([t for branch in what[1] for t in held(branch)])
+            elif kind is sre_constants.SUBPATTERN:
+                columns.append(held(what[3]))
+            elif kind is sre_constants.MAX_REPEAT:
+                columns.append([t * n for n in dict.fromkeys((what[0], what[1])) for t in (held(what[2]) if n else [""])])
+            else:
+                assert kind is sre_constants.ASSERT
+        return ["".join(c[k % len(c)] for c in columns) for k in range(max(map(len, columns), default=1))]
+
+    found = held(sre_parser.parse(pattern))
+    assert all(re.search(pattern, t + " ") for t in found)
+    return found
+
+
+def test_license_gate_passes_what_rules_match(spark):
+    texts = [t.strip().replace(" ", "-\n") for r in rules() for t in phrases(r[3])]
+    stopped = spark.createDataFrame([(t,) for t in texts], "text string").where(~F.col("text").rlike(gate())).collect()
+    assert len(texts) > len(rules()) and not stopped
+    rows = [(1, "Released under the GNU GPL v3."), (2, "distributed under BSD 3-clause"), (3, "Available under MIT"), (4, "free to use under zlib")]
+    got = {r.doc_id: r.labels for r in scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: "gpl-3", 2: "bsd-3", 3: "mit", 4: "zlib"}
