@@ -13,7 +13,8 @@ NAMES = (
     ("bsd-2", "bsd", r"(?:simplified bsd|freebsd|bsd 2 clause|2 clause bsd|two clause bsd)"),
     ("bsd-3", "bsd", r"(?:new bsd|revised bsd|modified bsd|bsd 3 clause|3 clause bsd|three clause bsd)"),
     ("bsd-4", "bsd", r"(?:original bsd|bsd 4 clause|4 clause bsd)"),
-    ("0bsd", "0bsd", r"(?:zero clause bsd|0bsd)"),
+    ("0bsd", "zero", r"zero clause bsd"),
+    ("0bsd", "0bsd", r"0bsd"),
     ("gpl-1", "gpl", r"(?:gnu )?gpl(?: version| v)? 1(?: 0)?"),
     ("gpl-2", "gpl", r"(?:gnu )?gpl(?: version| v)? ?2(?: 0)?"),
     ("gpl-3", "gpl", r"(?:gnu )?gpl(?: version| v)? ?3(?: 0)?"),
@@ -21,7 +22,8 @@ NAMES = (
     ("gpl-3", "general", r"gnu general public license(?: as published by the free software foundation)?(?: either)?(?: version| v) 3"),
     ("lgpl-2", "lgpl", r"(?:gnu )?lgpl(?: version| v)? ?2(?: [01])?"),
     ("lgpl-3", "lgpl", r"(?:gnu )?lgpl(?: version| v)? ?3(?: 0)?"),
-    ("lgpl-2", "lesser", r"gnu (?:lesser|library) general public license(?: version| v) 2(?: [01])?"),
+    ("lgpl-2", "lesser", r"gnu lesser general public license(?: version| v) 2(?: [01])?"),
+    ("lgpl-2", "library", r"gnu library general public license(?: version| v) 2(?: [01])?"),
     ("lgpl-3", "lesser", r"gnu lesser general public license(?: version| v) 3"),
     ("agpl-3", "agpl", r"(?:gnu )?agpl(?: version| v)? ?3(?: 0)?"),
     ("agpl-3", "affero", r"gnu affero general public license(?: version| v)? 3"),
@@ -29,7 +31,8 @@ NAMES = (
     ("mpl-2", "mozilla", r"mozilla public license(?: version| v)? 2 0"),
     ("epl-1", "eclipse", r"eclipse public license(?: version| v)? 1(?: 0)?"),
     ("epl-2", "eclipse", r"eclipse public license(?: version| v)? 2(?: 0)?"),
-    ("cddl-1", "cddl", r"(?:common development and distribution license|cddl)(?: version| v)? 1(?: [01])?"),
+    ("cddl-1", "distribution", r"common development and distribution license(?: version| v)? 1(?: [01])?"),
+    ("cddl-1", "cddl", r"cddl(?: version| v)? 1(?: [01])?"),
     ("isc", "isc", r"isc"),
     ("zlib", "zlib", r"zlib(?: libpng)?"),
     ("boost-1", "boost", r"boost software(?: license)?(?: version| v)? 1(?: 0)?"),
@@ -38,12 +41,15 @@ NAMES = (
     ("artistic-1", "artistic", r"artistic license(?: version| v)? 1(?: 0)?"),
     ("artistic-2", "artistic", r"artistic license(?: version| v)? 2(?: 0)?"),
     ("postgresql", "postgresql", r"postgresql"),
-    ("python-2", "python", r"(?:python software foundation|psf)(?: license)?(?: version| v)? 2"),
+    ("python-2", "python", r"python software foundation(?: license)?(?: version| v)? 2"),
+    ("python-2", "psf", r"psf(?: license)?(?: version| v)? 2"),
     ("ofl-1", "font", r"sil open font(?: license)?(?: version| v)? 1 [01]"),
-    ("eupl-1", "eupl", r"(?:european union public license|eupl)(?: version| v)? 1 [012]"),
+    ("eupl-1", "european", r"european union public license(?: version| v)? 1 [012]"),
+    ("eupl-1", "eupl", r"eupl(?: version| v)? 1 [012]"),
     ("ms-pl", "microsoft", r"microsoft public license"),
     ("openssl", "openssl", r"openssl"),
-    ("odbl-1", "odbl", r"(?:open database license|odbl)(?: version| v)? 1(?: 0)?"),
+    ("odbl-1", "database", r"open database license(?: version| v)? 1(?: 0)?"),
+    ("odbl-1", "odbl", r"odbl(?: version| v)? 1(?: 0)?"),
     ("cc0-1", "cc0", r"(?:creative commons )?cc0(?: version| v)?(?: 1(?: 0)?)?"),
     ("cc-by", "attribution", r"creative commons attribution"),
     ("cc-by-sa", "sharealike", r"creative commons attribution sharealike"),

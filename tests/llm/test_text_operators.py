@@ -306,3 +306,12 @@ def test_license_gate_passes_what_rules_match(spark):
     rows = [(1, "Released under the GNU GPL v3."), (2, "distributed under BSD 3-clause"), (3, "Available under MIT"), (4, "free to use under zlib")]
     got = {r.doc_id: r.labels for r in scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {1: "gpl-3", 2: "bsd-3", 3: "mit", 4: "zlib"}
+
+
+def test_license_keywords_lose_no_match(spark, monkeypatch):
+    texts = [t.strip() for r in rules() for t in phrases(r[3])]
+    texts += ["Licensed under the GNU Library General Public License version 2", "Zero-Clause BSD License", "licensed under PSF License Version 2", "see the Open Database License 1.0 license"]
+    got = sorted(map(tuple, scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()))
+    monkeypatch.setitem(globals(), "rules", lambda keyed=rules: [(n, label, "", *rest) for n, label, _, *rest in keyed()])
+    assert got == [(i, *plain_licenses(t)) for i, t in enumerate(texts)]
+    assert [r[6] for r in got[-4:]] == ["lgpl-2", "0bsd", "python-2", "odbl-1"]
