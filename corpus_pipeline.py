@@ -28,8 +28,10 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language can be told: texts without a letter go."""
+    """Documents whose language can be told: texts without a letter go; all stay where no label is there to learn from."""
     samples = learn(docs.where(~held_back("doc_id", 4, 2) & F.col("lang").isNotNull()).select("doc_id", "text", "lang"))
+    if not samples:
+        return docs
     return identify(docs, samples).where("lang_pred <> 'und'").select(docs.columns)
 
 

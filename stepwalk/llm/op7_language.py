@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import hash_sample, held_back, table, with_measures
+from .tables import held_back, table, with_measures
 from .textbatch import Chunk, kept_in_worker
 
 BLOCK = 512
@@ -168,18 +168,31 @@ def _has_letter(chunk: Chunk) -> np.ndarray:
     return some
 
 
-def learn(labelled: DataFrame, symbols_per_language: int = 60_000, docs_per_language: int = 150) -> dict[str, bytes]:
-    """A sample of text per language, of at most ``symbols_per_language`` bytes, from about ``docs_per_language`` rows each.
+def learn(labelled: DataFrame, symbols_per_language: int = 60_000, docs_per_language: int = 150, symbols_in_all: int = 4_000_000) -> dict[str, bytes]:
+    """A sample of text of every language that has a text, of at most ``symbols_per_language`` bytes, from about ``docs_per_language`` rows each.
 
-    ``labelled`` has doc_id, text, lang.  Rows are chosen by a hash of the id; only texts of up to a tenth of the bound are
-    taken, whole.  A language none of whose rows can be taken is not learned.
+    ``labelled`` has doc_id, text, lang.  Rows are chosen by a hash of id and text, at least one a language.  A text is taken
+    whole up to a tenth of the bound (more where a language has fewer than ten rows), else a span of that size at a place
+    that the hash chooses.  Where languages are so many that their samples together would pass ``symbols_in_all`` (the
+    parser's table has 32-bit offsets), all get an equal share of it.
     """
-    usable = labelled.where((F.octet_length("text") > 0) & (F.octet_length("text") <= symbols_per_language // 10))
-    rows = hash_sample(usable, "lang", docs_per_language, "doc_id").select("lang", "text", F.xxhash64("doc_id", F.lit(7)).alias("place")).collect()
+    place = F.pmod(F.xxhash64("doc_id", "text", F.lit(7)), F.lit(1 << 30))
+    usable = labelled.where((F.octet_length("text") > 0) & F.col("lang").isNotNull()).select("lang", "text", place.alias("place"))
+    counts = usable.groupBy("lang").agg(F.count("*").alias("n"), F.min("place").alias("first")).collect()
+    if not counts:
+        return {}
+    bound = max(1, min(symbols_per_language, symbols_in_all // len(counts)))
+    most = {r["lang"]: max(4, bound // min(10, r["n"])) for r in counts}
+    rows = [(r["lang"], max(r["first"], int(min(1.0, docs_per_language / r["n"]) * (1 << 30))), most[r["lang"]]) for r in counts]
+    upto = labelled.sparkSession.createDataFrame(rows, "lang string, upto long, most int")
+    begin = F.pmod(F.xxhash64("place"), F.greatest(F.char_length("text") - F.col("most"), F.lit(0)) + 1).cast("int") + 1
+    span = F.substring(F.substring("text", begin, F.col("most")).cast("binary"), F.lit(1), F.col("most"))
+    piece = F.when(F.octet_length("text") <= F.col("most"), F.col("text").cast("binary")).otherwise(span)
+    chosen = usable.join(F.broadcast(upto), "lang").where("place <= upto").select("lang", "place", piece.alias("piece")).distinct()
     taken: dict[str, list[bytes]] = {}
-    for r in sorted(rows, key=lambda r: (r["lang"], r["place"], r["text"])):
-        data = r["text"].encode()
-        if sum(map(len, taken.get(r["lang"], []))) + len(data) <= symbols_per_language:
+    for r in sorted(chosen.collect(), key=lambda r: (r["lang"], r["place"], r["piece"])):
+        data = bytes(r["piece"]).decode("utf-8", "ignore").encode()
+        if r["lang"] not in taken or sum(map(len, taken[r["lang"]])) + len(data) <= bound:
             taken.setdefault(r["lang"], []).append(data)
     return {k: b"\n".join(v) for k, v in taken.items()}
 

@@ -232,3 +232,23 @@ def test_pipeline_stages_take_nothing(spark, sf):
     none = table(spark, sf, "documents").limit(0)
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, none, sf).count() == 0
+
+
+def test_every_labelled_language_is_learned(spark):
+    import corpus_pipeline
+
+    long = {"aa": "abra kadabra " * 2000, "bb": "日本語 の テキスト " * 900}
+    rows = [(i, t, k) for k, t in long.items() for i in range(40)] + [(None, "same row", "cc")] * 2000
+    rows += [(i, f"tongue number {i}", f"x{i}") for i in range(300)]
+    labelled = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    samples = learn(labelled)
+    assert set(samples) == {r[2] for r in rows} and max(map(len, samples.values())) <= 60_000 + 150
+    assert min(len(samples[k]) for k in long) > 12_000 and samples["x7"] == b"tongue number 7"
+    assert learn(labelled.where("lang = 'bb' and doc_id = 1"))["bb"].decode() in long["bb"]
+    two = learn(labelled.where("lang in ('aa', 'bb')"))
+    assert min(map(len, two.values())) > 50_000 and two == learn(labelled.where("lang in ('aa', 'bb')").repartition(3))
+    some = {k: samples[k] for k in (*long, "cc")}
+    got = identify(labelled.where("lang in ('aa', 'bb')"), some).where("lang <> lang_pred").count()
+    assert got == 0
+    unlabelled = spark.createDataFrame([(1, "some words", None), (2, "1 2", None)], labelled.schema)
+    assert corpus_pipeline.language(spark, unlabelled, "").count() == 2
