@@ -64,24 +64,36 @@ for _hint in ("merge", "shuffle_hash"):
     add(f"op_join_{'sort_merge' if _hint == 'merge' else _hint}", lambda s, d, h=_hint: lines(s, d).join(table(s, d, "orders").hint(h), F.col("o_orderkey") == F.col("l_orderkey")).select("l_orderkey", "l_linenumber", "l_partkey", "o_custkey"), _ORDERS)
 
 
-@registry(on_edges("SELECT a.src AS prev, a.dst AS cur, b.dst AS x, c.src IS NOT NULL AS is_common FROM edges a JOIN edges b ON b.src = a.dst LEFT JOIN edges c ON c.src = a.src AND c.dst = b.dst WHERE a.src <= 20"))
-def op_join_left_probe(s, d):
+# Queries whose name ends in _all are the whole of those without the ending, which are slices by id.
+_PROBE = "SELECT a.src AS prev, a.dst AS cur, b.dst AS x, c.src IS NOT NULL AS is_common FROM edges a JOIN edges b ON b.src = a.dst LEFT JOIN edges c ON c.src = a.src AND c.dst = b.dst"
+
+
+def _probe(s, d, of="true"):
     e = edges(s, d)
-    a, b = e.where("src <= 20").select(F.col("src").alias("prev"), F.col("dst").alias("cur")), e.select(F.col("src").alias("cur"), F.col("dst").alias("x"))
+    a, b = e.where(of).select(F.col("src").alias("prev"), F.col("dst").alias("cur")), e.select(F.col("src").alias("cur"), F.col("dst").alias("x"))
     c = e.select(F.col("src").alias("prev"), F.col("dst").alias("x"), F.lit(True).alias("hit"))
     return a.join(b, "cur").join(c, ["prev", "x"], "left").select("prev", "cur", "x", F.col("hit").isNotNull().alias("is_common"))
 
 
+add("op_join_left_probe", lambda s, d: _probe(s, d, "src <= 20"), on_edges(_PROBE + " WHERE a.src <= 20"))
+add("op_join_left_probe_all", _probe, on_edges(_PROBE))
+
+
 _SLICE = "SELECT l_partkey AS vid, count(*) AS n FROM lineitem WHERE {} GROUP BY 1"
 _EARLY, _LATE = "l_shipdate < TIMESTAMP '1998-01-01' AND l_partkey % 2 = 0", "l_shipdate >= TIMESTAMP '1998-01-01' AND l_partkey % 3 = 0"
 
 
-@registry(f"SELECT coalesce(a.vid, b.vid) AS vid, coalesce(b.n, 0) - coalesce(a.n, 0) AS change FROM ({_SLICE.format(_EARLY)}) a FULL JOIN ({_SLICE.format(_LATE)}) b ON a.vid = b.vid")
-def op_join_full(s, d):
-    side = lambda where, n: lines(s, d).where(where).groupBy(F.col("l_partkey").alias("vid")).agg(F.count("*").alias(n))
-    return side(_EARLY, "a").join(side(_LATE, "b"), "vid", "full").select("vid", (F.coalesce("b", F.lit(0)) - F.coalesce("a", F.lit(0))).alias("change"))
+def _full(name, early, late):
+    def query(s, d):
+        side = lambda where, n: lines(s, d).where(where).groupBy(F.col("l_partkey").alias("vid")).agg(F.count("*").alias(n))
+        return side(early, "a").join(side(late, "b"), "vid", "full").select("vid", (F.coalesce("b", F.lit(0)) - F.coalesce("a", F.lit(0))).alias("change"))
+
+    add(name, query, f"SELECT coalesce(a.vid, b.vid) AS vid, coalesce(b.n, 0) - coalesce(a.n, 0) AS change FROM ({_SLICE.format(early)}) a FULL JOIN ({_SLICE.format(late)}) b ON a.vid = b.vid")
 
 
+_full("op_join_full", _EARLY, _LATE)
+_full("op_join_full_all", _EARLY.split(" AND ")[0], _LATE.split(" AND ")[0])
+
 add("op_join_semi", lambda s, d: edges(s, d).join(events(s, d).where("event_type = 'purchase' AND value > 30").select(F.col("user_id").alias("src")), "src", "left_semi"), on_edges("SELECT src, dst, w FROM edges WHERE src IN (SELECT user_id FROM events WHERE event_type = 'purchase' AND value > 30)"))
 add("op_join_anti", lambda s, d: edges(s, d).join(events(s, d).where("event_type = 'purchase' AND value > 30").select(F.col("user_id").alias("src")), "src", "left_anti"), on_edges("SELECT src, dst, w FROM edges WHERE NOT EXISTS (SELECT 1 FROM events WHERE user_id = src AND event_type = 'purchase' AND value > 30)"))
 
@@ -127,13 +139,19 @@ def op_join_cross(s, d):
     return v.select(F.col("vid").alias("a")).crossJoin(v.select(F.col("vid").alias("b"))).where("a < b")
 
 
-@registry(on_edges("SELECT a.src AS x, a.dst AS y, b.dst AS z FROM edges a JOIN edges b ON b.src = a.dst JOIN edges c ON c.src = a.src AND c.dst = b.dst WHERE a.src < a.dst AND a.dst < b.dst AND a.src <= 10"))
-def op_join_self_triangle(s, d):
+_TRIANGLE = "SELECT a.src AS x, a.dst AS y, b.dst AS z FROM edges a JOIN edges b ON b.src = a.dst JOIN edges c ON c.src = a.src AND c.dst = b.dst WHERE a.src < a.dst AND a.dst < b.dst"
+
+
+def _triangle(s, d, of="true"):
     up = edges(s, d).where("src < dst").select("src", "dst")
-    first, second, third = up.where("src <= 10").toDF("x", "y"), up.toDF("y", "z"), up.toDF("x", "z")
+    first, second, third = up.where(of).toDF("x", "y"), up.toDF("y", "z"), up.toDF("x", "z")
     return first.join(second, "y").join(third, ["x", "z"]).select("x", "y", "z")
 
 
+add("op_join_self_triangle", lambda s, d: _triangle(s, d, "src <= 10"), on_edges(_TRIANGLE + " AND a.src <= 10"))
+add("op_join_self_triangle_all", _triangle, on_edges(_TRIANGLE))
+
+
 # Aggregates.
 add("op_agg_hash", lambda s, d: edges(s, d).groupBy("src").agg(F.sum("w").alias("s"), F.avg("w").alias("a"), F.min("w").alias("lo"), F.max("w").alias("hi")), on_edges("SELECT src, CAST(sum(w) AS BIGINT) AS s, avg(w) AS a, min(w) AS lo, max(w) AS hi FROM edges GROUP BY src"))
 add("op_agg_distinct", lambda s, d: lines(s, d).groupBy("l_suppkey").agg(F.countDistinct("l_partkey").alias("n")), "SELECT l_suppkey, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY 1")
@@ -236,6 +254,7 @@ def _sql_view(text: str):
 
 for _name, _text in (
     ("op_lateral", "SELECT a.src, t.dst FROM (SELECT DISTINCT src FROM edges WHERE src <= 20) a, LATERAL (SELECT dst FROM edges b WHERE b.src = a.src AND b.w >= 2) t"),
+    ("op_lateral_all", "SELECT a.src, t.dst FROM (SELECT DISTINCT src FROM edges) a, LATERAL (SELECT dst FROM edges b WHERE b.src = a.src AND b.w >= 2) t"),
     ("op_cte", "WITH d AS (SELECT src, count(*) AS deg FROM edges GROUP BY src) SELECT deg, count(*) AS n FROM d GROUP BY deg"),
     ("op_subquery_exists", "SELECT src, dst FROM edges a WHERE EXISTS (SELECT 1 FROM edges b WHERE b.src = a.dst AND b.w >= 4)"),
     ("op_subquery_scalar", "SELECT src, dst, w FROM edges WHERE w > (SELECT avg(w) FROM edges)"),

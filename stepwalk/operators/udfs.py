@@ -37,18 +37,22 @@ def udf_scalar_bounds(spark, sf_dir):
     return rows.select("u", "v", F.round(spread("du", "dv", "wmin", "wmax"), 9).alias("gap"))
 
 
-@registry(oracle.transitions_sql("user", P_LOCAL, "SELECT u, v, count(*) AS n, 1.0::DOUBLE AS total FROM t WHERE u <= 30 GROUP BY u, v"))
-def udf_grouped_alias(spark, sf_dir):
+def _grouped_alias(spark, sf_dir, of="true"):
     """Alias tables of each pair's neighbours give back a distribution."""
 
     @pandas_udf("double")
     def total(pi: pd.Series) -> float:
         return round(float(alias.probabilities(*alias.build(pi.to_numpy())).sum()), 9)
 
-    rows = transition_weights(graph(spark, sf_dir), P_LOCAL).where("u <= 30")
+    rows = transition_weights(graph(spark, sf_dir), P_LOCAL).where(of)
     return rows.groupBy("u", "v").agg(total("pi").alias("total")).join(rows.groupBy("u", "v").agg(F.count("*").alias("n")), ["u", "v"])
 
 
+# Queries whose name ends in _all are the whole of those without the ending, which are slices by id.
+registry.add("udf_grouped_alias", lambda s, d: _grouped_alias(s, d, "u <= 30"), oracle.transitions_sql("user", P_LOCAL, "SELECT u, v, count(*) AS n, 1.0::DOUBLE AS total FROM t WHERE u <= 30 GROUP BY u, v"))
+registry.add("udf_grouped_alias_all", _grouped_alias, oracle.transitions_sql("user", P_LOCAL, "SELECT u, v, count(*) AS n, 1.0::DOUBLE AS total FROM t GROUP BY u, v"))
+
+
 @registry(oracle.walk_sql("user", P_LOCAL.but(length=1), "SELECT start, cur AS vertex FROM walk WHERE step = 1"))
 def udf_map_arrow_step(spark, sf_dir):
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -109,13 +113,17 @@ def udtf_walk(spark, sf_dir):
     return spark.sql("SELECT * FROM biased_walk(TABLE(adjacency) WITH SINGLE PARTITION)")
 
 
-@registry(oracle.transitions_sql("user", P_LOCAL, f"SELECT u, v, x, pi / {oracle.scale(P_LOCAL)}::DOUBLE AS pi FROM t WHERE u <= 30"))
-def udf_sql_function(spark, sf_dir):
+def _sql_function(spark, sf_dir, of="true"):
     from ..walk.alpha import distance_class
 
     register_sql(spark)
     distance_class(graph(spark, sf_dir)).createOrReplaceTempView("classes")
-    return spark.sql("SELECT u, v, x, w * walk_alpha(dist = 0, dist = 1, 0.5D, 2D) AS pi FROM classes WHERE u <= 30")
+    return spark.sql(f"SELECT u, v, x, w * walk_alpha(dist = 0, dist = 1, 0.5D, 2D) AS pi FROM classes WHERE {of}")
+
+
+_PI = f"SELECT u, v, x, pi / {oracle.scale(P_LOCAL)}::DOUBLE AS pi FROM t"
+registry.add("udf_sql_function", lambda s, d: _sql_function(s, d, "u <= 30"), oracle.transitions_sql("user", P_LOCAL, _PI + " WHERE u <= 30"))
+registry.add("udf_sql_function_all", _sql_function, oracle.transitions_sql("user", P_LOCAL, _PI))
 
 
 @registry("SELECT s.start, CAST('0x' || substr(md5(concat_ws(':', 42, 0, s.start, 5)), 1, 12) AS BIGINT) AS draw FROM (SELECT unnest(range(1000)) AS start) s")

@@ -88,13 +88,18 @@ def graph_components(spark, sf_dir):
     return stats.components(rows)
 
 
-@registry("""WITH e AS (SELECT l_partkey AS src, l_suppkey AS dst, count(*) AS w FROM lineitem WHERE l_partkey <= 100 AND l_suppkey <= 100 GROUP BY 1, 2)
+def _asymmetry(name, of):
+    def query(spark, sf_dir):
+        rows = table(spark, sf_dir, "lineitem").where(of).groupBy(F.col("l_partkey").alias("src"), F.col("l_suppkey").alias("dst")).agg(F.count("*").alias("w"))
+        return model.asymmetric(rows)
+
+    registry.add(name, query, f"""WITH e AS (SELECT l_partkey AS src, l_suppkey AS dst, count(*) AS w FROM lineitem WHERE {of} GROUP BY 1, 2)
 SELECT src, dst, w FROM e WHERE NOT EXISTS (SELECT 1 FROM e b WHERE b.src = e.dst AND b.dst = e.src AND b.w = e.w)""")
-def graph_asymmetry(spark, sf_dir):
-    rows = table(spark, sf_dir, "lineitem").where("l_partkey <= 100 AND l_suppkey <= 100").groupBy(F.col("l_partkey").alias("src"), F.col("l_suppkey").alias("dst")).agg(F.count("*").alias("w"))
-    return model.asymmetric(rows)
 
 
+_asymmetry("graph_asymmetry", "l_partkey <= 100 AND l_suppkey <= 100")
+_asymmetry("graph_asymmetry_all", "true")
+
 @registry(" UNION ALL ".join(f"SELECT '{g}' AS graph, CAST(8 * sum(d * d) AS BIGINT) AS bytes, 8.0 * sum(d) * sum(d) / count(*) AS floor_bytes, count(*) AS n, CAST(sum(d) AS BIGINT) AS n_edges FROM (SELECT count(*) AS d FROM ({SQL[g]}) GROUP BY src)" for g in ("user", "copart", "supply", "entity", "doc")))
 def graph_prob_memory(spark, sf_dir):
     out = None
