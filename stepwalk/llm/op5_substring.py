@@ -48,6 +48,11 @@ def _dealt(bucket: np.ndarray, hashes: np.ndarray, keys: np.ndarray, kind: str)
     return pa.RecordBatch.from_arrays(columns, ["bucket", "hashes", "keys"])
 
 
+def dealt_to(keys: np.ndarray, groups: int) -> np.ndarray:
+    """The group of each row key: the same as ``pmod`` of the signed key in Spark, whatever the number of groups."""
+    return keys.view(np.int64) % groups
+
+
 def _packed(keys: np.ndarray, hashes: np.ndarray, buckets: int, kind: str) -> Iterator[pa.RecordBatch]:
     """What a chunk sends: each hash once.
 
@@ -63,11 +68,11 @@ def _packed(keys: np.ndarray, hashes: np.ndarray, buckets: int, kind: str) -> It
     first = np.flatnonzero(new)
     size = np.diff(np.append(first, len(hashes)))
     own, one = keys[first], hashes[first]
-    yield _dealt(((one >> U64(33)) % U64(buckets)).astype(np.int64), one, np.where(size > 1, U64(0), own), kind)
+    yield _dealt(dealt_to(one >> U64(33), buckets), one, np.where(size > 1, U64(0), own), kind)
     twice = np.repeat(size > 1, size)
     if twice.any():
         keys, hashes = keys[twice], hashes[twice]
-        yield _dealt(buckets + (keys % U64(buckets)).astype(np.int64), hashes, keys, kind)
+        yield _dealt(buckets + dealt_to(keys, buckets), hashes, keys, kind)
 
 
 def _replies(buckets: int, dests: int, kind: str):
@@ -86,7 +91,7 @@ def _replies(buckets: int, dests: int, kind: str):
             hashes, keys = hashes[again], keys[again]
         if not len(hashes):
             return pa.table({"bucket": pa.array([], pa.int64()), "hashes": pa.array([], pa.binary()), "keys": pa.array([], pa.binary())})
-        return pa.Table.from_batches([_dealt((keys % U64(dests)).astype(np.int64), hashes, keys, kind)])
+        return pa.Table.from_batches([_dealt(dealt_to(keys, dests), hashes, keys, kind)])
 
     return run
 

@@ -226,6 +226,21 @@ def test_substrings_match_plain(spark, window):
     assert cover_for(35)[0] == 21
 
 
+@pytest.mark.parametrize("groups", [1, 3, 7, 12, 31, 51, 200])
+def test_substrings_at_any_number_of_partitions(spark, groups):
+    r = np.random.default_rng(groups)
+    shared = [" ".join(f"s{k}_{i}" for i in range(70)) for k in range(40)]
+    texts = [" ".join([f"a{n}", *(f"w{r.integers(0, 10**6)}" for _ in range(20)), shared[n % 40], f"z{n}"]) for n in range(160)]
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", str(groups))
+    try:
+        got = sorted((x.n_words, x.n_removed, x.kept_text) for x in remove_repeats(frame).collect())
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert got == sorted(plain_repeats(texts, 35)) and sum(x[1] for x in got) == 160 * 70
+
+
 def test_substrings_of_hard_rows(spark, hard):
     got = remove_repeats(hard)
     assert got.count() == len(HARD) and set(got.columns) == {"doc_id", "score", "key", "n_words", "n_removed", "kept_text"}
