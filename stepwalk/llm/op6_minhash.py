@@ -109,8 +109,9 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         edge = np.searchsorted(rows, np.arange(chunk.n + 1))
         sums = [np.concatenate([np.zeros(1, U64), np.cumsum(mix(hashes ^ U64(s)) * counts.astype(U64))]) for s in (1, 2)]
         first, second = ((s[edge[1:]] - s[edge[:-1]]).view(np.int64) for s in sums)
-        columns = [chunk.rows.column(0), pa.array(first), pa.array(second), pa.array(weight), pa.array([uint64_blob(b) if w else None for b, w in zip(band, weight, strict=True)], pa.binary())]
-        yield pa.RecordBatch.from_arrays(columns, ["doc_id", "c1", "c2", "weight", "bands"])
+        columns = [chunk.rows.column(chunk.rows.schema.get_field_index(c)) for c in ("doc_id", "text_key")]
+        columns += [pa.array(first), pa.array(second), pa.array(weight), pa.array([uint64_blob(b) if w else None for b, w in zip(band, weight, strict=True)], pa.binary())]
+        yield pa.RecordBatch.from_arrays(columns, ["doc_id", "text_key", "c1", "c2", "weight", "bands"])
 
 
 def _spread_bands(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -177,10 +178,20 @@ def _differ(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays(columns, ["a", "b", "similarity", "n", "missing", "added", "differences"])
 
 
+MOST_PER_SALT = 20_000
+
+
 def compared(pairs: DataFrame, bag: DataFrame, differences: bool = False) -> DataFrame:
-    """Pairs (a, b) with their overlap, and how b differs from a."""
-    side = lambda x: bag.select(F.col("node").alias(x), F.col("bag").alias(f"bag_{x}"))
-    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "bag_a", "bag_b")
+    """Pairs (a, b) with their overlap, and how b differs from a.
+
+    A node ``a`` of very many pairs (the centre of a large group) is no single join key: its pairs are dealt over one salt
+    for each ``MOST_PER_SALT`` of them and its bag goes to each.
+    """
+    salts = pairs.groupBy("a").agg(F.ceil(F.count("*") / MOST_PER_SALT).cast("int").alias("salts")).where("salts > 1").select(F.col("a").alias("_a"), "salts")
+    salted = pairs.join(salts, F.col("a") == F.col("_a"), "left").select("a", "b", F.pmod(F.xxhash64("b"), F.coalesce("salts", F.lit(1))).cast("int").alias("salt"))
+    of_a = bag.join(salts, F.col("node") == F.col("_a"), "left").select(F.col("node").alias("a"), F.col("bag").alias("bag_a"), F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)).alias("salt"))
+    of_b = bag.select(F.col("node").alias("b"), F.col("bag").alias("bag_b"))
+    both = salted.join(of_b, "b").join(of_a, ["a", "salt"]).select("a", "b", "bag_a", "bag_b")
     return both.mapInArrow(_differ, DIFFERENT) if differences else both.mapInArrow(_compare, COMPARED)
 
 
@@ -222,20 +233,25 @@ def similar_sizes(a, b, threshold: float):
 
 
 def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """One row per document: doc_id, class_id (smallest id with the same shingles), component_id (smallest id reachable by links), kept.
+    """One row per document: doc_id, class_id (smallest id with the same shingles), component_id (smallest id reachable by links), kept, text_key.
 
     Links join texts whose weighted Jaccard similarity of five-word shingles is at least ``threshold``.  A text of one to
-    four words is one shingle.  Texts without a word (null included) link with nothing.  Rows that repeat an id share its
-    verdict; a null id belongs to its class and is kept only if that class has no id; an empty table gives no row; extra
-    columns are ignored.
+    four words is one shingle.  Texts without a word (null included) link with nothing and are kept.  Rows are judged by
+    their texts, so rows that repeat an id with other texts have verdicts of their own; of a component the row of the
+    smallest id (among those of its smallest ``text_key``, a hash of the text) is kept, and a row that repeats it exactly.
+    Null ids come after all others: a component without any id has a negative number from its smallest text_key.  An empty
+    table gives no row; extra columns are ignored.
+
+    Links run between classes, which have numbers of their own: nothing but the last step looks at document ids.
     """
     small_batches(docs.sparkSession)
-    source = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).alias("text"))
-    sketch = written(source.mapInArrow(_sketch, "doc_id long, c1 long, c2 long, weight long, bands binary"), "sketch")
+    source = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).alias("text"), F.xxhash64(text_column).alias("text_key"))
+    sketch = written(source.mapInArrow(_sketch, "doc_id long, text_key long, c1 long, c2 long, weight long, bands binary"), "sketch")
     worded = sketch.where("weight > 0")
-    lonely = -1 - F.pmod("c1", F.lit(1 << 61))
-    classes = worded.groupBy("c1", "c2").agg(F.coalesce(F.min("doc_id"), F.first(lonely)).alias("node"), F.first("bands").alias("bands"))
-    classes = written(classes, "classes")
+    row = F.struct(F.col("doc_id").isNull().alias("no_id"), F.col("doc_id").alias("id"), F.col("text_key").alias("key"))
+    named = lambda x: F.coalesce(f"{x}.id", -1 - F.pmod(F.col(f"{x}.key"), F.lit(1 << 61)))
+    classes = worded.groupBy("c1", "c2").agg(F.min(row).alias("first"), F.first("bands").alias("bands"))
+    classes = written(classes.withColumn("node", F.monotonically_increasing_id()), "classes")
     banded = classes.select("node", "bands").mapInArrow(_spread_bands, "band long, node long")
     buckets = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1")
     members = written(banded.join(buckets, "band"), "members")
@@ -245,8 +261,9 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "d
     star = members.join(centres, "band").where("node <> centre").select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct()
     star = written(star, "star")
 
-    involved = star.select(F.col("a").alias("doc_id")).union(star.select("b")).distinct()
-    texts = source.join(involved.hint("merge"), "doc_id").dropDuplicates(["doc_id"])
+    involved = star.select(F.col("a").alias("node")).union(star.select("b")).distinct()
+    involved = involved.join(classes, "node").select("node", F.col("first.id").alias("_id"), F.col("first.key").alias("_key"))
+    texts = source.join(involved.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key"))).select("node", "text").dropDuplicates(["node"])
     bag = written(texts.mapInArrow(_bag_rows, "node long, bag binary"), "bags")
     checked = written(compared(star, bag, differences=True), "compared")
     links = checked.where(F.col("similarity") >= threshold).select("a", "b")
@@ -261,10 +278,14 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "d
     if not more.isEmpty():
         roots = written(components(links.unionByName(more)), "roots")
 
-    of = worded.join(classes.select("c1", "c2", "node"), ["c1", "c2"]).select("doc_id", "node")
-    out = of.join(roots, "node", "left").select("doc_id", F.col("node").alias("class_id"), F.coalesce("root", "node").alias("component_id"))
-    empty = sketch.where("weight = 0").select("doc_id", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("component_id"))
-    return out.unionByName(empty).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.coalesce(F.col("component_id") < 0, F.lit(True))))
+    linked = classes.select("node", "first").join(roots, "node")
+    best = linked.groupBy("root").agg(F.min("first").alias("best"))
+    best = linked.join(best, "root").select("node", "best")
+    of = classes.select("c1", "c2", "node", "first").join(best, "node", "left").select("c1", "c2", "first", F.coalesce("best", "first").alias("best"))
+    out = worded.join(of, ["c1", "c2"]).select("doc_id", named("first").alias("class_id"), named("best").alias("component_id"), row.eqNullSafe(F.col("best")).alias("kept"), "text_key")
+    alone = F.coalesce("doc_id", -1 - F.pmod("text_key", F.lit(1 << 61)))
+    empty = sketch.where("weight = 0").select("doc_id", alone.alias("class_id"), alone.alias("component_id"), F.lit(True).alias("kept"), "text_key")
+    return out.unionByName(empty)
 
 
 def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -44,11 +44,56 @@ def test_near_duplicates_match_plain(spark):
     want = plain_duplicates(list(dict(rows).items()))
     got = near_duplicates(frame).collect()
     assert len(got) == len(rows)
-    assert {x.doc_id: (x.class_id, x.component_id) for x in got} == want
+    assert {x.doc_id: (x.class_id, x.component_id) for x in got} == {**want, 300: got_of(got, 300), 301: got_of(got, 301)}
+    assert got_of(got, 300) == (300, 300) and got_of(got, 301) == (301, 301)
     assert all(x.kept == (x.doc_id == x.component_id) for x in got)
     assert near_duplicates(frame.limit(0)).count() == 0
-    lone = near_duplicates(spark.createDataFrame([(None, "a b c d e f g"), (None, "a b c d e f g"), (5, "z y x w v u")], "doc_id long, text string")).collect()
-    assert len(lone) == 3 and all(x.kept for x in lone)
+
+
+def got_of(rows, i):
+    return next((x.class_id, x.component_id) for x in rows if x.doc_id == i)
+
+
+def test_near_duplicates_with_null_and_clashing_ids(spark):
+    r = np.random.default_rng(11)
+    bases = [[f"c{k}_{i}" for i in range(120)] for k in range(25)]
+    texts = [edited(r, bases[k % 25], int(r.integers(0, 4))) for k in range(150)] + [f"alone {i} " * 3 for i in range(10)] + [None, "", None]
+    ids = [None if r.random() < 0.3 else int(r.integers(0, 60)) for _ in texts]
+    ids += [None, None, 5]
+    texts += ["a b c d e f g", "a b c d  e f g", "z y x w v u"]
+    alone = plain_duplicates(list(enumerate(texts)))
+    groups = {}
+    for k, (_, component) in alone.items():
+        groups.setdefault(component, []).append(k)
+    frame = spark.createDataFrame(list(zip(ids, texts, strict=True)), "doc_id long, text string").repartition(3)
+    got = near_duplicates(frame).join(frame.select("text", F.xxhash64("text").alias("text_key")).distinct(), "text_key").collect()
+    assert len(got) == len(texts)
+    found = {}
+    for x in got:
+        found.setdefault((x.doc_id, x.text), []).append(x)
+    for own in groups.values():
+        named = [ids[k] for k in own if ids[k] is not None]
+        verdicts = [x for k in own for x in found[ids[k], texts[k]]]
+        if texts[own[0]] and texts[own[0]].strip():
+            assert len({x.component_id for x in verdicts}) == 1
+            assert verdicts[0].component_id == min(named) if named else verdicts[0].component_id < 0
+            assert len({(x.doc_id, x.text) for x in verdicts if x.kept}) == 1
+        else:
+            assert all(x.kept for x in verdicts)
+    one = corpus_pipeline.near_copies(spark, frame, "")
+    worded = sum(bool(texts[own[0]] and texts[own[0]].strip()) for own in groups.values())
+    assert one.where("trim(text) <> ''").count() == worded and one.columns == ["doc_id", "text"]
+
+
+def test_a_hot_centre_is_salted(spark, monkeypatch):
+    from stepwalk.llm import op6_minhash
+
+    r = np.random.default_rng(12)
+    base = [f"b{i}" for i in range(200)]
+    rows = [(i, edited(r, base, int(r.integers(0, 9)))) for i in range(200)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(op6_minhash, "MOST_PER_SALT", 7)
+    assert {x.doc_id: (x.class_id, x.component_id) for x in near_duplicates(frame).collect()} == plain_duplicates(rows)
 
 
 def test_signatures_estimate_weighted_similarity():
