@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .components import components
+from .components import components, joined_components
 from .tables import small_batches, table, written
 from .textbatch import U64, Words, chunks, mix, runs, uint64_blob
 
@@ -135,7 +135,7 @@ def _bag_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows, every = units(*bags(*shingles(chunk.words())))
         edge = np.searchsorted(rows, np.arange(chunk.n + 1))
         body = [uint64_blob(every[a:b]) for a, b in zip(edge[:-1], edge[1:], strict=True)]
-        yield pa.RecordBatch.from_arrays([chunk.rows.column(0), pa.array(body, pa.binary())], ["node", "bag"])
+        yield pa.RecordBatch.from_arrays([chunk.rows.column(0), chunk.rows.column(1), pa.array(body, pa.binary())], ["node", "salts", "bag"])
 
 
 def overlap(a: np.ndarray, b: np.ndarray) -> float:
@@ -181,17 +181,19 @@ def _differ(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 MOST_PER_SALT = 20_000
 
 
+def _salts(members):
+    return F.ceil(members / MOST_PER_SALT).cast("int")
+
+
 def compared(pairs: DataFrame, bag: DataFrame, differences: bool = False) -> DataFrame:
-    """Pairs (a, b) with their overlap, and how b differs from a.
+    """Pairs (a, b, salt) with their overlap, and how b differs from a.
 
-    A node ``a`` of very many pairs (the centre of a large group) is no single join key: its pairs are dealt over one salt
-    for each ``MOST_PER_SALT`` of them and its bag goes to each.
+    A node ``a`` of very many pairs (the centre of a large group) is no single join key: its pairs are dealt over ``salt``,
+    and its bag goes to as many salts as ``bag`` (node, bag, salts) says.
     """
-    salts = pairs.groupBy("a").agg(F.ceil(F.count("*") / MOST_PER_SALT).cast("int").alias("salts")).where("salts > 1").select(F.col("a").alias("_a"), "salts")
-    salted = pairs.join(salts, F.col("a") == F.col("_a"), "left").select("a", "b", F.pmod(F.xxhash64("b"), F.coalesce("salts", F.lit(1))).cast("int").alias("salt"))
-    of_a = bag.join(salts, F.col("node") == F.col("_a"), "left").select(F.col("node").alias("a"), F.col("bag").alias("bag_a"), F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)).alias("salt"))
+    of_a = bag.select(F.col("node").alias("a"), F.col("bag").alias("bag_a"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
     of_b = bag.select(F.col("node").alias("b"), F.col("bag").alias("bag_b"))
-    both = salted.join(of_b, "b").join(of_a, ["a", "salt"]).select("a", "b", "bag_a", "bag_b")
+    both = pairs.join(of_b, "b").join(of_a, ["a", "salt"]).select("a", "b", "bag_a", "bag_b")
     return both.mapInArrow(_differ, DIFFERENT) if differences else both.mapInArrow(_compare, COMPARED)
 
 
@@ -258,13 +260,15 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "d
     known = members.groupBy("node").agg(F.sum("n").alias("met"))
     scored = members.select("band", "node").join(known, "node")
     centres = scored.groupBy("band").agg(F.max(F.struct(F.col("met"), (-F.col("node")).alias("minus"))).alias("x")).select("band", (-F.col("x.minus")).alias("centre"))
-    star = members.join(centres, "band").where("node <> centre").select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct()
+    star = members.join(centres, "band").where("node <> centre").select(F.col("centre").alias("a"), F.col("node").alias("b"), "n")
+    star = star.groupBy("a", "b").agg(F.max("n").alias("n")).withColumn("salt", F.pmod(F.xxhash64("b"), _salts(F.col("n"))).cast("int"))
     star = written(star, "star")
 
-    involved = star.select(F.col("a").alias("node")).union(star.select("b")).distinct()
-    involved = involved.join(classes, "node").select("node", F.col("first.id").alias("_id"), F.col("first.key").alias("_key"))
-    texts = source.join(involved.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key"))).select("node", "text").dropDuplicates(["node"])
-    bag = written(texts.mapInArrow(_bag_rows, "node long, bag binary"), "bags")
+    involved = star.select(F.col("a").alias("node"), _salts(F.col("n")).alias("salts")).unionByName(star.select(F.col("b").alias("node"), F.lit(1).alias("salts")))
+    involved = involved.groupBy("node").agg(F.max("salts").alias("salts")).join(classes, "node")
+    involved = involved.select("node", "salts", F.col("first.id").alias("_id"), F.col("first.key").alias("_key"))
+    texts = source.join(involved.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key"))).select("node", "salts", "text").dropDuplicates(["node"])
+    bag = written(texts.mapInArrow(_bag_rows, "node long, salts int, bag binary"), "bags")
     checked = written(compared(star, bag, differences=True), "compared")
     links = checked.where(F.col("similarity") >= threshold).select("a", "b")
     roots = written(components(links), "roots")
@@ -274,9 +278,9 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, id_column: str = "d
         known = known.join(root_of(name), F.col(name) == F.col(f"_{name}"), "left").withColumn(f"_root_{name}", F.coalesce(f"_root_{name}", name)).drop(f"_{name}")
     known = known.withColumnsRenamed({"_root_centre": "centre_root", "_root_node": "root"})
     pairs = written(sharing_differences(known, threshold), "pairs")
-    more = written(compared(pairs, bag).where(F.col("similarity") >= threshold).select("a", "b"), "verified")
+    more = written(compared(pairs.withColumn("salt", F.lit(0)), bag).where(F.col("similarity") >= threshold).select("a", "b"), "verified")
     if not more.isEmpty():
-        roots = written(components(links.unionByName(more)), "roots")
+        roots = written(joined_components(roots, more), "roots")
 
     linked = classes.select("node", "first").join(roots, "node")
     best = linked.groupBy("root").agg(F.min("first").alias("best"))
