@@ -17,22 +17,34 @@ from stepwalk.llm.op9_quality import classify, train
 from stepwalk.llm.tables import held_back, table, written
 
 TOKENIZER = "word_bpe_49k.json"
+LEAST_MATCHED = 2.5
 ORACLE_SQL = None
 
 
+def _aside(docs: DataFrame, *names: str) -> tuple[DataFrame, list]:
+    """``docs`` with columns of these names, which a stage is about to make, set aside; and what selects its columns again."""
+    own = {n: f"_own_{n}" for n in names if n in docs.columns}
+    return docs.withColumnsRenamed(own), [F.col(own.get(c, c)).alias(c) for c in docs.columns]
+
+
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier, learned from the labels table, scores 0.5 or more."""
     labels = table(spark, sf_dir, "labels").where(~held_back("doc_id", 3, 1))
-    found = classify(docs, train(docs, labels))
-    return found.where("predicted = 1").select(docs.columns)
+    rows, own = _aside(docs, "score", "predicted")
+    return classify(rows, train(docs, labels)).where("predicted = 1").select(own)
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language can be told: texts without a letter go; all stay where no label is there to learn from."""
+    """Documents in a language that labels teach; all stay where no label is there to learn from.
+
+    Texts without a letter go, and texts whose best language matches fewer than ``LEAST_MATCHED`` symbols a phrase: other
+    languages and letter junk (about 2 on random letters; texts in a learned language have 3.5 and more).
+    """
     samples = learn(docs.where(~held_back("doc_id", 4, 2) & F.col("lang").isNotNull()).select("doc_id", "text", "lang"))
     if not samples:
         return docs
-    return identify(docs, samples).where("lang_pred <> 'und'").select(docs.columns)
+    rows, own = _aside(docs, "lang_pred", "score")
+    return identify(rows, samples, least_matched=LEAST_MATCHED).where("lang_pred <> 'und'").select(own)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,8 +57,9 @@ def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the words of passages that occur more than once; every document stays, its text may be empty."""
-    columns = [F.col("kept_text").alias("text") if c == "text" else F.char_length("kept_text").cast("long").alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
-    return remove_repeats(docs).select(*columns)
+    rows, own = _aside(docs, "n_words", "n_removed", "kept_text")
+    made = {"text": F.col("kept_text").alias("text"), "n_chars": F.char_length("kept_text").cast("long").alias("n_chars")}
+    return remove_repeats(rows).select([made.get(c, column) for c, column in zip(docs.columns, own, strict=True)])
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

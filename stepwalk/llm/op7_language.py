@@ -3,7 +3,8 @@
 Each language has a suffix automaton of a bounded sample of its texts.  A text is parsed greedily into the longest
 stretches that occur in the sample; few phrases mean little new information.  The language with the fewest phrases per
 symbol, weighted by the logarithm of its sample's size, wins.  Texts are parsed in lockstep: blocks of fixed length are
-lanes of one array, all languages at once, and one step moves every lane by one symbol.
+lanes of one array, all languages at once, and one step moves every lane by one symbol; the blocks' parses are then joined
+so that the phrases counted are those of one parse of the whole text.
 """
 
 from __future__ import annotations
@@ -73,6 +74,106 @@ def automaton(text: list[int]) -> tuple[list[dict[int, int]], int]:
     return follow, last
 
 
+class _Lanes:
+    """Texts cut into blocks that are parsed side by side, and put together to what one parse of each whole text gives.
+
+    A greedy parse depends on nothing but where a phrase starts.  Each block is parsed as if a phrase started with it, and its
+    phrase starts are marked.  Then each block's parse goes on into the next block until one of its phrases starts at a
+    marked place: from there on both parses are the same.  The starts that it passed replace the marked ones before that
+    place.  Where a parse meets no mark within a block, it goes on, alone, until it meets one or the text ends.
+    """
+
+    def __init__(self, codes: np.ndarray, size: np.ndarray):
+        each = -(-size // BLOCK)
+        self.texts, self.text = len(size), np.repeat(np.arange(len(size)), each)
+        self.n = len(self.text)
+        first = np.cumsum(each) - each
+        nth = np.arange(self.n) - np.repeat(first, each)
+        start = (np.cumsum(size) - size)[self.text] + nth * BLOCK
+        self.length = np.minimum(BLOCK, size[self.text] - nth * BLOCK)
+        self.more = nth + 1 < each[self.text]  # another block of the text follows
+        self.first, self.after = first[each > 0], (first + each)[each > 0]  # of the texts that have a block
+        order = np.argsort(-self.length, kind="stable")
+        self.column = np.empty(self.n, np.int64)
+        self.column[order] = np.arange(self.n)
+        deep = int(self.length.max(initial=0))
+        self.active = np.searchsorted(-self.length[order], -np.arange(deep), side="left")
+        self.blocks = np.zeros((deep, self.n), np.uint8)
+        for i, a in enumerate(self.active):
+            self.blocks[i, :a] = codes[start[order[:a]] + i]
+
+    def counted(self, table: np.ndarray, roots: np.ndarray) -> np.ndarray:
+        """Phrases of each text, (texts, roots)."""
+        langs, n = len(roots), self.n
+        state = np.tile(roots, (n, 1))
+        marks = np.zeros((len(self.blocks), n, langs), np.int8)
+        count = np.zeros((n, langs), np.int32)
+        value, sign = np.empty_like(state), np.empty_like(state)
+        for i, a in enumerate(self.active):
+            np.add(state[:a], self.blocks[i, :a, None], out=state[:a])
+            np.take(table, state[:a], out=value[:a], mode="clip")
+            np.right_shift(value[:a], 31, out=sign[:a])
+            np.bitwise_xor(value[:a], sign[:a], out=state[:a])
+            np.subtract(count[:a], sign[:a], out=count[:a])
+            marks[i, :a] = sign[:a]
+        lane, lang = (x.ravel() for x in np.meshgrid(np.flatnonzero(self.more), np.arange(langs), indexing="ij"))
+        change, reached, at = np.zeros((n, langs), np.int64), np.ones((n, langs), bool), state[self.column]
+        at[lane, lang], change[lane, lang], met, _ = self._onward(table, marks, at[lane, lang], lane + 1, lang)
+        reached[lane, lang] = met | ~self.more[lane + 1]
+        total = np.zeros((self.texts, langs), np.int64)
+        summed = np.concatenate([np.zeros((1, langs), np.int64), np.cumsum(np.where(reached, change, 0), axis=0)])
+        np.add.at(total, self.text, count[self.column])
+        total[self.text[self.first]] += summed[self.after] - summed[self.first]
+        self._alone(table, marks, at, change, reached, summed, total)
+        return total
+
+    def _onward(self, table, marks, state, lane, lang):
+        """Parses from the start of ``lane`` until they meet a mark of it or its end: (state, starts passed less marks passed, met, steps)."""
+        state, change, met, steps = state.copy(), np.zeros(len(lane), np.int64), np.zeros(len(lane), bool), 0
+        column, length = self.column[lane], self.length[lane]
+        live = np.flatnonzero(length > 0)
+        while len(live):
+            now = table[state[live] + self.blocks[steps, column[live]]]
+            own = now < 0
+            state[live] = np.where(own, ~now, now)
+            theirs = marks[steps, column[live], lang[live]] != 0
+            both = own & theirs
+            change[live] += own.astype(np.int64) - theirs
+            met[live[both]] = True
+            steps += 1
+            live = live[~both & (length[live] > steps)]
+        return state, change, met, steps
+
+    def _alone(self, table, marks, at, change, reached, summed, total) -> None:
+        """Mends ``total`` of texts where a parse went through a whole block without meeting a mark."""
+        n, langs = reached.shape
+        stuck = np.where(reached, n, np.arange(n)[:, None])
+        stuck = np.minimum.accumulate(stuck[::-1], axis=0)[::-1]  # the next lane from here on that met no mark
+        after = np.zeros(n, np.int64)
+        after[self.first] = self.after
+        after = np.maximum.accumulate(after)
+        text, lang = np.nonzero(stuck[self.first] < self.after[:, None])
+        lane = self.first[text]
+        owner = self.text[lane]
+        total[owner, lang] -= summed[after[lane], lang] - summed[lane, lang]  # counted anew below, along the true parse
+        while len(lane):
+            bad = stuck[lane, lang]
+            end = np.minimum(bad, after[lane])
+            np.add.at(total, (owner, lang), summed[end, lang] - summed[lane, lang])
+            go = bad < after[lane]
+            lane, lang, owner, bad = lane[go], lang[go], owner[go], bad[go]
+            np.add.at(total, (owner, lang), change[bad, lang])
+            state, lane = at[bad, lang], bad + 2
+            out = [np.zeros(0, np.int64)] * 3
+            while len(lane):
+                state, passed, met, _ = self._onward(table, marks, state, lane, lang)
+                np.add.at(total, (owner, lang), passed)
+                out = [np.concatenate(x) for x in zip(out, (lane[met], lang[met], owner[met]), strict=True)]
+                go = ~met & self.more[lane]
+                state, lane, lang, owner = state[go], lane[go] + 1, lang[go], owner[go]
+            lane, lang, owner = out
+
+
 class Parser:
     """Automata of all languages in one table.
 
@@ -107,23 +208,15 @@ class Parser:
         self.table = np.concatenate([r.ravel() for r in rows]) if rows else np.zeros(1, np.int32)
         self.log_size = np.array([np.log(len(parsed[n]) + 2.0) for n in self.names])
 
-    def phrases(self, blocks: np.ndarray) -> np.ndarray:
-        """Phrases of each block (columns of codes; code 0 makes one of its own) in each language: (languages, blocks)."""
-        langs, lanes = len(self.names), blocks.shape[1]
-        state = np.repeat(np.array(self.roots, np.int32), lanes).reshape(langs, lanes)
-        count = np.zeros((langs, lanes), np.int32)
-        value, sign = np.empty_like(state), np.empty_like(state)
-        for step in blocks:
-            np.add(state, step, out=state)
-            np.take(self.table, state, out=value, mode="clip")
-            np.right_shift(value, 31, out=sign)
-            np.bitwise_xor(value, sign, out=state)
-            np.subtract(count, sign, out=count)
-        return count
+    def phrases(self, codes: np.ndarray, size: np.ndarray) -> np.ndarray:
+        """Phrases of each whole text (its symbols in ``codes``, ``size`` of each; code 0 is a phrase of its own): (texts, languages)."""
+        texts = _Lanes(codes, size)
+        some = max(1, LANES // max(1, texts.n))
+        found = [texts.counted(self.table, np.array(self.roots[k : k + some], np.int32)) for k in range(0, len(self.roots), some)]
+        return np.concatenate(found, axis=1)
 
-    def rates(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-        """Weighted phrases per symbol, (texts, languages); nan where a text has no symbol."""
-        n = len(offsets) - 1
+    def counted(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(phrases of each text in each language, symbols of each text)."""
         reduced = symbols(data)
         inner = offsets[:-1][np.diff(offsets) > 0]
         first = data[inner] if len(inner) else data[:0]
@@ -131,26 +224,15 @@ class Parser:
         keep = reduced != 0
         codes = self.code[reduced[keep]]
         size = np.diff(np.concatenate([[0], np.cumsum(keep)])[offsets])
-        each = -(-size // BLOCK)
-        owner = np.repeat(np.arange(n), each)
-        begin = np.cumsum(size) - size
-        nth = np.arange(len(owner)) - np.repeat(np.cumsum(each) - each, each)
-        start = begin[owner] + nth * BLOCK
-        length = np.minimum(BLOCK, size[owner] - nth * BLOCK)
-        total = np.zeros((len(self.names), n))
-        order = np.argsort(-length, kind="stable")
-        lanes = max(1, LANES // max(1, len(self.names)))
-        for k in range(0, len(order), lanes):
-            own = order[k : k + lanes]
-            deep = int(length[own[0]])
-            at = start[own][None, :] + np.arange(deep)[:, None]
-            inside = np.arange(deep)[:, None] < length[own][None, :]
-            blocks = np.where(inside, codes[np.where(inside, at, 0)], 0).astype(np.int32)
-            found = self.phrases(blocks) - (deep - length[own])[None, :]
-            for row, counts in zip(total, found, strict=True):
-                row += np.bincount(owner[own], counts, n)
+        return self.phrases(codes, size), size
+
+    def weighed(self, total: np.ndarray, size: np.ndarray) -> np.ndarray:
+        """Phrases per symbol, weighted by the size of the samples; nan where a text has no symbol."""
         with np.errstate(divide="ignore", invalid="ignore"):
-            return (total * self.log_size[:, None] / size[None, :]).T
+            return total * self.log_size / size[:, None]
+
+    def rates(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+        return self.weighed(*self.counted(data, offsets))
 
 
 def parser(samples: dict[str, bytes]) -> Parser:
@@ -197,13 +279,14 @@ def learn(labelled: DataFrame, symbols_per_language: int = 60_000, docs_per_lang
     return {k: b"\n".join(v) for k, v in taken.items()}
 
 
-def identify(docs: DataFrame, samples: dict[str, bytes], text_column: str = "text", keep: list[str] | None = None) -> DataFrame:
+def identify(docs: DataFrame, samples: dict[str, bytes], text_column: str = "text", keep: list[str] | None = None, least_matched: float = 0.0) -> DataFrame:
     """``docs`` with lang_pred and score.
 
     lang_pred is ``und`` with score 0 for null texts and texts without a letter, or if nothing was learned; else score is the
     runner-up's rate over the sum of the two lowest, 0.5 to 1 (1 with a single language).  Ties go to the first name in
-    order.  Whole texts are parsed; equal texts get equal results; an empty table gives no row; columns named lang_pred
-    or score are replaced, others kept.
+    order.  With ``least_matched`` a text whose best language matches fewer symbols a phrase than that (two phrases of
+    grace, so short texts are not judged by a word) is ``und`` too: it is in no learned language.  Whole texts are parsed;
+    equal texts get equal results; an empty table gives no row; columns named lang_pred or score are replaced, others kept.
     """
 
     def compute(chunk: Chunk) -> dict:
@@ -211,9 +294,11 @@ def identify(docs: DataFrame, samples: dict[str, bytes], text_column: str = "tex
         known = _has_letter(chunk)
         if not samples:
             return {"lang_pred": ["und"] * chunk.n, "score": np.zeros(chunk.n)}
-        rates = parser(samples).rates(chunk.bytes, chunk.offsets)
-        rates = np.nan_to_num(rates, nan=1.0)
+        own = parser(samples)
+        total, size = own.counted(chunk.bytes, chunk.offsets)
+        rates = np.nan_to_num(own.weighed(total, size), nan=1.0)
         best = np.argmin(rates, axis=1)
+        known &= least_matched * (total[np.arange(chunk.n), best] - 2) <= size
         ranked = np.sort(rates, axis=1)
         score = ranked[:, 1] / np.maximum(ranked[:, 0] + ranked[:, 1], 1e-12) if rates.shape[1] > 1 else np.ones(chunk.n)
         return {"lang_pred": names[np.where(known, best, len(samples))].tolist(), "score": np.where(known, score, 0.0)}

@@ -203,6 +203,35 @@ def test_lockstep_phrases_match_plain():
     np.testing.assert_allclose(rates, want)
 
 
+def plain_phrases(text, sample):
+    n = i = 0
+    while i < len(text):
+        k = 1
+        while i + k < len(text) and text[i : i + k + 1] in sample:
+            k += 1
+        n, i = n + 1, i + k
+    return n
+
+
+def test_whole_texts_are_parsed_in_one():
+    r = np.random.default_rng(2)
+    word = lambda: "".join(r.choice(list("aabcde"), int(r.integers(1, 7))))
+    known = [word() for _ in range(60)]
+    prose = lambda n: " ".join(r.choice(known, n))
+    samples = {"x": prose(900), "y": " ".join(word() for _ in range(700)), "z": "ha" * 40}
+    texts = [samples["x"], samples["x"][100:2400] + prose(600) + samples["y"], "ha" * 2600, "a" * 5000, "qq" * 1500, "ab " + samples["y"] * 2, prose(1200), "", "a", prose(90)[:512], prose(200)[:513], prose(400)[:1024], "ha" * 300 + samples["x"] + "ha" * 700]
+    texts += [prose(int(r.integers(1, 1500))) for _ in range(12)]
+    data = [t.encode() for t in texts]
+    p = Parser({k: v.encode() for k, v in samples.items()})
+    offsets = np.concatenate([[0], np.cumsum([len(t) for t in data])])
+    rates = p.rates(np.frombuffer(b"".join(data), np.uint8), offsets)
+    for k, t in enumerate(texts):
+        if t:
+            want = [plain_phrases(t, samples[n]) for n in p.names]
+            np.testing.assert_allclose(rates[k] * len(t) / p.log_size, want, err_msg=t[:50])
+    assert plain_phrases(texts[0], samples["x"]) == 1 and len(texts[0]) > 3000
+
+
 def test_language_held_out_and_edges(spark):
     docs = table(spark, "/root/testdata/sf0.01", "documents")
     from stepwalk.llm.op7_language import op7_language
@@ -273,12 +302,38 @@ def test_pipeline_stages_act(spark, sf):
     assert sum(i in kept for i in bad) <= 0.1 * len(bad)
 
 
+def test_pipeline_stages_keep_clashing_columns_and_null_ids(spark, sf):
+    docs = table(spark, sf, "documents")
+    extra = {"score": F.lit("own"), "predicted": F.lit("p"), "lang_pred": F.lit(7), "n_words": F.lit("n"), "kept_text": F.lit("k"), "class_id": F.lit("c"), "text_key": F.lit("t"), "key": F.lit("y"), "node": F.lit("z")}
+    wide = docs.withColumn("doc_id", F.when(F.col("doc_id") % 5 > 0, F.col("doc_id"))).withColumns(extra)
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        after = stage(spark, wide, sf)
+        assert after.columns == wide.columns and after.schema["lang_pred"].dataType.typeName() == "integer", name
+        got = after.select(*extra).distinct().collect()
+        assert [tuple(x) for x in got] == [("own", "p", 7, "n", "k", "c", "t", "y", "z")], name
+        assert 0 < after.count() <= wide.count()
+        wide = spark.createDataFrame(after.toArrow())
+    assert wide.where("doc_id is null").count() > 0
+    assert corpus_pipeline.STAGES[-1][1](spark, wide, sf).count() > 0
+
+
 def test_pipeline_stages_take_nothing(spark, sf):
     none = table(spark, sf, "documents").limit(0)
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, none, sf).count() == 0
 
 
+def test_pipeline_language_rejects_by_the_parse(spark, sf):
+    docs = table(spark, sf, "documents")
+    r = np.random.default_rng(8)
+    junk = [" ".join("".join(r.choice(list("abcdefghijklmnopqrstuvwxyz"), int(r.integers(2, 12)))) for _ in range(60)) for _ in range(5)]
+    junk += ["Это предложение написано на другом языке и не должно остаться. " * 3, "這句話是用另一種語言寫的。" * 5, "12 34 -- !!", None]
+    more = spark.createDataFrame([(10_000 + i, t, None, None, 0) for i, t in enumerate(junk)], docs.schema)
+    kept = {x.doc_id for x in corpus_pipeline.language(spark, docs.unionByName(more), sf).select("doc_id").collect()}
+    worded = {x.doc_id for x in docs.where("text rlike '[A-Za-z]'").collect()}
+    assert kept == worded
+
+
 def test_every_labelled_language_is_learned(spark):
     import corpus_pipeline
 
