@@ -11,7 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import hash_sample, held_back, table, with_measures
+from .tables import hash_sample, held_back, table, with_measures, written
 from .textbatch import U64, Chunk, mix, repeated_cover
 
 PASSAGE_WORDS = 64
@@ -125,29 +125,37 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = 2000, most_passag
     """A scorer from ``labels`` (doc_id, quality) and the texts of ``docs``.
 
     About ``per_label`` rows of each label are taken by a hash of the id (repeated ids once, with their highest label), so
-    the sample, which is broadcast, has a bound; what reaches the driver are their passages' features, at most about
-    ``most_passages`` (later rows in hash order are left out).
+    the sample, which is broadcast, has a bound.  Of an id that several documents have, one text is taken (the smallest by
+    hash).  The driver first gets the passages of each sampled text as a number and chooses, in hash order, texts that
+    have at most ``most_passages`` together; only their features come to it.
     """
     unique = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("quality").alias("quality"))
     chosen = hash_sample(unique, "quality", per_label, "doc_id", most_groups=2)
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").withColumn("place", F.xxhash64("doc_id", "text"))
+    one = rows.groupBy("doc_id", "quality").agg(F.min("place").alias("place"))
+    rows = rows.join(F.broadcast(one.withColumnsRenamed({"doc_id": "_id", "quality": "_q", "place": "_p"})), (F.col("doc_id") == F.col("_id")) & (F.col("place") == F.col("_p"))).drop("_id", "_q", "_p")
+    rows = written(rows.dropDuplicates(["doc_id"]), "labelled")
+
+    def sizes(chunk: Chunk) -> dict:
+        return {"passages": np.maximum(1, -(-chunk.words().count // PASSAGE_WORDS))}
 
     def compute(chunk: Chunk) -> dict:
         x, per = passages(chunk)
         cut = np.split(x.astype(np.float32), np.cumsum(per)[:-1])
         return {"features": [c.tobytes() for c in cut]}
 
-    found = with_measures(rows, compute, {"features": "binary"}, keep=["doc_id", "quality"]).collect()
-    found.sort(key=lambda r: (hash((r["doc_id"] * 2654435761) & 0xFFFFFFFF), r["features"]))
-    bags, total = [], 0
-    for r in found:
-        bag = np.frombuffer(r["features"], np.float32).reshape(-1, FEATURES).astype(np.float64)
-        if total + len(bag) <= most_passages:
-            bags.append((bag, r["quality"]))
-            total += len(bag)
-    if not bags:
+    taken, total = [], 0
+    for r in sorted(with_measures(rows, sizes, {"passages": "long"}, keep=["doc_id", "place"]).collect(), key=lambda r: (r["place"], r["doc_id"])):
+        if total + r["passages"] <= most_passages:
+            taken.append((r["doc_id"],))
+            total += r["passages"]
+    if not taken:
         return AttentionScorer()
-    return AttentionScorer().fit(np.concatenate([b for b, _ in bags]), np.array([len(b) for b, _ in bags]), np.array([q for _, q in bags], float))
+    rows = rows.join(F.broadcast(docs.sparkSession.createDataFrame(taken, "doc_id long")), "doc_id", "left_semi")
+    found = with_measures(rows, compute, {"features": "binary"}, keep=["doc_id", "quality", "place"]).collect()
+    found.sort(key=lambda r: (r["place"], r["doc_id"]))
+    bags = [np.frombuffer(r["features"], np.float32).reshape(-1, FEATURES).astype(np.float64) for r in found]
+    return AttentionScorer().fit(np.concatenate(bags), np.array([len(b) for b in bags]), np.array([r["quality"] for r in found], float))
 
 
 def classify(docs: DataFrame, scorer: AttentionScorer, text_column: str = "text", keep: list[str] | None = None) -> DataFrame:

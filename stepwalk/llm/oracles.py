@@ -36,27 +36,35 @@ WITH w AS (
 ), rep AS (
   SELECT doc_id, count(*) AS n FROM (SELECT DISTINCT doc_id, unnest(range(p, p + 3)) AS i FROM twice) GROUP BY doc_id
 ), dup AS (
-  SELECT doc_id, sum(n - 1) AS n FROM (
+  SELECT doc_id, sum(n - 1) AS n, sum(n) AS lines FROM (
     SELECT doc_id, line, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM w)
     WHERE regexp_matches(line, '{WORD}') GROUP BY doc_id, line) GROUP BY doc_id
 ), m AS (
   SELECT doc_id, host, CAST(len(ws) AS BIGINT) AS n_words,
          CAST(length(array_to_string(ws, '')) AS BIGINT) AS word_chars,
          CAST(length(regexp_replace(text, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,
-         CAST(coalesce(dup.n, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(rep.n, 0) AS BIGINT) AS n_repeat_words
+         CAST(coalesce(dup.n, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(rep.n, 0) AS BIGINT) AS n_repeat_words,
+         CAST(coalesce(dup.lines, 0) AS BIGINT) AS n_lines
   FROM w LEFT JOIN dup USING (doc_id) LEFT JOIN rep USING (doc_id)
 ), f AS (
   SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m
+), rule AS (
+  SELECT host, 'few' AS name, (n_words < 50)::INT AS bad FROM f
+  UNION ALL SELECT host, 'repeated', (100 * n_repeat_words > 50 * n_words)::INT FROM f
+  UNION ALL SELECT host, 'length', (n_words > 0 AND word_chars / n_words NOT BETWEEN 2 AND 15)::INT FROM f
+  UNION ALL SELECT host, 'symbols', (n_symbols > n_words / 10)::INT FROM f
+  UNION ALL SELECT host, 'lines', (n_lines > 0 AND n_dup_lines / n_lines > 0.3)::INT FROM f
 ), h AS (
-  SELECT host, count(*) AS n, sum(base_failed::INT) AS bad, sum(base_failed::INT) / count(*) AS rate FROM f GROUP BY host
+  SELECT host, name, count(*) AS n, sum(bad) AS bad, sum(bad) / count(*) AS rate FROM rule GROUP BY host, name
 ), prior AS (
-  SELECT avg(rate) AS m, CASE WHEN var_pop(rate) > 0 THEN greatest(1.0, least(1000.0, avg(rate) * (1 - avg(rate)) / var_pop(rate) - 1))
-         ELSE 1000.0 END AS wt FROM h
+  SELECT name, avg(rate) AS m, CASE WHEN var_pop(rate) > 0 THEN greatest(1.0, least(1000.0, avg(rate) * (1 - avg(rate)) / var_pop(rate) - 1))
+         ELSE 1000.0 END AS wt FROM h GROUP BY name
 ), s AS (
-  SELECT host, (bad + wt * m) / (n + wt) AS shrunk FROM h, prior
+  SELECT host, max((bad + wt * m) / (n + wt)) AS shrunk FROM h JOIN prior USING (name) GROUP BY host
 )
-SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND shrunk < 0.5 AS kept,
-       f.host, round(shrunk, 9) AS shrunk
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_lines, base_failed, NOT base_failed AND shrunk < 0.5 AS kept,
+       f.host, CAST((n_words < 50)::INT + (100 * n_repeat_words > 50 * n_words)::INT + (n_words > 0 AND word_chars / n_words NOT BETWEEN 2 AND 15)::INT
+       + (n_symbols > n_words / 10)::INT + (n_lines > 0 AND n_dup_lines / n_lines > 0.3)::INT AS BIGINT) AS n_failed, round(shrunk, 9) AS shrunk
 FROM f JOIN s ON f.host IS NOT DISTINCT FROM s.host
 """
 

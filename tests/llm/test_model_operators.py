@@ -262,6 +262,60 @@ def test_quality_held_out_and_edges(spark):
     assert classify(hard, none).select("score").distinct().collect() == [(0.5,)]
 
 
+def test_quality_learns_from_a_bounded_sample(spark, monkeypatch):
+    from stepwalk.llm import op9_quality
+
+    seen = []
+    fit = AttentionScorer.fit
+    monkeypatch.setattr(op9_quality.AttentionScorer, "fit", lambda self, x, per, label: seen.append((x, per, label)) or fit(self, x, per, label))
+    rows = [(7, f"repeated id {i} " * 40) for i in range(500)] + [(i, f"good words number {i} " * 30) for i in range(100, 140)] + [(9, "long " * 20_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(r[0], r[0] % 2) for r in rows] + [(7, 1), (None, 1)], "doc_id long, quality int")
+    train(docs, labels, most_passages=200)
+    x, per, label = seen[0]
+    assert len(per) == 41 and per.sum() == len(x) <= 200 and len(label) == 41
+    train(docs, labels, most_passages=1000)
+    assert len(seen[1][1]) == 42 and seen[1][1].max() == -(-20_000 // 64)
+
+
+def plain_score(s, text):
+    """The forward pass of one text, passage by passage."""
+    import re
+    from collections import Counter
+
+    words = [(m.start(), m.group()) for m in re.finditer(r"[^\x20\x09-\x0D]+", text)]
+    cuts = [0] + [words[k][0] for k in range(64, len(words), 64)] + [len(text)]
+    three = Counter(tuple(w for _, w in words[k : k + 3]) for k in range(len(words) - 2))
+    covered = {k + j for k in range(len(words) - 2) if three[tuple(w for _, w in words[k : k + 3])] > 1 for j in range(3)}
+    marks = [b for b in range(33, 127) if not chr(b).isalnum()]
+    bags = []
+    for n, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)):
+        own = [w for _, w in words[64 * n : 64 * n + 64]]
+        part, x = text[a:b], np.zeros(7 + len(marks) + 6)
+        for c in part:
+            k = 0 if c.islower() else 1 if c.isupper() else 2 if c.isdigit() else 3 if c == " " else 4 if c == "\n" else 7 + marks.index(ord(c)) if ord(c) in marks else 5
+            x[k] += 1 / max(1, len(part))
+        m = max(1, len(own))
+        again = sum(words[k][1] == words[k - 1][1] for k in range(64 * n, 64 * n + len(own)) if k)
+        x[-6:] = sum(map(len, own)) / m / 10, again / m, len(set(own)) / m, sum(64 * n <= k < 64 * n + 64 for k in covered) / m, len(own) / 64, np.log1p(len(words)) / 10
+        bags.append(x)
+    p = s.p
+    h = [np.tanh(np.clip((x - s.mean) / s.scale, -8, 8) @ p["encode"] + p["shift"]) for x in bags]
+    e = np.array([(np.tanh(v @ p["v"]) / (1 + np.exp(-(v @ p["u"])))) @ p["w"] for v in h])
+    a = np.exp(e) / np.exp(e).sum()
+    return 1 / (1 + np.exp(-(sum(k * v for k, v in zip(a, h, strict=True)) @ p["score"] + p["bias"][0])))
+
+
+def test_quality_scores_match_plain(spark):
+    r = np.random.default_rng(6)
+    scorer = AttentionScorer()
+    scorer.constant, scorer.mean, scorer.scale = None, r.normal(size=scorer.mean.shape) * 0.1, 0.5 + r.random(scorer.scale.shape)
+    words = ["One", "two,", "three", "x", "x", "4.5", "(six)", "#7", "eight\n"]
+    texts = ["", "a", "x x x x"] + [" ".join(r.choice(words, int(r.integers(1, 400)))) for _ in range(15)]
+    got = {x.doc_id: x.score for x in classify(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), scorer).collect()}
+    np.testing.assert_allclose([got[k] for k in range(len(texts))], [plain_score(scorer, t) for t in texts], rtol=1e-6)
+
+
 def test_attention_gradients():
     r = np.random.default_rng(1)
     s = AttentionScorer(6, 5, 4)

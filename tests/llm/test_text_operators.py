@@ -258,6 +258,16 @@ def test_host_rules_shrink_and_reject(spark):
     assert judge(spark.createDataFrame([], "doc_id long, text string, source string")).count() == 0
 
 
+def test_hosts_fail_by_any_rule(spark):
+    good = " ".join(f"word{i}" for i in range(60))
+    signs, lines = good + " # * $ % & | < > ##", "\n".join(["same line of words here"] * 5 + [f"{good} {k}" for k in range(6)])
+    rows = [(i, good, "fine") for i in range(40)] + [(100 + i, signs, "signs") for i in range(40)] + [(200 + i, lines, "lines") for i in range(40)] + [(300, good, "signs")]
+    got = {r.doc_id: r for r in judge(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()}
+    assert got[0].kept and got[0].n_failed == 0 and not got[100].base_failed and got[100].n_failed == 1
+    assert got[200].n_lines == 11 and got[200].n_dup_lines == 4 and got[200].n_failed >= 1
+    assert not got[100].kept and not got[200].kept and not got[300].kept and got[300].n_failed == 0
+
+
 def plain_licenses(text):
     words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
     norm = " " + " ".join(words) + " "
