@@ -70,12 +70,12 @@ def approx_rate(log: DataFrame) -> DataFrame:
 
 
 def switch_supersteps(steps: DataFrame, popular: DataFrame) -> DataFrame:
-    """(start, round, moves, supersteps): a move that leaves a popular vertex for another kind costs two supersteps more."""
+    """(start, round, moves, supersteps): a move that leaves a popular vertex for another kind costs one superstep more."""
     last = steps.agg(F.max("step")).first()[0] or 0
     hot = popular.select("vid")
     rows = moves(steps).join(hot.select(F.col("vid").alias("cur"), F.lit(1).alias("from_hot")), "cur", "left").join(hot.select(F.col("vid").alias("next"), F.lit(1).alias("to_hot")), "next", "left")
     asked = (F.col("from_hot").isNotNull() & F.col("to_hot").isNull() & (F.col("step") < last)).cast("long")
-    return rows.groupBy("start", "round").agg(F.count("*").alias("moves"), (F.count("*") + 2 * F.sum(asked)).alias("supersteps"))
+    return rows.groupBy("start", "round").agg(F.count("*").alias("moves"), (F.count("*") + F.sum(asked)).alias("supersteps"))
 
 
 def speedup(cost: DataFrame, against: str) -> DataFrame:

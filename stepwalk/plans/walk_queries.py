@@ -175,7 +175,7 @@ _same = f"{oracle.PART.format('prev', PARTS)} = {oracle.PART.format('cur', PARTS
 _cost("cost_local_saved", lambda s, d, few=None: (lambda e, _, w: accounting.local_saved(w.steps(), e, PARTS))(*_entity_walk(s, d, few)), f"SELECT count(*) AS n_moves, CAST(count(*) FILTER ({_same}) AS BIGINT) AS n_local, CAST(sum(deg) AS BIGINT) AS n_ids, CAST(coalesce(sum(deg) FILTER ({_same}), 0) AS BIGINT) AS local_ids FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST}")
 _cost("cost_cache_saved", lambda s, d, few=None: (lambda e, p, w: accounting.cache_saved(w.steps(), e, p, PARTS))(*_entity_walk(s, d, few, popular_share=0.05)), f"""SELECT count(*) AS n_refs, CAST(count(*) FILTER (n = 1) AS BIGINT) AS n_first, CAST(coalesce(sum(deg), 0) AS BIGINT) AS ids_without, CAST(coalesce(sum(deg) FILTER (n = 1), 0) AS BIGINT) AS ids_with FROM (
 SELECT deg.deg, row_number() OVER (PARTITION BY prev, {oracle.PART.format('cur', PARTS)} ORDER BY step, start, round) AS n FROM walk JOIN deg ON deg.vid = prev JOIN pop ON pop.vid = prev WHERE step > 0 AND step < {_LAST} AND NOT ({_same}))""")
-_cost("cost_switch_supersteps", lambda s, d, few=None: (lambda e, p, w: accounting.switch_supersteps(w.steps(), p))(*_entity_walk(s, d, few, popular_share=0.05)), f"""SELECT start, CAST(round AS INT) AS round, count(*) AS moves, CAST(count(*) + 2 * count(*) FILTER (a.vid IS NOT NULL AND b.vid IS NULL AND step < {_LAST}) AS BIGINT) AS supersteps
+_cost("cost_switch_supersteps", lambda s, d, few=None: (lambda e, p, w: accounting.switch_supersteps(w.steps(), p))(*_entity_walk(s, d, few, popular_share=0.05)), f"""SELECT start, CAST(round AS INT) AS round, count(*) AS moves, CAST(count(*) + count(*) FILTER (a.vid IS NOT NULL AND b.vid IS NULL AND step < {_LAST}) AS BIGINT) AS supersteps
 FROM walk LEFT JOIN pop a ON a.vid = prev LEFT JOIN pop b ON b.vid = cur WHERE step > 0 GROUP BY 1, 2""")
 _cost("cost_approx_rate", lambda s, d, few=None: (lambda e, p, w: accounting.approx_rate(w.log()))(*_entity_walk(s, d, few, P_LOCAL, APPROX, 0.05, EPS)), f"SELECT count(*) FILTER (step < {P_LOCAL.length}) AS n_moves, CAST(count(*) FILTER (step > 1 AND skipped) AS BIGINT) AS n_static FROM walk WHERE step > 0", P_LOCAL, approx=EPS)
 

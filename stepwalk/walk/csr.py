@@ -9,7 +9,7 @@ from __future__ import annotations
 import numpy as np
 
 from .bounds import gap
-from .kernel import ragged, runs
+from .kernel import draw_corrected, ragged, runs
 from .rng import SPAN
 
 
@@ -62,7 +62,6 @@ class Resident:
         n = len(cur)
         whole = self.ws.dtype.kind == "i" and all(isinstance(f, int) for f in factors)
         begin, size = self.offsets[cur], self.deg[cur]
-        base, sums = self.prefix[begin], self.prefix[begin + size] - self.prefix[begin]
         biased = prev >= 0
         plain = np.where(biased, other, 1)
         walker = np.flatnonzero(biased)
@@ -86,29 +85,8 @@ class Resident:
             row.append(walker[at >= 0])
             place.append(at[at >= 0])
             extra.append(np.full(int((at >= 0).sum()), back - other))
-        row, place, extra = np.concatenate(row).astype(np.int64), np.concatenate(place).astype(np.int64), np.concatenate(extra)
-        order = np.lexsort((place, row))
-        row, place, extra = row[order], place[order], extra[order]
-        gains = extra * self.ws[place] if len(place) else extra * 1
-        gain = np.concatenate([np.zeros(1, gains.dtype), np.cumsum(gains)])
-        wide = int(len(self.dst)) + 1
-        special = row * wide + place
-        first = np.searchsorted(row, np.arange(n + 1))
-        total = plain * sums + gain[first[1:]] - gain[first[:-1]]
-        target = draw % total if whole else draw / SPAN * total
-        low, high = begin.copy(), begin + size - 1
-        me = np.arange(n) * wide
-        while True:
-            live = np.flatnonzero(low < high)
-            if not len(live):
-                break
-            mid = (low[live] + high[live]) // 2
-            upto = np.searchsorted(special, me[live] + mid, side="right")
-            reached = plain[live] * (self.prefix[mid + 1] - base[live]) + gain[upto] - gain[first[live]]
-            over = reached > target[live]
-            high[live] = np.where(over, mid, high[live])
-            low[live] = np.where(over, low[live], mid + 1)
-        return self.dst[low]
+        special = np.concatenate(row).astype(np.int64), np.concatenate(place).astype(np.int64), np.concatenate(extra)
+        return self.dst[draw_corrected(self.prefix, self.ws, begin, size, plain, special, draw, whole)]
 
     def step_reject(self, cur: np.ndarray, prev: np.ndarray, draw: np.ndarray, factors: tuple) -> np.ndarray:
         """Next positions by rejection: propose by plain weights, accept by factor over the largest factor.

@@ -5,8 +5,12 @@ Every superstep joins the walkers to the placed adjacency on their vertex, draws
 that table is the step log of this move, the next state and the restart point at once.  Only walkers are shuffled.
 
 Routes decide how the last vertex's list reaches the next draw: ``list`` (it rides on the row), ``local`` (read beside
-the walker's vertex), ``ref`` (popular vertex, cached), ``ask`` (the roles switch), ``static`` (bounds are tight, no list),
-``none`` (no later draw needs it).
+the walker's vertex), ``ref`` (popular vertex, cached), ``ask`` (the roles switch: the new vertex's list goes to the last
+one, which draws), ``static`` (bounds are tight, no list), ``none`` (no later draw needs it).
+
+With the eager cache, popular vertices' lists and running sums are in every worker.  Walkers that stand at a popular vertex
+are then joined to nothing: they are drawn where they are, in logarithmic time from the running sums (corrected at the
+few common neighbours, or not at all where the bounds are tight), so no popular vertex is a join key.
 """
 
 from __future__ import annotations
@@ -14,9 +18,11 @@ from __future__ import annotations
 from collections.abc import Iterator
 from contextlib import contextmanager
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -24,11 +30,12 @@ from ..config import WalkParams, run_dir
 from ..graph.model import adjacency, part_of, place, unchunked
 from .bounds import gap
 from .csr import Resident
-from .kernel import biased_mass, member, pick, ragged
+from .kernel import biased_mass, draw_corrected, member, pick, ragged
 from .rng import draw48
 
-STATE = "start long, round int, vertex long, prev long, prev_ids array<long>, route string, n_ids long, hops int"
-LOG = "start long, round int, vertex long, route string, n_ids long, hops int, step int"
+STATE = "start long, round int, vertex long, prev long, prev_ids array<long>, route string, n_ids long, hops int, at_hot boolean, replied long"
+LOG = "start long, round int, vertex long, route string, n_ids long, hops int, replied long, step int"
+MOST_ASKED = 50_000
 
 
 @dataclass(frozen=True)
@@ -65,7 +72,7 @@ class Walk:
     parts: int
 
     def log(self) -> DataFrame:
-        """(start, round, step, vertex, route, n_ids, hops)."""
+        """(start, round, step, vertex, route, n_ids, hops, replied): ``n_ids`` are sent with the move, ``replied`` came back for the draw."""
         return self.spark.read.schema(LOG).parquet(self.path)
 
     def steps(self) -> DataFrame:
@@ -86,11 +93,15 @@ def paths_of(steps: DataFrame) -> DataFrame:
 
 
 def messages_of(log: DataFrame) -> DataFrame:
-    """Message log (step, kind, n_msgs, n_ids, bytes): one step message per move; list messages by route, 8 bytes an id."""
+    """Message log (step, kind, n_msgs, n_ids, bytes): one step message per move; list messages by route, 8 bytes an id.
+
+    Under ``ask`` a message has one id; its ``reply``, the list of the vertex asked, is booked at the same step.
+    """
     moves = log.where("step > 0")
     told = moves.groupBy("step").agg(F.count("*").alias("n_msgs")).select("step", F.lit("step").alias("kind"), "n_msgs", F.col("n_msgs").alias("n_ids"))
     lists = moves.groupBy("step", F.col("route").alias("kind")).agg(F.count("*").alias("n_msgs"), F.sum("n_ids").alias("n_ids"))
-    return told.unionByName(lists).withColumn("bytes", 8 * F.col("n_ids"))
+    replies = log.where("replied > 0").groupBy((F.col("step") - 1).alias("step")).agg(F.count("*").alias("n_msgs"), F.sum("replied").alias("n_ids"))
+    return told.unionByName(lists).unionByName(replies.withColumn("kind", F.lit("reply"))).withColumn("bytes", 8 * F.col("n_ids"))
 
 
 @dataclass(frozen=True)
@@ -103,6 +114,7 @@ class Hot:
     wmax: np.ndarray
     offsets: np.ndarray | None = None
     ids: np.ndarray | None = None
+    ws: np.ndarray | None = None
 
     def place(self, v: np.ndarray) -> np.ndarray:
         """Index of each vertex, -1 where it is not popular."""
@@ -112,20 +124,71 @@ class Hot:
         at[at == len(self.vid)] = 0
         return np.where(self.vid[at] == v, at, -1)
 
+    @cached_property
+    def prefix(self) -> np.ndarray:
+        return np.concatenate([np.zeros(1, self.ws.dtype), np.cumsum(self.ws)])
+
+    @cached_property
+    def known(self) -> np.ndarray:
+        return np.unique(self.ids)
+
+    @cached_property
+    def keys(self) -> np.ndarray:
+        return np.repeat(np.arange(len(self.vid)), self.deg) * len(self.known) + np.searchsorted(self.known, self.ids)
+
+    def find(self, slot: np.ndarray, x: np.ndarray) -> np.ndarray:
+        """Where the list of the popular vertex ``slot`` has x, -1 where it has not."""
+        if not len(self.ids):
+            return np.full(len(x), -1)
+        code = np.minimum(np.searchsorted(self.known, x), len(self.known) - 1)
+        sought = slot * len(self.known) + code
+        at = np.minimum(np.searchsorted(self.keys, sought), len(self.keys) - 1)
+        return np.where((self.keys[at] == sought) & (self.known[code] == x), at, -1)
+
+    def common(self, u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(pair, place in v's list) of the common neighbours of popular u and v: the shorter list is looked up in the longer."""
+        swap = self.deg[u] > self.deg[v]
+        scan, probe = np.where(swap, v, u), np.where(swap, u, v)
+        own = np.repeat(np.arange(len(u)), self.deg[scan])
+        at = ragged(self.offsets[scan], self.deg[scan])
+        there = self.find(probe[own], self.ids[at])
+        hit = there >= 0
+        return own[hit], np.where(swap[own[hit]], at[hit], there[hit])
+
+    def draw(self, cur: np.ndarray, prev: np.ndarray, biased: np.ndarray, seen: tuple[np.ndarray, np.ndarray], draw: np.ndarray, factors: tuple) -> np.ndarray:
+        """Next vertices of walkers at popular vertices; ``seen`` (walker, id) are the shipped neighbours of their last ones."""
+        back, near, other = factors
+        v = self.place(cur)
+        whole = self.ws.dtype.kind == "i" and all(isinstance(f, int) for f in factors)
+        row, at = [seen[0]], [self.find(v[seen[0]], seen[1])]
+        u = np.where(biased, self.place(prev), -1)
+        pair = np.flatnonzero(u >= 0)
+        if len(pair):
+            own, there = self.common(u[pair], v[pair])
+            row.append(pair[own])
+            at.append(there)
+        row, at = np.concatenate(row), np.concatenate(at)
+        keep = (at >= 0) & biased[row] & (self.ids[at] != prev[row])
+        walker = np.flatnonzero(biased)
+        home = self.find(v[walker], prev[walker])
+        row, at, extra = [row[keep], walker[home >= 0]], [at[keep], home[home >= 0]], [np.full(int(keep.sum()), near - other), np.full(int((home >= 0).sum()), back - other)]
+        special = tuple(np.concatenate(x) for x in (row, at, extra))
+        return self.ids[draw_corrected(self.prefix, self.ws, self.offsets[v], self.deg[v], np.where(biased, other, 1), special, draw, whole)]
+
 
 def collect_hot(adj: DataFrame, popular: DataFrame, with_lists: bool, most_bytes: int = 1 << 30) -> Hot:
-    """The popular vertices' figures (and lists), if they take at most ``most_bytes``; else an error: choose fewer."""
+    """The popular vertices' figures (and lists), if they take at most ``most_bytes`` in a worker; else an error: choose fewer."""
     rows = adj.join(popular.select("vid").distinct(), "vid", "left_semi")
-    size = rows.agg(F.coalesce(F.sum(F.col("deg") * 8 + 32), F.lit(0)) if with_lists else F.count("*") * 32).first()[0]
+    size = rows.agg(F.coalesce(F.sum(F.col("deg") * 40 + 64), F.lit(0)) if with_lists else F.count("*") * 32).first()[0]
     if size > most_bytes:
         raise ValueError(f"popular vertices take {size} bytes, more than {most_bytes}")
-    columns = ["vid", "deg", "wmin", "wmax"] + ["ids"] * with_lists
+    columns = ["vid", "deg", "wmin", "wmax"] + ["ids", "ws"] * with_lists
     found = rows.select(*columns).toArrow().sort_by("vid")
-    lists = found.column("ids").combine_chunks() if with_lists else None
     arrays = [np.asarray(found.column(c)) for c in columns[:4]]
-    if lists is None:
+    if not with_lists:
         return Hot(*arrays)
-    return Hot(*arrays, np.concatenate([[0], np.cumsum(arrays[1])]), np.asarray(lists.flatten()))
+    lists = [np.asarray(found.column(c).combine_chunks().flatten()) for c in ("ids", "ws")]
+    return Hot(*arrays, np.concatenate([[0], np.cumsum(arrays[1])]), *lists)
 
 
 @contextmanager
@@ -142,9 +205,12 @@ def setting(spark: SparkSession, key: str, value: str):
             spark.conf.set(key, before)
 
 
+@contextmanager
 def batch_rows(spark: SparkSession, bytes_per_row: float, budget: int = 32 << 20):
-    """Arrow batches bounded by bytes: fewer rows where rows carry long lists."""
-    return setting(spark, "spark.sql.execution.arrow.maxRecordsPerBatch", str(int(min(10_000, max(16, budget // max(1.0, bytes_per_row))))))
+    """Arrow batches bounded by rows of the mean size and by bytes, as rows may carry long lists."""
+    rows = str(int(min(10_000, max(16, budget // max(1.0, bytes_per_row)))))
+    with setting(spark, "spark.sql.execution.arrow.maxRecordsPerBatch", rows), setting(spark, "spark.sql.execution.arrow.maxBytesPerBatch", str(2 * budget)):
+        yield
 
 
 def _lists(column: pa.ListArray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -154,59 +220,112 @@ def _lists(column: pa.ListArray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.asarray(column.values)[offsets[0] : offsets[-1]] if len(offsets) else np.zeros(0, np.int64), offsets - offsets[0], valid
 
 
-def _kernel(params: WalkParams, variant: Variant, parts: int, hot, last: bool, first: bool, eps: float):
-    factors = params.scaled() or params.factors()
+class _Kernel:
+    """One superstep's draws: ``at_lists`` for walkers that come with their vertex's list, ``at_hot`` for those at popular
+    vertices that every worker knows, ``beside`` for those whose last vertex draws for them."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = hot.value if hot is not None else None
+    def __init__(self, params: WalkParams, variant: Variant, parts: int, hot, last: bool, first: bool, eps: float):
+        self.params, self.variant, self.parts, self.hot, self.last, self.eps = params, variant, parts, hot, last, eps
+        self.factors = params.scaled() or params.factors()
+        self.plain = first or params.first_order()
+
+    def at_lists(self, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = self.hot.value if self.hot is not None else None
+        for b in batches:
+            if b.num_rows:
+                yield self._drawn(b, known, None)
+
+    def at_hot(self, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = self.hot.value
         for b in batches:
-            n = b.num_rows
-            if not n:
+            if not b.num_rows:
                 continue
-            ids, offsets, _ = _lists(b.column("ids"))
-            ws, _, _ = _lists(b.column("ws"))
-            lengths = np.diff(offsets)
-            cur, draw = np.asarray(b.column("vertex")), np.asarray(b.column("draw"))
-            route = np.asarray(b.column("route").to_pylist(), dtype=object)
-            if first or params.first_order():
-                mass = ws
+            cur, draw, route = np.asarray(b.column("vertex")), np.asarray(b.column("draw")), np.asarray(b.column("route").to_pylist(), dtype=object)
+            biased = np.full(b.num_rows, not self.plain) & (route != "static")
+            seen, at, _ = _lists(b.column("prev_ids"))
+            prev = np.asarray(pc.fill_null(b.column("prev"), -1))
+            chosen = known.draw(cur, prev, biased, (np.repeat(np.arange(b.num_rows), np.diff(at)), seen), draw, self.factors)
+            yield self._sent(b, known, cur, chosen, known.deg[known.place(cur)], None, np.zeros(b.num_rows, np.int64))
+
+    def beside(self, walkers: pa.Table, vertex: pa.Table) -> pa.Table:
+        """Of one popular vertex: its list, once, and walkers that left it, each with the list of the vertex where it is."""
+        known, out = self.hot.value, []
+        mine = np.asarray(vertex.column("near").combine_chunks().flatten()) if vertex.num_rows else None
+        for b in walkers.combine_chunks().to_batches() if mine is not None else ():
+            out.append(self._drawn(b, known, mine))
+        return pa.Table.from_batches(out, _STATE)
+
+    def _drawn(self, b: pa.RecordBatch, known: Hot | None, mine: np.ndarray | None) -> pa.RecordBatch:
+        n = b.num_rows
+        ids, offsets, _ = _lists(b.column("ids"))
+        ws, _, _ = _lists(b.column("ws"))
+        lengths = np.diff(offsets)
+        cur, draw = np.asarray(b.column("vertex")), np.asarray(b.column("draw"))
+        if self.plain:
+            mass = ws
+        else:
+            rows = np.repeat(np.arange(n), lengths)
+            prev = np.asarray(b.column("prev"))
+            if mine is not None:
+                common = _held(mine, ids)
             else:
-                rows = np.repeat(np.arange(n), lengths)
-                prev = np.asarray(b.column("prev"))
-                common = np.zeros(len(ids), bool)
                 seen, at, _ = _lists(b.column("prev_ids"))
-                common |= member(rows, ids, np.repeat(np.arange(n), np.diff(at)), seen)
+                common = member(rows, ids, np.repeat(np.arange(n), np.diff(at)), seen)
+                if self.variant.cache == "eager":
+                    slot = known.place(prev)[rows]
+                    cached = np.flatnonzero(slot >= 0)
+                    common[cached] |= known.find(slot[cached], ids[cached]) >= 0
+            route = np.asarray(b.column("route").to_pylist(), dtype=object)
+            mass = biased_mass(rows, ids, ws, prev, common, route != "static", self.factors)
+        chosen = ids[pick(mass, lengths, draw)]
+        replied = lengths if mine is not None else np.zeros(n, np.int64)
+        return self._sent(b, known, cur, chosen, lengths, (ids, offsets), replied)
+
+    def _sent(self, b: pa.RecordBatch, known: Hot | None, cur, chosen, degree, lists, replied) -> pa.RecordBatch:
+        """The walkers after their moves, each with the route of the list that its next draw needs."""
+        n, variant = b.num_rows, self.variant
+        none = self.last or self.params.first_order()
+        route = np.full(n, "none" if none else "list", dtype=object)
+        to_hot = known.place(chosen) if known is not None else np.full(n, -1)
+        if not none:
+            if variant.local:
+                route[(cur ^ (cur >> 16)) % self.parts == (chosen ^ (chosen >> 16)) % self.parts] = "local"
+            if known is not None:
+                from_hot = known.place(cur) >= 0
+                if variant.switch:
+                    route[from_hot & (to_hot < 0)] = "ask"
+                if variant.cache == "lazy":
+                    route[from_hot & (route != "local")] = "ref"
                 if variant.cache == "eager":
-                    own = np.flatnonzero(route == "ref")
-                    spot = known.place(prev[own])
-                    size = known.deg[spot]
-                    common |= member(rows, ids, np.repeat(own, size), known.ids[ragged(known.offsets[spot], size)])
-                mass = biased_mass(rows, ids, ws, prev, common, route != "static", factors)
-            chosen = ids[pick(mass, lengths, draw)]
-            next_route = np.full(n, "none" if last or params.first_order() else "list", dtype=object)
-            if not last and not params.first_order():
-                if known is not None:
-                    from_hot, to_hot = known.place(cur), known.place(chosen)
-                    if variant.switch:
-                        next_route[(from_hot >= 0) & (to_hot < 0)] = "ask"
-                    if variant.cache:
-                        next_route[from_hot >= 0] = "ref"
-                if variant.local:
-                    next_route[(cur ^ (cur >> 16)) % parts == (chosen ^ (chosen >> 16)) % parts] = "local"
-                if variant.approx and known is not None:
-                    able = np.flatnonzero((from_hot < 0) & (to_hot >= 0))
+                    route[~from_hot & (to_hot >= 0)] = "list"
+                    route[from_hot] = "ref"
+                if variant.approx:
+                    able = np.flatnonzero(~from_hot & (to_hot >= 0))
                     spot = to_hot[able]
-                    tight = gap(lengths[able], known.deg[spot], known.wmin[spot], known.wmax[spot], params.p, params.q) < eps
-                    next_route[able[tight]] = "static"
-            ship = next_route == "list"
-            size = np.where(ship, lengths, 0)
-            sent = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), pa.array(ids[ragged(offsets[:-1][ship], size[ship])], pa.int64()), mask=pa.array(~ship))
-            moved = np.where(next_route == "ask", 1, size)
-            hops = np.asarray(b.column("hops")) + 1 + 2 * (next_route == "ask")
-            columns = [b.column("start"), b.column("round"), pa.array(chosen), pa.array(cur), sent, pa.array(next_route.tolist(), pa.string()), pa.array(moved, pa.int64()), pa.array(hops, pa.int32())]
-            yield pa.RecordBatch.from_arrays(columns, [x.split()[0] for x in STATE.split(", ")])
+                    tight = gap(degree[able], known.deg[spot], known.wmin[spot], known.wmax[spot], self.params.p, self.params.q) < self.eps
+                    route[able[tight]] = "static"
+        ship = route == "list"
+        size = np.where(ship, degree, 0)
+        if lists is not None:
+            ids, offsets = lists
+            body = ids[ragged(offsets[:-1][ship], size[ship])]
+        else:
+            at = known.place(cur[ship])
+            body = known.ids[ragged(known.offsets[at], size[ship])]
+        sent = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), pa.array(body, pa.int64()), mask=pa.array(~ship))
+        asked = route == "ask"
+        hops = np.asarray(b.column("hops")) + 1 + asked
+        columns = [b.column("start"), b.column("round"), pa.array(chosen), pa.array(cur), sent, pa.array(route.tolist(), pa.string()), pa.array(np.where(asked, 1, size), pa.int64()), pa.array(hops, pa.int32())]
+        return pa.RecordBatch.from_arrays([*columns, pa.array((to_hot >= 0) & (variant.cache == "eager")), pa.array(replied, pa.int64())], schema=_STATE)
+
+
+_STATE = pa.schema([("start", pa.int64()), ("round", pa.int32()), ("vertex", pa.int64()), ("prev", pa.int64()), ("prev_ids", pa.list_(pa.int64())), ("route", pa.string()), ("n_ids", pa.int64()), ("hops", pa.int32()), ("at_hot", pa.bool_()), ("replied", pa.int64())])
 
-    return run
+
+def _held(sorted_ids: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    at = np.searchsorted(sorted_ids, ids)
+    at[at == len(sorted_ids)] = 0
+    return sorted_ids[at] == ids
 
 
 class Engine:
@@ -248,30 +367,50 @@ class Engine:
         begin = starts.select(F.col("vid").alias("vertex")).distinct() if starts is not None else self.adj.select(F.col("vid").alias("vertex"))
         begin = begin.select(F.col("vertex").alias("start"), F.explode(F.sequence(F.lit(0), F.lit(params.walks_per_vertex - 1))).alias("round"), "vertex")
         empty = {"prev": "long", "prev_ids": "array<long>", "route": "string"}
-        state = begin.withColumns({k: F.lit(None).cast(t) for k, t in empty.items()} | {"n_ids": F.lit(0).cast("long"), "hops": F.lit(0)})
-        state.write.parquet(f"{path}/step=0")
+        state = begin.withColumns({k: F.lit(None).cast(t) for k, t in empty.items()} | {"n_ids": F.lit(0).cast("long"), "hops": F.lit(0), "replied": F.lit(0).cast("long")})
+        eager = variant.cache == "eager"
+        if eager:
+            state = state.join(popular.select(F.col("vid").alias("vertex"), F.lit(True).alias("at_hot")).distinct(), "vertex", "left").withColumn("at_hot", F.coalesce("at_hot", F.lit(False)))
+        else:
+            state = state.withColumn("at_hot", F.lit(False))
+        state.select([x.split()[0] for x in STATE.split(", ")]).write.parquet(f"{path}/step=0")
         sent = _Sent(self, popular) if variant.cache == "lazy" else None
         with batch_rows(spark, 24 * self.size_biased_degree()), setting(spark, "spark.sql.requireAllClusterKeysForCoPartition", "false"):
             for move in range(1, params.length + 1):
-                now = spark.read.schema(STATE).parquet(f"{path}/step={move - 1}")
+                now = spark.read.schema(STATE).parquet(f"{path}/step={move - 1}").drop("replied")
                 now = now.withColumn("draw", draw48(params.seed, "round", "start", move, params.rng))
-                joined = self._attach(now, variant, sent, move == 1 or params.first_order())
-                moved = joined.mapInArrow(_kernel(params, variant, self.parts, hot, move == params.length, move == 1, eps), STATE)
+                kernel = _Kernel(params, variant, self.parts, hot, move == params.length, move == 1, eps)
+                plain = move == 1 or params.first_order()
+                rest = now.where("not at_hot") if eager else now.where("route <> 'ask'") if variant.switch and not plain else now
+                moved = self._attach(rest, variant, sent, plain).drop("at_hot").mapInArrow(kernel.at_lists, STATE)
+                if eager:
+                    moved = moved.unionByName(now.where("at_hot").drop("at_hot").mapInArrow(kernel.at_hot, STATE))
+                if variant.switch and not plain:
+                    moved = moved.unionByName(self._switched(now.where("route = 'ask'").drop("at_hot"), popular, kernel))
                 moved.write.parquet(f"{path}/step={move}")
                 if params.directed and move % 8 == 0 and spark.read.schema(STATE).parquet(f"{path}/step={move}").isEmpty():
                     break
         return Walk(spark, path, params, self.parts)
 
+    def _switched(self, asked: DataFrame, popular: DataFrame, kernel: _Kernel) -> DataFrame:
+        """Walkers that left a popular vertex for another kind: the list of where they are goes back to it, and it draws.
+
+        A popular vertex's walkers are dealt over a salt for each ``MOST_ASKED`` of its neighbours; its list enters once a salt.
+        """
+        lists = self.adj.join(popular.select("vid").distinct(), "vid", "left_semi")
+        salts = F.ceil(F.col("deg") / MOST_ASKED).cast("int")
+        there = lists.select(F.col("vid").alias("_of"), F.col("ids").alias("near"), F.explode(F.sequence(F.lit(0), salts - 1)).alias("_part"))
+        of = lists.select(F.col("vid").alias("_vid"), salts.alias("_salts"))
+        own = self.adj.select("vid", F.col("ids").alias("ids"), F.col("ws").alias("ws"))
+        back = asked.join(own, F.col("vertex") == F.col("vid")).drop("vid")
+        back = back.join(of, F.col("prev") == F.col("_vid")).withColumn("salt", F.pmod(F.xxhash64("start", "round"), F.col("_salts")).cast("int")).drop("_vid", "_salts")
+        return back.groupBy("prev", "salt").cogroup(there.groupBy("_of", "_part")).applyInArrow(lambda walkers, vertex: kernel.beside(walkers, vertex), STATE)
+
     def _attach(self, now: DataFrame, variant: Variant, sent: _Sent | None, plain: bool) -> DataFrame:
         """Walkers with the neighbours of their vertex (ids, ws) and, where it was not shipped, the last vertex's list."""
         if variant.local and not plain:
             return self._attach_in_part(now, sent)
         lists = self.adj.select("vid", "ids", "ws")
-        if variant.switch and not plain:
-            other = self.adj.select(F.col("vid").alias("_vid"), F.col("ids").alias("_ids"))
-            asked = now.withColumn("_want", F.when(F.col("route") == "ask", F.col("prev")))
-            asked = asked.join(other, F.col("_want") == F.col("_vid"), "left")
-            now = asked.withColumn("prev_ids", F.coalesce("prev_ids", "_ids")).drop("_want", "_vid", "_ids")
         return now.join(lists, F.col("vertex") == F.col("vid")).drop("vid")
 
     def _attach_in_part(self, now: DataFrame, sent: _Sent | None) -> DataFrame:
@@ -410,8 +549,8 @@ def walk_chunked(chunks: DataFrame, params: WalkParams, starts: DataFrame | None
     each = chunks.select(F.col("vid").alias("vertex"), "chunk", F.explode(F.arrays_zip("ids", "ws")).alias("e")).select("vertex", "chunk", F.col("e.ids").alias("x"), F.col("e.ws").alias("w"))
     vids = starts.select("vid").distinct() if starts is not None else chunks.select("vid").distinct()
     state = vids.select(F.col("vid").alias("start"), F.explode(F.sequence(F.lit(0), F.lit(params.walks_per_vertex - 1))).alias("round"), F.col("vid").alias("vertex"))
-    state = state.withColumns({"prev": F.lit(None).cast("long"), "route": F.lit(None).cast("string"), "n_ids": F.lit(0).cast("long"), "hops": F.lit(0)})
-    kept = "start long, round int, vertex long, prev long, route string, n_ids long, hops int"
+    state = state.withColumns({"prev": F.lit(None).cast("long"), "route": F.lit(None).cast("string"), "n_ids": F.lit(0).cast("long"), "hops": F.lit(0), "replied": F.lit(0).cast("long")})
+    kept = "start long, round int, vertex long, prev long, route string, n_ids long, hops int, replied long"
     state.write.parquet(f"{path}/step=0")
     pairs = edges.select(F.col("src").alias("prev"), "x", F.lit(True).alias("_near"))
     for move in range(1, params.length + 1):
@@ -426,6 +565,6 @@ def walk_chunked(chunks: DataFrame, params: WalkParams, starts: DataFrame | None
         chosen = per.where("target < upto AND target >= upto - mass").select("start", "round", "chunk", (F.col("target") - F.col("upto") + F.col("mass")).alias("rest"))
         inside = met.join(chosen, ["start", "round", "chunk"]).withColumn("upto", F.sum("mass").over(own.orderBy("x")))
         moved = inside.where("rest < upto AND rest >= upto - mass")
-        moved = moved.select("start", "round", F.col("x").alias("vertex"), F.col("vertex").alias("prev"), F.lit("list").alias("route"), F.lit(0).cast("long").alias("n_ids"), (F.col("hops") + 1).alias("hops"))
+        moved = moved.select("start", "round", F.col("x").alias("vertex"), F.col("vertex").alias("prev"), F.lit("list").alias("route"), F.lit(0).cast("long").alias("n_ids"), (F.col("hops") + 1).alias("hops"), "replied")
         moved.write.parquet(f"{path}/step={move}")
     return Walk(spark, path, params, 0)

@@ -63,6 +63,36 @@ def biased_mass(rows: np.ndarray, ids: np.ndarray, ws: np.ndarray, prev: np.ndar
     return ws * factor if whole else ws.astype(float) * factor
 
 
+def draw_corrected(prefix: np.ndarray, ws: np.ndarray, begin: np.ndarray, size: np.ndarray, plain: np.ndarray, special: tuple[np.ndarray, np.ndarray, np.ndarray], draw: np.ndarray, whole: bool) -> np.ndarray:
+    """Positions drawn from the spans ``begin``..``begin + size`` of static running sums, each in time logarithmic in its span.
+
+    Every weight counts ``plain`` times; ``special`` (row, position, factor beyond ``plain``) corrects single positions.
+    """
+    row, place, extra = special
+    order = np.lexsort((place, row))
+    row, place, extra = row[order], place[order], extra[order]
+    base, sums = prefix[begin], prefix[begin + size] - prefix[begin]
+    gains = extra * ws[place] if len(place) else extra * 1
+    gain = np.concatenate([np.zeros(1, gains.dtype), np.cumsum(gains)])
+    n, wide = len(begin), int(len(ws)) + 1
+    marked = row * wide + place
+    first = np.searchsorted(row, np.arange(n + 1))
+    total = plain * sums + gain[first[1:]] - gain[first[:-1]]
+    target = draw % total if whole else draw / SPAN * total
+    low, high = begin.copy(), begin + size - 1
+    me = np.arange(n) * wide
+    while True:
+        live = np.flatnonzero(low < high)
+        if not len(live):
+            return low
+        mid = (low[live] + high[live]) // 2
+        upto = np.searchsorted(marked, me[live] + mid, side="right")
+        reached = plain[live] * (prefix[mid + 1] - base[live]) + gain[upto] - gain[first[live]]
+        over = reached > target[live]
+        high[live] = np.where(over, mid, high[live])
+        low[live] = np.where(over, low[live], mid + 1)
+
+
 def pick_corrected(ids: np.ndarray, prefix: np.ndarray, prev: int, common: np.ndarray, factors: tuple, draw: float) -> int:
     """One walker's draw from static prefix sums, corrected at the last vertex and the common neighbours only.
 

@@ -109,8 +109,53 @@ def test_switch_costs_half_again_on_a_star(spark):
     found = {r.start: r.supersteps for r in accounting.switch_supersteps(walk.steps(), hub).collect()}
     hops = {r.start: r.hops for r in walk.log().where("step = 8").collect()}
     assert found == hops
-    assert hops[1] == 8 + 2 * 3 and hops[0] == 8 + 2 * 4
+    assert hops[1] == 8 + 3 and hops[0] == 8 + 4 == 1.5 * 8  # half again on a path that alternates
     assert rows(walk.steps()) == plain(star, params)
+    log = walk.log().collect()
+    asked = [r for r in log if r.route == "ask"]
+    assert asked and all(r.n_ids == 1 for r in asked)
+    assert sorted((r.start, r.step - 1, r.replied) for r in log if r.replied) == sorted((r.start, r.step, 1) for r in asked)  # a leaf's list
+    kinds = {r.kind: r.n_ids for r in walk.messages().groupBy("kind").agg(F.sum("n_ids").alias("n_ids")).collect()}
+    assert kinds["reply"] == kinds["ask"] == len(asked)
+
+
+def test_switch_sends_the_short_list(spark, sf, monkeypatch):
+    from stepwalk.graph import build
+
+    edges = written(build.supply_edges(spark, sf), "supply")
+    hub, degree = stats.popular(edges, share=0.05), {r.vid: r.deg for r in stats.degrees(edges).collect()}
+    monkeypatch.setattr(engine, "MOST_ASKED", 20)
+    run = Engine.of_edges(edges, parts=3)
+    walk = run.walk(LOW, SWITCH, popular=hub)
+    assert rows(walk.steps()) == rows(run.walk(LOW).steps())
+    at = {(r.start, r.round, r.step): r for r in walk.log().collect()}
+    hot = {r.vid for r in hub.collect()}
+    assert sum(r.route == "ask" for r in at.values()) > 50
+    for (s, r, k), x in at.items():
+        if x.route == "ask":
+            assert x.vertex not in hot and at[s, r, k - 1].vertex in hot
+            assert at[s, r, k + 1].replied == degree[x.vertex]
+        elif (s, r, k + 1) in at:
+            assert at[s, r, k + 1].replied == 0
+
+
+def test_walkers_at_popular_vertices_join_nothing(spark, sf):
+    edges = written(build.entity_edges(spark, sf), "entity")
+    hub = stats.popular(edges, share=0.1)
+    run, params = Engine.of_edges(edges, parts=3), LOW.but(walks_per_vertex=3)
+    want = rows(run.walk(params).steps())
+    for variant in (CACHE, APPROX):
+        walk = run.walk(params, variant, popular=hub, eps=0.0)
+        assert rows(walk.steps()) == want
+        last = spark.read.parquet(walk.path).where("step < 6 and step > 0")
+        hot = {r.vid for r in hub.collect()}
+        assert all((r.vertex in hot) == r.at_hot for r in last.select("vertex", "at_hot").distinct().collect())
+        assert last.where("route = 'ref' and prev_ids is not null").count() == 0
+    loose = run.walk(params, APPROX, popular=hub, eps=1.0)
+    static = accounting.approx_rate(loose.log()).first().n_static
+    assert static > 0 and rows(loose.steps()) == rows(engine.walk_resident(edges, params, popular=hub, eps=1.0))
+    odd = WalkParams(0.3, 1.7, length=5, walks_per_vertex=1)
+    assert rows(run.walk(odd, CACHE, popular=hub).steps()) == rows(run.walk(odd).steps())
 
 
 def test_lazy_cache_sends_each_list_once(spark, user, popular):
