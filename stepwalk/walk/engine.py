@@ -30,12 +30,13 @@ from ..config import WalkParams, run_dir
 from ..graph.model import adjacency, part_of, place, unchunked
 from .bounds import gap
 from .csr import Resident
-from .kernel import biased_mass, draw_corrected, member, pick, ragged
+from .kernel import biased_mass, draw_corrected, member, pick, ragged, runs
 from .rng import draw48
 
 STATE = "start long, round int, vertex long, prev long, prev_ids array<long>, route string, n_ids long, hops int, at_hot boolean, replied long"
 LOG = "start long, round int, vertex long, route string, n_ids long, hops int, replied long, step int"
 MOST_ASKED = 50_000
+DENSE_BYTES = 128 << 20
 
 
 @dataclass(frozen=True)
@@ -132,18 +133,62 @@ class Hot:
     def known(self) -> np.ndarray:
         return np.unique(self.ids)
 
+    @cached_property
+    def codes(self) -> np.ndarray:
+        """Of each list entry, its place among all ids known here."""
+        return np.searchsorted(self.known, self.ids)
+
     @cached_property
     def keys(self) -> np.ndarray:
-        return np.repeat(np.arange(len(self.vid)), self.deg) * len(self.known) + np.searchsorted(self.known, self.ids)
+        return np.repeat(np.arange(len(self.vid)), self.deg) * len(self.known) + self.codes
+
+    @cached_property
+    def direct(self) -> np.ndarray | None:
+        """Place among the known ids by id less the smallest, where the ids are dense enough."""
+        span = int(self.known[-1] - self.known[0]) + 1
+        if span > 8 * len(self.known):
+            return None
+        out = np.full(span, len(self.known) - 1)
+        out[self.known - self.known[0]] = np.arange(len(self.known))
+        return out
 
-    def find(self, slot: np.ndarray, x: np.ndarray) -> np.ndarray:
-        """Where the list of the popular vertex ``slot`` has x, -1 where it has not."""
-        if not len(self.ids):
+    @cached_property
+    def dense(self) -> tuple[np.ndarray, np.ndarray]:
+        """(row of each popular vertex or -1, place in its list by code): for the most popular ones, as many as DENSE_BYTES hold."""
+        most = min(len(self.vid), DENSE_BYTES // (4 * len(self.known)))
+        best = np.argsort(-self.deg, kind="stable")[:most]
+        row = np.full(len(self.vid), -1)
+        row[best] = np.arange(most)
+        at = np.full((most, len(self.known)), -1, np.int32)
+        place = ragged(self.offsets[best], self.deg[best])
+        at[np.repeat(np.arange(most), self.deg[best]), self.codes[place]] = runs(self.deg[best])
+        return row, at
+
+    def coded(self, x: np.ndarray) -> np.ndarray:
+        """Places of x among the known ids; ids unknown get some other's."""
+        if self.direct is not None:
+            return self.direct[np.clip(x - self.known[0], 0, len(self.direct) - 1)]
+        return np.minimum(np.searchsorted(self.known, x), len(self.known) - 1)
+
+    def find(self, slot: np.ndarray, x: np.ndarray, code: np.ndarray | None = None) -> np.ndarray:
+        """Where the list of the popular vertex ``slot`` has x, -1 where it has not; ``code``: the places of x, if known."""
+        if not len(self.ids) or not len(x):
             return np.full(len(x), -1)
-        code = np.minimum(np.searchsorted(self.known, x), len(self.known) - 1)
-        sought = slot * len(self.known) + code
-        at = np.minimum(np.searchsorted(self.keys, sought), len(self.keys) - 1)
-        return np.where((self.keys[at] == sought) & (self.known[code] == x), at, -1)
+        if code is None:
+            code = self.coded(x)
+            there = self.known[code] == x
+        else:
+            there = True
+        row, table = self.dense
+        own = row[slot]
+        at = table[np.maximum(own, 0), code].astype(np.int64) if len(table) else np.full(len(x), -1)
+        out = np.where((own >= 0) & (at >= 0) & there, self.offsets[slot] + at, -1)
+        rest = np.flatnonzero(own < 0)
+        if len(rest):
+            sought = slot[rest] * len(self.known) + code[rest]
+            at = np.minimum(np.searchsorted(self.keys, sought), len(self.keys) - 1)
+            out[rest] = np.where((self.keys[at] == sought) & (self.known[code[rest]] == x[rest]), at, -1)
+        return out
 
     def common(self, u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(pair, place in v's list) of the common neighbours of popular u and v: the shorter list is looked up in the longer."""
@@ -151,7 +196,7 @@ class Hot:
         scan, probe = np.where(swap, v, u), np.where(swap, u, v)
         own = np.repeat(np.arange(len(u)), self.deg[scan])
         at = ragged(self.offsets[scan], self.deg[scan])
-        there = self.find(probe[own], self.ids[at])
+        there = self.find(probe[own], self.ids[at], self.codes[at])
         hit = there >= 0
         return own[hit], np.where(swap[own[hit]], at[hit], there[hit])
 

@@ -69,13 +69,14 @@ def draw_corrected(prefix: np.ndarray, ws: np.ndarray, begin: np.ndarray, size:
     Every weight counts ``plain`` times; ``special`` (row, position, factor beyond ``plain``) corrects single positions.
     """
     row, place, extra = special
-    order = np.lexsort((place, row))
-    row, place, extra = row[order], place[order], extra[order]
+    wide = int(len(ws)) + 1
+    marked = row * wide + place
+    order = np.argsort(marked, kind="stable")  # few sorted runs, one after the other
+    row, place, extra, marked = row[order], place[order], extra[order], marked[order]
     base, sums = prefix[begin], prefix[begin + size] - prefix[begin]
     gains = extra * ws[place] if len(place) else extra * 1
     gain = np.concatenate([np.zeros(1, gains.dtype), np.cumsum(gains)])
-    n, wide = len(begin), int(len(ws)) + 1
-    marked = row * wide + place
+    n = len(begin)
     first = np.searchsorted(row, np.arange(n + 1))
     total = plain * sums + gain[first[1:]] - gain[first[:-1]]
     target = draw % total if whole else draw / SPAN * total
