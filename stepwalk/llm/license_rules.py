@@ -270,6 +270,13 @@ def rules() -> list[tuple[int, str, str, str, int, float, bool]]:
     return [(n, label, word if word in LOOSE else f" {word} ", f" (?:{pattern})(?= )", priority, sure, base) for n, (label, word, pattern, priority, sure, base) in enumerate(found)]
 
 
+# What stands in every text that the gate passes, in lower case; looked for before the gate's pattern runs.
+TRIGGERS = (
+    "licen", "copyright", "permission", "permitted", "warrant", "redistribut", "proprietary", "advertising", "misrepresented", "endorse", "evil", "good",
+    "reserved", "domain", "cc", "creative", "invariant", "gnu", "openssl", "classpath", "mozilla", "eclipse", "terms", "remotely", "mulan", "attribution", "bsd", "expat", "under",
+)
+
+
 def gate() -> str:
     """Case-blind pattern that any text with a detection matches: each signature holds one of these, whatever stands between its words."""
     return rf"(?i)licen[sc]e|copyright|permission|permitted|warrant|redistribut|proprietary|advertising|misrepresented|endorse|good\P{{Alnum}}+not|rights\P{{Alnum}}+reserved|public\P{{Alnum}}+domain|cc\P{{Alnum}}+by|creativecommons|invariant\P{{Alnum}}+sections|gnu\P{{Alnum}}+(?:org|classpath)|openssl\P{{Alnum}}+project|classpath\P{{Alnum}}+exception|mozilla\P{{Alnum}}+org|eclipse\P{{Alnum}}+org|terms\P{{Alnum}}+(?:of|as)|remotely\P{{Alnum}}+through|cc0|mulan|no\P{{Alnum}}+attribution|clause\P{{Alnum}}+bsd|creative\P{{Alnum}}+commons|unlicense|expat|(?:{'|'.join(OFFERS)})\P{{Alnum}}+under|under\P{{Alnum}}+0bsd"

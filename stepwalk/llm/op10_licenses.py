@@ -7,10 +7,13 @@ no earlier) is suppressed; base phrases are reported whatever suppresses them.
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .license_rules import gate, rules
+from .license_rules import TRIGGERS, gate, rules
 from .tables import row_key, table
 
 # A word of the original text (case kept) and of the lower-cased one; letters that are lowered.
@@ -28,6 +31,12 @@ def _spaces(text: Column) -> Column:
     return F.char_length(text) - F.char_length(F.replace(text, F.lit(" "), F.lit("")))
 
 
+def gated_text(text: Column) -> Column:
+    """Whether a rule may match: some trigger stands in the text (lower-cased once, a plain search each), then the gate's pattern."""
+    some = F.transform(F.array(F.lower(text)), lambda low: reduce(or_, [F.contains(low, F.lit(t)) for t in TRIGGERS]))
+    return F.element_at(some, 1) & text.rlike(gate())
+
+
 def detections(gated: DataFrame) -> DataFrame:
     """(key, label, base, priority, sure, start, end) for ``gated`` (key, norm) with unique keys; word positions from 0, end excluded."""
     spark = gated.sparkSession
@@ -65,7 +74,7 @@ def scan(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text")
     source = docs.select(F.col(id_column).alias("doc_id"), F.coalesce(F.col(text_column), F.lit("")).alias("text"))
     source = source.withColumn("key", row_key("doc_id", "text"))
     counted = source.select("doc_id", "key", F.regexp_count("text", F.lit(RAW_WORD)).cast("long").alias("n_words"))
-    gated = source.where(F.col("text").rlike(gate())).select("key", "text").dropDuplicates(["key"]).select("key", words_between_spaces(F.col("text")).alias("norm"))
+    gated = source.where(gated_text(F.col("text"))).select("key", "text").dropDuplicates(["key"]).select("key", words_between_spaces(F.col("text")).alias("norm"))
     found = surviving(detections(gated))
     base = F.col("base")
     joined = lambda labels: F.array_join(F.array_sort(labels), ",")
