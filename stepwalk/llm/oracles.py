@@ -103,7 +103,8 @@ FROM w LEFT JOIN hit USING (doc_id) GROUP BY w.doc_id
 # All pairs within a label; exact on small tables.
 EMBEDDINGS = """
 WITH RECURSIVE v AS (
-  SELECT vec_id, label, embedding::DOUBLE[] AS x, sqrt(list_sum(list_transform(embedding::DOUBLE[], lambda a: a * a))) AS n FROM embeddings
+  SELECT vec_id, label, x, sqrt(list_sum(list_transform(x, lambda a: a * a))) AS n FROM (
+    SELECT vec_id, label, list_transform(embedding::DOUBLE[], lambda a: a / nullif(list_max(list_transform(embedding::DOUBLE[], lambda b: abs(b))), 0)) AS x FROM embeddings)
 ), ok AS (
   SELECT * FROM v WHERE label IS NOT NULL AND n > 0 AND isfinite(n) AND len(list_filter(x, lambda a: a IS NULL)) = 0
 ), link AS (

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 import corpus_pipeline
 from stepwalk.llm.components import components
 from stepwalk.llm.hnsw import Graph
-from stepwalk.llm.op4_embeddings import linked, near_vectors
+from stepwalk.llm.op4_embeddings import meet, near_vectors
 from stepwalk.llm.op6_minhash import bags, near_duplicates, shingles, signatures
 from stepwalk.llm.op7_language import Parser, automaton, identify, learn
 from stepwalk.llm.op9_quality import AttentionScorer, classify, op9_quality, train
@@ -137,9 +137,32 @@ def test_graph_search_finds_links():
     unit = x / np.linalg.norm(x, axis=1, keepdims=True)
     graph = Graph(unit.astype(np.float32), np.arange(1500))
     truth = unit @ unit.T >= 0.93
-    found, width = linked(graph, x, x, 0.93, 0.99)
-    assert not (found & ~truth).any()
-    assert (found & truth).sum() / truth.sum() >= 0.99 and width < 1500
+    np.fill_diagonal(truth, False)
+    ones = np.ones(1500, np.int64)
+    links, (width, audited, true, found) = meet(graph, np.arange(1500), ones, unit, np.arange(1500), ones, unit, 0.93, 0.99, True)
+    assert (links.count[:1500] <= truth.sum(1)).all() and links.count[:1500].sum() / truth.sum() >= 0.99 and width < 1500
+    assert audited >= 64 and true >= found >= 0.99 * true > 0
+
+
+def test_rare_links_are_audited():
+    r = np.random.default_rng(13)
+    x = r.normal(size=(2000, 24))
+    x[1777] = x[40] + 0.01 * r.normal(size=24)
+    x[1200] = x[41] + 0.01 * r.normal(size=24)
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    graph, ones = Graph(unit.astype(np.float32), np.arange(2000)), np.ones(2000, np.int64)
+    links, (_, audited, true, found) = meet(graph, np.arange(2000), ones, unit, np.arange(2000), ones, unit, 0.93, 0.99, True)
+    assert true > 0 and found >= 0.99 * true and audited > 0
+    assert sorted(np.flatnonzero(links.count[:2000])) == [40, 41, 1200, 1777] and links.least()[1777] == 40
+
+
+def test_vectors_of_any_magnitude(spark):
+    rows = [(1, [1.0, 2.0, 3.0], 0), (2, [1e200, 2e200, 3e200], 0), (3, [1e-200, 2e-200, 3e-200], 0), (4, [1e308, 0.0, 0.0], 0), (5, [5e-324, 0.0, 0.0], 0), (6, [-1.0, -2.0, -3.0], 0)]
+    audits = []
+    got = {x.vec_id: (x.n_links, x.component_id) for x in near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int"), audits=audits).collect()}
+    assert got == {1: (2, 1), 2: (2, 1), 3: (2, 1), 4: (1, 4), 5: (1, 4), 6: (0, 6)}
+    told = audits[0].first()
+    assert told.audited == 6 and told.found_links == told.true_links == 8 and told.recall == 1.0
 
 
 def test_near_vectors_match_plain(spark):
