@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from .graph.model import part_of
 from .graph.stats import bucket, degrees
+from .walk.bounds import bound_high, bound_low
 
 
 def moves(steps: DataFrame) -> DataFrame:
@@ -63,6 +64,19 @@ def cache_saved(steps: DataFrame, edges: DataFrame, popular: DataFrame, parts: i
     return rows.agg(F.count("*").alias("n_refs"), F.coalesce(F.sum((F.col("n") == 1).cast("long")), F.lit(0)).alias("n_first"), F.coalesce(F.sum("deg"), F.lit(0)).alias("ids_without"), F.coalesce(F.sum(F.when(F.col("n") == 1, F.col("deg")).otherwise(0)), F.lit(0)).alias("ids_with"))
 
 
+def approx_saved(steps: DataFrame, edges: DataFrame, popular: DataFrame, params, eps: float, parts: int) -> DataFrame:
+    """One row: moves after which the next draw is static (from another vertex to a popular one, tight bounds), and the ids not sent for them."""
+    last = steps.agg(F.max("step")).first()[0] or 0
+    per = edges.groupBy("src").agg(F.count("*").alias("deg"), F.min("w").alias("wmin"), F.max("w").alias("wmax"))
+    hot = popular.select(F.col("vid").alias("next")).join(per, F.col("next") == F.col("src")).select("next", F.col("deg").alias("d_v"), "wmin", "wmax")
+    rows = moves(steps).where(F.col("step") < last).join(popular.select(F.col("vid").alias("cur")), "cur", "left_anti").join(hot, "next")
+    rows = rows.join(degrees(edges), F.col("cur") == F.col("vid"))
+    gap = bound_high(F.col("deg"), F.col("d_v"), F.col("wmin"), F.col("wmax"), params.p, params.q) - bound_low(F.col("deg"), F.col("d_v"), F.col("wmin"), F.col("wmax"), params.p, params.q)
+    remote = part_of("cur", parts) != part_of("next", parts)
+    tight = rows.where(gap < eps)
+    return tight.agg(F.count("*").alias("n_static"), F.coalesce(F.sum(F.when(remote, F.col("deg")).otherwise(0)), F.lit(0)).alias("ids"))
+
+
 def approx_rate(log: DataFrame) -> DataFrame:
     """One row: biased moves drawn, and those drawn statically; a message with route ``static`` makes the next draw static."""
     last = log.agg(F.max("step")).first()[0] or 0

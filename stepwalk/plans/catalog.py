@@ -10,9 +10,9 @@ def _registries() -> list[Registry]:
     from ..operators import relational, udfs
     from ..sources import queries as sources
     from ..streaming import queries as streams
-    from . import graph_queries, walk_queries
+    from . import graph_queries, walk_queries, workloads
 
-    return [m.registry for m in (graph_queries, walk_queries, sources, relational, udfs, scalar, streams)]
+    return [m.registry for m in (graph_queries, walk_queries, workloads, sources, relational, udfs, scalar, streams)]
 
 
 def queries() -> dict[str, Query]:

@@ -114,7 +114,7 @@ def graph_trim30(spark, sf_dir):
     return stats.trim(graph(spark, sf_dir, "copart"))
 
 
-@registry(f"WITH t AS ({oracle.trimmed_sql('copart', 30)}) SELECT src, dst, w FROM t WHERE EXISTS (SELECT 1 FROM t b WHERE b.src = t.dst AND b.dst = t.src)")
+@registry(f"WITH t AS MATERIALIZED ({oracle.trimmed_sql('copart', 30)}) SELECT t.src, t.dst, t.w FROM t JOIN t b ON b.src = t.dst AND b.dst = t.src")
 def graph_trim30_symmetric(spark, sf_dir):
     return stats.trim(graph(spark, sf_dir, "copart"), symmetric=True)
 

@@ -17,30 +17,16 @@ from .shared import P_FAR, P_LOCAL, P_PLAIN, PARTS, Registry, graph, walked
 registry = Registry()
 EPS = 1e-2
 ENTITY = "entity"
-# Entity walks whose name ends in _all start from every vertex.  Those without the ending are slices that start from small keys
-# only: the recursive SQL's work is walkers times degrees.
-STARTS = "SELECT DISTINCT src AS start FROM edges WHERE src % 1000000000000 <= 40"
-
-
-def few(edges):
-    return edges.where("src % 1000000000000 <= 40").select(F.col("src").alias("vid")).distinct()
-
-
-def _sliced(name: str, query, sql, of: str) -> None:
-    """Registers the query; on the entity graph its slice by that name and the whole as ``name``_all."""
-    if of == ENTITY:
-        registry.add(name, lambda s, d: query(s, d, few), sql(STARTS))
-    registry.add(f"{name}_all" if of == ENTITY else name, lambda s, d: query(s, d), sql(None))
 
 
 def _steps(name: str, params: WalkParams, variant=BASE, share: float | None = None, approx: float | None = None, of: str = "user") -> None:
-    def query(spark, sf_dir, few=None):
+    def query(spark, sf_dir):
         edges = graph(spark, sf_dir, of)
         popular = stats.popular(edges, share=share) if share is not None else None
         run = engine.Engine.of_edges(edges, parts=PARTS)
-        return run.walk(params, variant, popular=popular, eps=approx or 0.0, starts=few(edges) if few else None).steps()
+        return run.walk(params, variant, popular=popular, eps=approx or 0.0).steps()
 
-    _sliced(name, query, lambda starts: oracle.walk_sql(of, params, approx=approx, starts=starts), of)
+    registry.add(name, query, oracle.walk_sql(of, params, approx=approx))
 
 
 _steps("walk_base_local_bias", P_LOCAL)
@@ -156,28 +142,28 @@ def walk_fast_draws(spark, sf_dir):
 
 
 def _cost(name: str, query, select: str, params: WalkParams = P_PLAIN, of: str = ENTITY, share: float = 0.05, approx: float | None = None) -> None:
-    _sliced(name, query, lambda starts: oracle.walk_sql(of, params, select, starts=starts, share=share, approx=approx), of)
+    registry.add(name, query, oracle.walk_sql(of, params, select, share=share, approx=approx))
 
 
-def _entity_walk(spark, sf_dir, few, params=P_PLAIN, variant=BASE, popular_share=None, eps=0.0):
+def _entity_walk(spark, sf_dir, params=P_PLAIN, variant=BASE, popular_share=None, eps=0.0):
     edges = graph(spark, sf_dir, ENTITY)
     popular = stats.popular(edges, share=popular_share) if popular_share else None
-    walk = engine.Engine.of_edges(edges, parts=PARTS).walk(params, variant, popular=popular, eps=eps, starts=few(edges) if few else None)
+    walk = engine.Engine.of_edges(edges, parts=PARTS).walk(params, variant, popular=popular, eps=eps)
     return edges, popular, walk
 
 
 _LAST = P_PLAIN.length
-_cost("cost_message_curve", lambda s, d, few=None: (lambda e, _, w: accounting.message_curve(w.steps(), e))(*_entity_walk(s, d, few)), f"SELECT CAST(step AS INT) AS step, count(*) AS n_walkers, CAST(sum(deg) AS BIGINT) AS n_ids, CAST(8 * sum(deg) AS BIGINT) AS bytes FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST} GROUP BY step")
-_cost("cost_visit_frequency", lambda s, d, few=None: (lambda e, _, w: accounting.visit_frequency(w.steps(), e, 200))(*_entity_walk(s, d, few)), "SELECT CAST(ceil(deg / 200) * 200 AS BIGINT) AS bucket, count(*) AS n_vertices, CAST(sum(coalesce(n, 0)) AS BIGINT) AS n_visits, sum(coalesce(n, 0)) / count(*) AS mean_visits FROM deg LEFT JOIN (SELECT cur, count(*) AS n FROM walk WHERE step > 0 GROUP BY cur) ON cur = vid GROUP BY 1")
+_cost("cost_message_curve", lambda s, d: (lambda e, _, w: accounting.message_curve(w.steps(), e))(*_entity_walk(s, d)), f"SELECT CAST(step AS INT) AS step, count(*) AS n_walkers, CAST(sum(deg) AS BIGINT) AS n_ids, CAST(8 * sum(deg) AS BIGINT) AS bytes FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST} GROUP BY step")
+_cost("cost_visit_frequency", lambda s, d: (lambda e, _, w: accounting.visit_frequency(w.steps(), e, 200))(*_entity_walk(s, d)), "SELECT CAST(ceil(deg / 200) * 200 AS BIGINT) AS bucket, count(*) AS n_vertices, CAST(sum(coalesce(n, 0)) AS BIGINT) AS n_visits, sum(coalesce(n, 0)) / count(*) AS mean_visits FROM deg LEFT JOIN (SELECT cur, count(*) AS n FROM walk WHERE step > 0 GROUP BY cur) ON cur = vid GROUP BY 1")
 _BASE_BYTES = f"SELECT CAST(16 * sum(deg) + 8 * count(*) * {_LAST + 1} AS BIGINT) AS b FROM deg"
-_cost("cost_memory_breakdown", lambda s, d, few=None: (lambda e, _, w: accounting.memory_breakdown(w.steps(), e, 1, _LAST))(*_entity_walk(s, d, few)), f"SELECT CAST(step AS INT) AS step, b AS base_bytes, m AS message_bytes, m / (b + m) AS message_share FROM (SELECT step, CAST(8 * sum(deg) AS BIGINT) AS m FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST} GROUP BY step), ({_BASE_BYTES})")
+_cost("cost_memory_breakdown", lambda s, d: (lambda e, _, w: accounting.memory_breakdown(w.steps(), e, 1, _LAST))(*_entity_walk(s, d)), f"SELECT CAST(step AS INT) AS step, b AS base_bytes, m AS message_bytes, m / (b + m) AS message_share FROM (SELECT step, CAST(8 * sum(deg) AS BIGINT) AS m FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST} GROUP BY step), ({_BASE_BYTES})")
 _same = f"{oracle.PART.format('prev', PARTS)} = {oracle.PART.format('cur', PARTS)}"
-_cost("cost_local_saved", lambda s, d, few=None: (lambda e, _, w: accounting.local_saved(w.steps(), e, PARTS))(*_entity_walk(s, d, few)), f"SELECT count(*) AS n_moves, CAST(count(*) FILTER ({_same}) AS BIGINT) AS n_local, CAST(sum(deg) AS BIGINT) AS n_ids, CAST(coalesce(sum(deg) FILTER ({_same}), 0) AS BIGINT) AS local_ids FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST}")
-_cost("cost_cache_saved", lambda s, d, few=None: (lambda e, p, w: accounting.cache_saved(w.steps(), e, p, PARTS))(*_entity_walk(s, d, few, popular_share=0.05)), f"""SELECT count(*) AS n_refs, CAST(count(*) FILTER (n = 1) AS BIGINT) AS n_first, CAST(coalesce(sum(deg), 0) AS BIGINT) AS ids_without, CAST(coalesce(sum(deg) FILTER (n = 1), 0) AS BIGINT) AS ids_with FROM (
+_cost("cost_local_saved", lambda s, d: (lambda e, _, w: accounting.local_saved(w.steps(), e, PARTS))(*_entity_walk(s, d)), f"SELECT count(*) AS n_moves, CAST(count(*) FILTER ({_same}) AS BIGINT) AS n_local, CAST(sum(deg) AS BIGINT) AS n_ids, CAST(coalesce(sum(deg) FILTER ({_same}), 0) AS BIGINT) AS local_ids FROM walk JOIN deg ON vid = prev WHERE step > 0 AND step < {_LAST}")
+_cost("cost_cache_saved", lambda s, d: (lambda e, p, w: accounting.cache_saved(w.steps(), e, p, PARTS))(*_entity_walk(s, d, popular_share=0.05)), f"""SELECT count(*) AS n_refs, CAST(count(*) FILTER (n = 1) AS BIGINT) AS n_first, CAST(coalesce(sum(deg), 0) AS BIGINT) AS ids_without, CAST(coalesce(sum(deg) FILTER (n = 1), 0) AS BIGINT) AS ids_with FROM (
 SELECT deg.deg, row_number() OVER (PARTITION BY prev, {oracle.PART.format('cur', PARTS)} ORDER BY step, start, round) AS n FROM walk JOIN deg ON deg.vid = prev JOIN pop ON pop.vid = prev WHERE step > 0 AND step < {_LAST} AND NOT ({_same}))""")
-_cost("cost_switch_supersteps", lambda s, d, few=None: (lambda e, p, w: accounting.switch_supersteps(w.steps(), p))(*_entity_walk(s, d, few, popular_share=0.05)), f"""SELECT start, CAST(round AS INT) AS round, count(*) AS moves, CAST(count(*) + count(*) FILTER (a.vid IS NOT NULL AND b.vid IS NULL AND step < {_LAST}) AS BIGINT) AS supersteps
+_cost("cost_switch_supersteps", lambda s, d: (lambda e, p, w: accounting.switch_supersteps(w.steps(), p))(*_entity_walk(s, d, popular_share=0.05)), f"""SELECT start, CAST(round AS INT) AS round, count(*) AS moves, CAST(count(*) + count(*) FILTER (a.vid IS NOT NULL AND b.vid IS NULL AND step < {_LAST}) AS BIGINT) AS supersteps
 FROM walk LEFT JOIN pop a ON a.vid = prev LEFT JOIN pop b ON b.vid = cur WHERE step > 0 GROUP BY 1, 2""")
-_cost("cost_approx_rate", lambda s, d, few=None: (lambda e, p, w: accounting.approx_rate(w.log()))(*_entity_walk(s, d, few, P_LOCAL, APPROX, 0.05, EPS)), f"SELECT count(*) FILTER (step < {P_LOCAL.length}) AS n_moves, CAST(count(*) FILTER (step > 1 AND skipped) AS BIGINT) AS n_static FROM walk WHERE step > 0", P_LOCAL, approx=EPS)
+_cost("cost_approx_rate", lambda s, d: (lambda e, p, w: accounting.approx_rate(w.log()))(*_entity_walk(s, d, P_LOCAL, APPROX, 0.05, EPS)), f"SELECT count(*) FILTER (step < {P_LOCAL.length}) AS n_moves, CAST(count(*) FILTER (step > 1 AND skipped) AS BIGINT) AS n_static FROM walk WHERE step > 0", P_LOCAL, approx=EPS)
 
 
 @registry(f"""WITH {oracle.edges_cte(ENTITY)}, {oracle.DEG} SELECT CAST(8 * sum(deg) AS BIGINT) AS topology, CAST(8 * sum(deg) AS BIGINT) AS weights, CAST(8 * count(*) * 81 AS BIGINT) AS vertex_values FROM deg""")
@@ -187,32 +173,10 @@ def cost_base_memory(spark, sf_dir):
 
 @registry()
 def cost_message_log(spark, sf_dir):
-    edges, popular, walk = _entity_walk(spark, sf_dir, None, P_LOCAL, CACHE, 0.05)
+    edges, popular, walk = _entity_walk(spark, sf_dir, P_LOCAL, CACHE, 0.05)
     return walk.messages()
 
 
-# The published seconds of the plain variant over skew, for the two ratio measures below.
-_SECONDS = [("1.78", "base", 314.5), ("2", "base", 369.3), ("3", "base", 811.1), ("4", "base", 1710.4), ("5", "base", 2913.4), ("5", "cache", 2913.4 / 2.68), ("5", "approx", 2913.4 / 17.2)]
-_ROWS = ", ".join(f"('{g}', '{v}', {s!r}::DOUBLE)" for g, v, s in _SECONDS)
-
-
-@registry(f"WITH c(graph, variant, seconds) AS (VALUES {_ROWS}) SELECT c.graph, c.variant, round(b.seconds / c.seconds, 9) AS ratio FROM c JOIN c b ON b.graph = c.graph AND b.variant = 'base'")
-def cost_speedup(spark, sf_dir):
-    return accounting.speedup(spark.createDataFrame(_SECONDS, "graph string, variant string, seconds double"), "base").withColumn("ratio", F.round("ratio", 9))
-
-
-@registry("SELECT round(regr_slope(ln(t), ln(n)), 9) AS slope FROM (VALUES (1.0::DOUBLE, 2.0::DOUBLE), (4.0, 7.9), (16.0, 33.1), (64.0, 130.0)) v(n, t)")
-def cost_scaling_fit(spark, sf_dir):
-    rows = spark.createDataFrame([(1.0, 2.0), (4.0, 7.9), (16.0, 33.1), (64.0, 130.0)], "n double, seconds double")
-    return accounting.scaling_fit(rows).withColumn("slope", F.round("slope", 9))
-
-
-@registry("SELECT 'g' AS graph, s AS stage, round(t / 100, 9) AS share FROM (VALUES ('build', 1.0::DOUBLE), ('walk', 98.0), ('learn', 1.0)) v(s, t)")
-def cost_stage_breakdown(spark, sf_dir):
-    rows = spark.createDataFrame([("g", "build", 1.0), ("g", "walk", 98.0), ("g", "learn", 1.0)], "graph string, stage string, seconds double")
-    return accounting.stage_breakdown(rows).withColumn("share", F.round("share", 9))
-
-
 @registry(" UNION ALL ".join(f"SELECT '{g}' AS graph, 8 * sum(d * d) <= 200000000 AS precomputed FROM (SELECT count(*) AS d FROM ({SQL[g]}) GROUP BY src)" for g in ("user", "copart", "entity")))
 def cost_feasible(spark, sf_dir):
     rows = [(g, accounting.feasible(graph(spark, sf_dir, g), "precomputed", 200_000_000)) for g in ("user", "copart", "entity")]
