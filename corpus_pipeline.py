@@ -49,10 +49,10 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates, also where ids are null or repeated; of rows that repeat id and text one stays."""
-    kept = near_duplicates(docs).where("kept").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_kept_key")).distinct()
-    keyed = docs.withColumn("_text_key", F.xxhash64("text"))
-    one = keyed.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_text_key") == F.col("_kept_key")), "left_semi")
-    return one.dropDuplicates(["doc_id", "_text_key"]).select(docs.columns)
+    kept = near_duplicates(docs).where("kept").groupBy(F.col("doc_id").alias("_id"), F.col("text_key").alias("_kept_key")).agg(F.count("*").alias("_rows"))
+    kept, keyed = written(kept, "kept"), docs.withColumn("_text_key", F.xxhash64("text"))
+    of = lambda rows: keyed.join(kept.where(rows), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_text_key") == F.col("_kept_key")), "left_semi")
+    return of("_rows = 1").unionByName(of("_rows > 1").dropDuplicates(["doc_id", "_text_key"])).select(docs.columns)
 
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
