@@ -136,6 +136,6 @@ SCORES = "p double, q double, solution string, fraction double, micro double, ma
 
 @registry()
 def acc_planted_curves(spark, sf_dir):
-    """Scores over labelled fractions on planted communities of several labels a vertex, small walks."""
-    edges, labels = synth.planted(spark, n=400, groups=4, p_in=0.3, p_out=0.06, overlap=True)
-    return spark.createDataFrame(accuracy(spark, edges, labels, length=10, walks=2, dim=16), SCORES)
+    """Scores over labelled fractions on planted communities of several labels a vertex."""
+    edges, labels = synth.planted(spark, n=500, groups=5, overlap=True)
+    return spark.createDataFrame(accuracy(spark, edges, labels, fractions=(0.2, 0.6), length=20, walks=8), SCORES)
