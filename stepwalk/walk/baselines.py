@@ -64,6 +64,12 @@ def _moves(edges: DataFrame, params: WalkParams, starts: DataFrame | None, later
     return spark.read.schema(LOG).parquet(path).select("start", "round", "step", "vertex")
 
 
+def _laid_out(stored: DataFrame) -> DataFrame:
+    """Stored probabilities placed once by the edge walked over (u, v), so that a move shuffles walkers only."""
+    parts = int(stored.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return stored.repartition(parts, "u", "v").persist()
+
+
 def walk_precomputed(edges: DataFrame, params: WalkParams, sampler: str = "cdf", starts: DataFrame | None = None, rewrite: bool = False, most_bytes: int | None = None) -> DataFrame:
     """(start, round, step, vertex) over probabilities that are all stored first.
 
@@ -79,7 +85,7 @@ def walk_precomputed(edges: DataFrame, params: WalkParams, sampler: str = "cdf",
         stored = transition_weights(edges, params).withColumns({"upto": F.sum("pi").over(own.orderBy("x")), "total": F.sum("pi").over(own)})
         path = run_dir(edges.sparkSession, "stored")
         stored.select("u", "v", "x", "pi", "upto", "total").write.parquet(path)
-        stored = edges.sparkSession.read.parquet(path)
+        stored = _laid_out(edges.sparkSession.read.parquet(path))
         target = F.col("draw") % F.col("total") if params.scaled() else F.col("draw") / F.lit(float(1 << 48)) * F.col("total")
 
         def later(now: DataFrame) -> DataFrame:
@@ -88,7 +94,7 @@ def walk_precomputed(edges: DataFrame, params: WalkParams, sampler: str = "cdf",
     elif sampler == "alias":
         path = run_dir(edges.sparkSession, "alias")
         alias_tables(edges, params).write.parquet(path)
-        stored = edges.sparkSession.read.parquet(path)
+        stored = _laid_out(edges.sparkSession.read.parquet(path))
         size = F.size("ids")
         first = F.least((F.col("draw") / F.lit(float(1 << 48)) * size).cast("int"), size - 1)
         second = draw48(params.seed + 1, "round", "start", "draw") / F.lit(float(1 << 48))
@@ -99,7 +105,10 @@ def walk_precomputed(edges: DataFrame, params: WalkParams, sampler: str = "cdf",
             return met.withColumn("x", F.get("ids", at))
     else:
         raise ValueError("sampler is cdf or alias")
-    return _moves(edges, params, starts, later, "precomputed", rewrite)
+    try:
+        return _moves(edges, params, starts, later, "precomputed", rewrite)
+    finally:
+        stored.unpersist()
 
 
 def walk_trimmed(edges: DataFrame, params: WalkParams, k: int = 30, sampler: str = "cdf", starts: DataFrame | None = None, rewrite: bool = True) -> DataFrame:
