@@ -14,6 +14,7 @@ from ..graph.model import adjacency, part_of
 from ..plans import oracle
 from ..plans.graph_queries import _bounded_sql
 from ..plans.shared import P_LOCAL, PARTS, Registry, graph, walked
+from ..sources.tables import table
 from ..walk import alias
 from ..walk.alpha import transition_weights
 from ..walk.bounds import gap
@@ -126,9 +127,8 @@ registry.add("udf_sql_function", lambda s, d: _sql_function(s, d, "u <= 30"), or
 registry.add("udf_sql_function_all", _sql_function, oracle.transitions_sql("user", P_LOCAL, _PI))
 
 
-@registry("SELECT s.start, CAST('0x' || substr(md5(concat_ws(':', 42, 0, s.start, 5)), 1, 12) AS BIGINT) AS draw FROM (SELECT unnest(range(1000)) AS start) s")
+@registry("SELECT event_id AS start, CAST('0x' || substr(md5(concat_ws(':', 42, 0, event_id, 5)), 1, 12) AS BIGINT) AS draw FROM events")
 def sql_draws(spark, sf_dir):
     register_sql(spark)
-    return spark.sql("SELECT id AS start, walk_draw(42, 0, id, 5) AS draw FROM range(1000)")
-
-
+    table(spark, sf_dir, "events").createOrReplaceTempView("events")
+    return spark.sql("SELECT event_id AS start, walk_draw(42, 0, event_id, 5) AS draw FROM events")
