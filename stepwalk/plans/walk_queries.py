@@ -12,7 +12,7 @@ from ..sources.tables import table
 from ..walk import baselines, engine
 from ..walk.engine import APPROX, BASE, CACHE, LAZY, LOCAL, SWITCH
 from . import oracle
-from .shared import P_FAR, P_LOCAL, P_PLAIN, PARTS, Registry, graph, walked
+from .shared import P_FAR, P_LOCAL, P_PLAIN, PARTS, Registry, graph, parts_for, walked
 
 registry = Registry()
 EPS = 1e-2
@@ -23,8 +23,11 @@ def _steps(name: str, params: WalkParams, variant=BASE, share: float | None = No
     def query(spark, sf_dir):
         edges = graph(spark, sf_dir, of)
         popular = stats.popular(edges, share=share) if share is not None else None
-        run = engine.Engine.of_edges(edges, parts=PARTS)
-        return run.walk(params, variant, popular=popular, eps=approx or 0.0).steps()
+        run = engine.Engine.of_edges(edges, parts=parts_for(edges))
+        try:
+            return run.walk(params, variant, popular=popular, eps=approx or 0.0).steps()
+        finally:
+            run.close()
 
     registry.add(name, query, oracle.walk_sql(of, params, approx=approx))
 
@@ -145,11 +148,14 @@ def _cost(name: str, query, select: str, params: WalkParams = P_PLAIN, of: str =
     registry.add(name, query, oracle.walk_sql(of, params, select, share=share, approx=approx))
 
 
-def _entity_walk(spark, sf_dir, params=P_PLAIN, variant=BASE, popular_share=None, eps=0.0):
+def _entity_walk(spark, sf_dir, params=P_PLAIN, variant=BASE, popular_share=None, eps=0.0, parts=None):
     edges = graph(spark, sf_dir, ENTITY)
     popular = stats.popular(edges, share=popular_share) if popular_share else None
-    walk = engine.Engine.of_edges(edges, parts=PARTS).walk(params, variant, popular=popular, eps=eps)
-    return edges, popular, walk
+    run = engine.Engine.of_edges(edges, parts=parts or parts_for(edges))
+    try:
+        return edges, popular, run.walk(params, variant, popular=popular, eps=eps)
+    finally:
+        run.close()
 
 
 _LAST = P_PLAIN.length
@@ -173,7 +179,7 @@ def cost_base_memory(spark, sf_dir):
 
 @registry()
 def cost_message_log(spark, sf_dir):
-    edges, popular, walk = _entity_walk(spark, sf_dir, P_LOCAL, CACHE, 0.05)
+    edges, popular, walk = _entity_walk(spark, sf_dir, P_LOCAL, CACHE, 0.05, parts=PARTS)
     return walk.messages()
 
 
