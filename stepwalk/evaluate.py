@@ -11,8 +11,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .config import WalkParams, written
-from .walk.alpha import transition_probs
 from .walk.bounds import bound_high, bound_low
+from .walk.pairs import transition_rows
 from .walk.rng import SPAN, draw48
 
 
@@ -134,10 +134,10 @@ def observed_moves(steps: DataFrame) -> DataFrame:
 def walk_distance(steps: DataFrame, edges: DataFrame, params: WalkParams) -> DataFrame:
     """(u, v, n, tv, chi_square): distance of observed moves from exact probabilities, per pair that was visited."""
     seen = observed_moves(steps)
-    total = seen.groupBy("u", "v").agg(F.sum("n").alias("total"))
-    rows = transition_probs(edges, params).join(total, ["u", "v"]).join(seen, ["u", "v", "x"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
-    want = F.col("prob") * F.col("total")
-    return rows.groupBy("u", "v").agg(F.first("total").alias("n"), (0.5 * F.sum(F.abs(F.col("n") / F.col("total") - F.col("prob")))).alias("tv"), F.sum((F.col("n") - want) * (F.col("n") - want) / want).alias("chi_square"))
+    met = seen.groupBy("u", "v").agg(F.array_sort(F.collect_list(F.struct("x", "n"))).alias("m"))
+    rows = transition_rows(edges, params, met.select("u", "v", F.col("m.x").alias("xs"), F.col("m.n").alias("ns"))).withColumn("prob", F.col("pi") / F.col("total"))
+    want = F.col("prob") * F.col("visits")
+    return rows.groupBy("u", "v").agg(F.first("visits").alias("n"), (0.5 * F.sum(F.abs(F.col("n") / F.col("visits") - F.col("prob")))).alias("tv"), F.sum((F.col("n") - want) * (F.col("n") - want) / want).alias("chi_square"))
 
 
 def approx_pairs(edges: DataFrame, popular: DataFrame, params: WalkParams, eps: float) -> DataFrame:
@@ -157,12 +157,13 @@ def approx_error(edges: DataFrame, popular: DataFrame, params: WalkParams, eps:
     The bounds speak of x other than u, so the return vertex has a column of its own; tv is half the sum of all errors.
     """
     pairs = approx_pairs(edges, popular, params, eps)
-    total = Window.partitionBy("u", "v")
-    rows = transition_probs(edges, params).join(pairs, ["u", "v"]).withColumn("static", F.col("w") / F.sum("w").over(total))
+    pairs = written(pairs, "approx-pairs")
+    rows = transition_rows(edges, params, pairs.select("u", "v")).select("u", "v", "x", (F.col("pi") / F.col("total")).alias("prob"), (F.col("w") / F.col("wsum")).alias("static"))
     error = F.abs(F.col("static") - F.col("prob"))
-    allowed = F.greatest(F.col("high") - F.col("static"), F.col("static") - F.col("low"))
     other = F.col("x") != F.col("u")
-    return rows.groupBy("u", "v").agg(F.max(F.when(other, error)).alias("max_error"), F.max(F.when(other, allowed)).alias("max_allowed"), F.max(F.when(~other, error)).alias("return_error"), (0.5 * F.sum(error)).alias("tv"))
+    per = rows.groupBy("u", "v").agg(F.max(F.when(other, error)).alias("max_error"), F.min(F.when(other, F.col("static"))).alias("least"), F.max(F.when(other, F.col("static"))).alias("most"), F.max(F.when(~other, error)).alias("return_error"), (0.5 * F.sum(error)).alias("tv"))
+    allowed = F.greatest(F.col("high") - F.col("least"), F.col("most") - F.col("low"))
+    return per.join(pairs, ["u", "v"]).select("u", "v", "max_error", allowed.alias("max_allowed"), "return_error", "tv")
 
 
 def stationary_gap(steps: DataFrame, edges: DataFrame, after: int = 10) -> DataFrame:

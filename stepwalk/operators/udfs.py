@@ -16,9 +16,9 @@ from ..plans.graph_queries import _bounded_sql
 from ..plans.shared import P_LOCAL, PARTS, Registry, graph, walked
 from ..sources.tables import table
 from ..walk import alias
-from ..walk.alpha import transition_weights
 from ..walk.bounds import gap
 from ..walk.kernel import member, pick
+from ..walk.pairs import transition_lists
 from ..walk.rng import draw48
 
 registry = Registry()
@@ -41,12 +41,12 @@ def udf_scalar_bounds(spark, sf_dir):
 def _grouped_alias(spark, sf_dir, of="true"):
     """Alias tables of each pair's neighbours give back a distribution."""
 
-    @pandas_udf("double")
-    def total(pi: pd.Series) -> float:
-        return round(float(alias.probabilities(*alias.build(pi.to_numpy())).sum()), 9)
+    def total(us: np.ndarray, v: int, ids: np.ndarray, pi: np.ndarray) -> pa.RecordBatch:
+        sums = [round(float(alias.probabilities(*alias.build(row)).sum()), 9) for row in pi]
+        return pa.RecordBatch.from_arrays([pa.array(us), pa.array(np.full(len(us), v)), pa.array(np.full(len(us), len(ids))), pa.array(sums, pa.float64())], ["u", "v", "n", "total"])
 
-    rows = transition_weights(graph(spark, sf_dir), P_LOCAL).where(of)
-    return rows.groupBy("u", "v").agg(total("pi").alias("total")).join(rows.groupBy("u", "v").agg(F.count("*").alias("n")), ["u", "v"])
+    edges = graph(spark, sf_dir)
+    return transition_lists(edges, P_LOCAL, total, "u long, v long, n long, total double", edges.select(F.col("src").alias("u"), F.col("dst").alias("v")).where(of))
 
 
 # Queries whose name ends in _all are the whole of those without the ending, which are slices by id.

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..config import WalkParams
@@ -32,5 +32,6 @@ def transition_weights(edges: DataFrame, params: WalkParams) -> DataFrame:
 
 def transition_probs(edges: DataFrame, params: WalkParams) -> DataFrame:
     """(u, v, x, w, dist, pi, prob): normalised over the neighbours of v."""
-    total = F.sum("pi").over(Window.partitionBy("u", "v"))
-    return transition_weights(edges, params).withColumn("prob", F.col("pi") / total)
+    from .pairs import transition_rows
+
+    return transition_rows(edges, params).select("u", "v", "x", "w", "dist", "pi", (F.col("pi") / F.col("total")).alias("prob"))

@@ -11,7 +11,7 @@ from stepwalk import evaluate
 from stepwalk.config import WalkParams, written
 from stepwalk.graph import build, stats, synth
 from stepwalk.plans import catalog
-from stepwalk.walk import engine
+from stepwalk.walk import alpha, baselines, engine, pairs
 
 
 def _vectors(spark, n=300, dim=4):
@@ -81,3 +81,24 @@ def test_cache_beyond_its_budget_keeps_what_fits(spark, sf, monkeypatch):
         kinds = {r.kind: r.n_msgs for r in walk.messages().where("step = 2").collect()}
         assert kinds.get("list", 0) > 0 and (budget == 0) == ("ref" not in kinds)
     run.close()
+
+
+def test_transition_rows_in_blocks_equal_the_joins(spark, sf, monkeypatch):
+    monkeypatch.setattr(pairs, "BLOCK_EDGES", 40)
+    monkeypatch.setattr(pairs, "CHUNK", 16)
+    edges = written(build.user_edges(spark, sf).where("src < 9 or dst % 2 = 0"), "uneven")
+    params = WalkParams(0.5, 2.0)
+    names = ["u", "v", "x", "w", "dist", "pi"]
+    rows = pairs.transition_rows(edges, params)
+    want = sorted(map(tuple, alpha.transition_weights(edges, params).select(*names).collect()))
+    assert sorted(map(tuple, rows.select(*names).collect())) == want
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "Window" not in plan
+    assert all(r.total == sum(t[5] for t in want if t[:2] == (r.u, r.v)) for r in rows.limit(20).collect())
+
+
+def test_stored_probabilities_are_lists_by_edge(spark, sf):
+    edges = written(build.user_edges(spark, sf), "user")
+    tables = baselines.alias_tables(edges, WalkParams(0.5, 2.0))
+    assert "Window" not in (plan := tables._jdf.queryExecution().executedPlan().toString()) and "Join" not in plan
+    assert tables.count() == edges.count()
