@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .components import components, joined_components
 from .tables import small_batches, table, written
-from .textbatch import U64, Words, chunks, mix, runs, uint64_blob
+from .textbatch import U64, Words, chunks, let_go, mix, runs, uint64_blob
 
 SHINGLE = 5
 BANDS, ROWS = 32, 5
@@ -101,6 +101,7 @@ def band_hashes(signature: np.ndarray, bands: int = BANDS, each: int = ROWS) ->
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    let_go()
     for chunk in chunks(batches):
         rows, hashes = shingles(chunk.words())
         rows, hashes, counts = bags(rows, hashes)

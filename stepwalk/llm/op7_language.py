@@ -74,6 +74,14 @@ def automaton(text: list[int]) -> tuple[list[dict[int, int]], int]:
     return follow, last
 
 
+def _moves(codes: np.ndarray) -> tuple[int, np.ndarray, np.ndarray, np.ndarray]:
+    """(states, and of each transition of the suffix automaton: state, symbol, next state): small arrays, its dictionaries go."""
+    follow, _ = automaton(codes.tolist())
+    size = np.fromiter(map(len, follow), np.int32, len(follow))
+    at, n = np.repeat(np.arange(len(follow), dtype=np.int32), size), int(size.sum())
+    return len(follow), at, np.fromiter((c for f in follow for c in f), np.uint8, n), np.fromiter((s for f in follow for s in f.values()), np.int32, n)
+
+
 class _Lanes:
     """Texts cut into blocks that are parsed side by side, and put together to what one parse of each whole text gives.
 
@@ -178,7 +186,8 @@ class Parser:
     """Automata of all languages in one table.
 
     An entry is the next state's row offset where the phrase goes on, else the complement of the offset at which a new
-    phrase starts: the sign counts phrases and no branch is needed.
+    phrase starts: the sign counts phrases and no branch is needed.  The table is filled in place, and the automata are
+    built one after the other, so that building takes little more than the table.
     """
 
     def __init__(self, samples: dict[str, bytes]):
@@ -190,22 +199,17 @@ class Parser:
         self.code[used] = np.arange(1, len(used) + 1)
         width = len(used) + 1
         self.width = width
-        rows, self.roots = [], []
-        base = 0
-        for n in self.names:
-            follow, _ = automaton(self.code[parsed[n]].tolist())
-            at = np.repeat(np.arange(len(follow)), [len(f) for f in follow])
-            by = np.fromiter((c for f in follow for c in f), np.int64, len(at))
-            to = np.fromiter((s for f in follow for s in f.values()), np.int64, len(at))
+        moves = [_moves(self.code[parsed[n]]) for n in self.names]
+        ends = np.cumsum([0, *(states * width for states, *_ in moves)])
+        self.roots = ends[:-1].tolist()
+        self.table = np.zeros(max(1, ends[-1]), np.int32)
+        for base, (states, at, by, to) in zip(self.roots, moves, strict=True):
+            grid = self.table[base : base + states * width].reshape(states, width)
+            first = at == 0
             start = np.full(width, base, np.int32)
-            start[by[at == 0]] += (to[at == 0] * width).astype(np.int32)
-            grid = np.repeat(~start[None, :], len(follow), axis=0)
-            later = at > 0
-            grid[at[later], by[later]] = (base + to[later] * width).astype(np.int32)
-            rows.append(grid)
-            self.roots.append(base)
-            base += len(follow) * width
-        self.table = np.concatenate([r.ravel() for r in rows]) if rows else np.zeros(1, np.int32)
+            start[by[first]] += to[first] * np.int32(width)
+            np.copyto(grid, ~start)
+            grid[at[~first], by[~first]] = base + to[~first] * np.int32(width)
         self.log_size = np.array([np.log(len(parsed[n]) + 2.0) for n in self.names])
 
     def phrases(self, codes: np.ndarray, size: np.ndarray) -> np.ndarray:

@@ -166,6 +166,11 @@ def kept_in_worker(key, make):
     return _KEPT[key]
 
 
+def let_go() -> None:
+    """Drops what an operator before kept in this worker, for operators that keep nothing of their own."""
+    _KEPT.clear()
+
+
 class KnownWords:
     """Ids of words seen before, in arrays sorted by word hash: at most ``limit`` words are kept, others are encoded each time."""
 
