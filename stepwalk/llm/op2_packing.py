@@ -50,7 +50,10 @@ class WordTokens:
             for k in odd:
                 plain[k] = b""
         groups = [f" {self.MARK} ".join([x.decode("utf-8", "replace") for x in plain[i : i + 2000]]) + f" {self.MARK}" for i in range(0, len(plain), 2000)]
-        flat = np.concatenate([np.array(e.ids, dtype=np.int32) for e in self.encoder.encode_batch_fast(groups, add_special_tokens=False)] or [np.zeros(0, np.int32)])
+        some = [np.zeros(0, np.int32)]
+        for i in range(0, len(groups), 8):  # an encoding holds each token as a string too
+            some += [np.array(e.ids, dtype=np.int32) for e in self.encoder.encode_batch_fast(groups[i : i + 8], add_special_tokens=False)]
+        flat = np.concatenate(some)
         if not odd:
             ends = np.flatnonzero(flat == self.mark)
             assert len(ends) == len(words)
@@ -135,7 +138,7 @@ def _pack_partition(encode: Callable[[Chunk], tuple[np.ndarray, np.ndarray]], si
             columns = zip(*rows, strict=True)
             return pa.RecordBatch.from_arrays([pa.array(c, pa.binary() if n == "ids" else pa.int64()) for n, c in zip([*NAMES, "ids"], columns, strict=True)], [*NAMES, "ids"])
 
-        for chunk in chunks(batches, limit=2 << 20):
+        for chunk in chunks(batches, limit=1 << 19):
             ids, per_doc = encode(chunk)
             begin = np.cumsum(per_doc) - per_doc
             keys = chunk.rows.column(0).to_pylist()
