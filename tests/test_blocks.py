@@ -84,3 +84,12 @@ def test_blocks_find_far_apart_ids():
     assert which.tolist() == [0, 1] and where.tolist() == [2, 3]
     offsets = np.array([0, 3, 3, 5])
     assert blocks.undeltas(blocks.deltas(dst, offsets), offsets).tolist() == dst.tolist()
+
+
+def test_popular_counts_degrees_once(spark, sf):
+    """The edges were counted anew for each of four readings of the degrees."""
+    edges = written(build.entity_edges(spark, sf), "entity")
+    found = stats.popular(edges, share=0.05)
+    assert not any("/entity-" in f for f in found.inputFiles())
+    deg = sorted(((r.deg, -r.vid) for r in stats.degrees(edges).collect()), reverse=True)
+    assert sorted((r.deg, -r.vid) for r in found.collect()) == sorted(deg[: -(-len(deg) * 5 // 100)])
